@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kgflow.llm import bpe, lines, substring, urlfilter
+from kgflow.llm import bpe, lines, neardup, substring, urlfilter
 from kgflow.session import ship
 
 
@@ -33,12 +33,17 @@ def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", F.col("_lines").alias("n_lines"), F.col("_removed").alias("n_removed"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
 
 
+def op10_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.label_documents(table(spark, sf_dir, "documents"), 85)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op2_url_filters": op2_url_filters,
         "op6_substring_dedup": op6_substring_dedup,
         "op7_byte_bpe": op7_byte_bpe,
         "op9_line_dedup": op9_line_dedup,
+        "op10_minhash_near_dedup": op10_minhash_near_dedup,
     }
 
 
@@ -47,4 +52,5 @@ def oracle_sql() -> dict[str, str]:
         "op2_url_filters": urlfilter.ORACLE,
         "op6_substring_dedup": substring.ORACLE,
         "op9_line_dedup": lines.ORACLE,
+        "op10_minhash_near_dedup": neardup.ORACLE,
     }
