@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kgflow.llm import bpe, lines, neardup, substring, urlfilter
+from kgflow.llm import bpe, fixity, license, lines, neardup, substring, urlfilter
 from kgflow.session import ship
 
 
@@ -19,6 +19,22 @@ def op2_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urlfilter.judge(table(spark, sf_dir, "pages"), urlfilter.rule_table(spark))
 
 
+def op3_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license.digest(license.scan(table(spark, sf_dir, "documents")))
+
+
+#: Bytes that the damaged replica has at the end of a record, if the record's hash picks it (one in 64).
+DAMAGE = "<!-- bit rot -->"
+
+
+def op4_warc_fixity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Audits pages against a replica in which records picked by a hash of their url and id are damaged."""
+    pages = table(spark, sf_dir, "pages").select("page_id", "url", "html")
+    hit = F.conv(F.substring(F.md5(F.concat_ws(" ", F.col("page_id").cast("string"), "url")), 1, 4), 16, 10).cast("long") % 64 == 0
+    replica = pages.withColumn("html", F.when(hit, F.concat(F.coalesce("html", F.lit("")), F.lit(DAMAGE))).otherwise(F.col("html")))
+    return fixity.audit(pages, replica, "page_id", ["url", "html"]).select(F.col("id").cast("long").alias("page_id"), "length", "expected", "found", "status")
+
+
 def op6_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = substring.deduplicate(table(spark, sf_dir, "documents"))
     return out.select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256).alias("kept_sha256"))
@@ -37,9 +53,22 @@ def op10_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.label_documents(table(spark, sf_dir, "documents"), 85)
 
 
+OP4_ORACLE = r"""
+WITH r AS (
+  SELECT page_id, url, html, CASE WHEN ('0x' || substr(md5(concat_ws(' ', page_id::VARCHAR, url)), 1, 4))::BIGINT % 64 = 0 THEN coalesce(html, '') || '<!-- bit rot -->' ELSE html END AS html2 FROM pages),
+f AS (
+  SELECT *, 'WARC/1.1' || chr(10) || coalesce(strlen(page_id::VARCHAR)::VARCHAR || chr(10) || page_id::VARCHAR, '-' || chr(10)) || coalesce(strlen(url)::VARCHAR || chr(10) || url, '-' || chr(10)) AS head FROM r),
+x AS (
+  SELECT page_id, head || coalesce(strlen(html)::VARCHAR || chr(10) || html, '-' || chr(10)) AS a, head || coalesce(strlen(html2)::VARCHAR || chr(10) || html2, '-' || chr(10)) AS b FROM f)
+SELECT page_id, strlen(a)::BIGINT AS length, sha256(a) AS expected, sha256(b) AS found, CASE WHEN a = b THEN 'intact' ELSE 'corrupt' END AS status FROM x
+"""
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op2_url_filters": op2_url_filters,
+        "op3_license_scan": op3_license_scan,
+        "op4_warc_fixity": op4_warc_fixity,
         "op6_substring_dedup": op6_substring_dedup,
         "op7_byte_bpe": op7_byte_bpe,
         "op9_line_dedup": op9_line_dedup,
@@ -50,6 +79,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 def oracle_sql() -> dict[str, str]:
     return {
         "op2_url_filters": urlfilter.ORACLE,
+        "op3_license_scan": license.oracle(),
+        "op4_warc_fixity": OP4_ORACLE,
         "op6_substring_dedup": substring.ORACLE,
         "op9_line_dedup": lines.ORACLE,
         "op10_minhash_near_dedup": neardup.ORACLE,
