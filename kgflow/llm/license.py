@@ -63,16 +63,13 @@ def vocabulary(phrases, templates) -> list[str]:
 
 def frequencies(docs: DataFrame, vocab: list[str], text_col: str) -> dict[str, int]:
     """How often each word of the vocabulary occurs in the whole corpus."""
-    keys = word_hash(vocab)
-    order = np.argsort(keys)
+    lookup = words.Lookup(word_hash(vocab))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         n = np.zeros(len(vocab), np.int64)
         for b in batches:
             for c in words.chunks(b.column(0), words.ALNUM, lower=True):
-                h = c.hashes()
-                at = np.minimum(np.searchsorted(keys[order], h), len(keys) - 1)
-                n += np.bincount(order[at[keys[order][at] == h]], minlength=len(vocab))
+                n += np.bincount(lookup.found(c.hashes())[1], minlength=len(vocab))
         yield pa.RecordBatch.from_arrays([pa.array(range(len(vocab)), pa.int32()), pa.array(n)], ["w", "n"])
 
     counted = docs.select(F.col(text_col).cast("string")).mapInArrow(run, "w int, n long").groupBy("w").agg(F.sum("n").alias("n"))
@@ -87,8 +84,7 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", phrase
     often = frequencies(docs, vocab, text_col)
     rank = {w: i for i, w in enumerate(sorted(vocab, key=lambda w: (often[w], w)))}
     in_rank = sorted(rank, key=rank.get)
-    keys = word_hash(in_rank)
-    by_hash = np.argsort(keys)
+    lookup = words.Lookup(word_hash(in_rank))
     sets = [(np.array(sorted({rank[w] for w in t.split()})), label) for t, label in templates]
     need = [math.ceil(containment * len(s) - 1e-9) for s, _ in sets]
     places = pa.list_(pa.struct([("word", pa.int64()), ("label", pa.string())]))
@@ -135,9 +131,9 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", phrase
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for c in words.chunks(b.column(1), words.ALNUM, lower=True):
-                h = c.hashes()
-                at = np.minimum(np.searchsorted(keys[by_hash], h), len(keys) - 1)
-                code = np.where(keys[by_hash][at] == h, by_hash[at], -1)
+                code = np.full(len(c.start), -1)
+                at, which = lookup.found(c.hashes())
+                code[at] = which
                 own = c.owners()
                 found: list[list] = [[] for _ in range(c.hi - c.lo)]
                 lines: list[list] = [[] for _ in range(c.hi - c.lo)]

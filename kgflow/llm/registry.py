@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kgflow.llm import bpe, fixity, license, lines, neardup, substring, urlfilter
+from kgflow.llm import ann, bpe, decontam, fixity, license, lines, neardup, substring, toxicity, urlfilter
 from kgflow.session import ship
 
 
@@ -19,6 +19,17 @@ def op2_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urlfilter.judge(table(spark, sf_dir, "pages"), urlfilter.rule_table(spark))
 
 
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    out = toxicity.score(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
+    return out.select("doc_id", F.col("_severity").alias("severity"), F.col("_grade").alias("grade"), F.col("_toxic").alias("toxic"))
+
+
+def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = decontam.contaminated(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark"))
+    return out.select("doc_id", (F.size("_found") > 0).alias("contaminated"), F.col("_found.item").alias("items"), F.array_min("_found.edits").alias("least_edits"))
+
+
 def op3_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license.digest(license.scan(table(spark, sf_dir, "documents")))
 
@@ -44,6 +55,11 @@ def op7_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip_digests(table(spark, sf_dir, "documents"))
 
 
+def op8_hnsw_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
+    return ann.nearest(vectors, vectors.where(F.col("vec_id") % 20 == 0), 20)
+
+
 def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = lines.deduplicate(table(spark, sf_dir, "documents").select("doc_id", "text"))
     return out.select("doc_id", F.col("_lines").alias("n_lines"), F.col("_removed").alias("n_removed"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
@@ -66,11 +82,14 @@ SELECT page_id, strlen(a)::BIGINT AS length, sha256(a) AS expected, sha256(b) AS
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_toxicity": op1_toxicity,
         "op2_url_filters": op2_url_filters,
         "op3_license_scan": op3_license_scan,
         "op4_warc_fixity": op4_warc_fixity,
+        "op5_decontamination": op5_decontamination,
         "op6_substring_dedup": op6_substring_dedup,
         "op7_byte_bpe": op7_byte_bpe,
+        "op8_hnsw_neighbours": op8_hnsw_neighbours,
         "op9_line_dedup": op9_line_dedup,
         "op10_minhash_near_dedup": op10_minhash_near_dedup,
     }

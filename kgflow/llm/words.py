@@ -79,14 +79,18 @@ class Chunk:
     def owners(self) -> np.ndarray:
         return np.repeat(np.arange(self.hi - self.lo), self.counts())
 
-    def hashes(self) -> np.ndarray:
-        """64-bit hash of every word."""
+    def hashes(self, *prefixes: int) -> np.ndarray:
+        """64-bit hash of every word; with prefixes, of (words, 1 + prefixes) words and their first so many bytes."""
         n = len(self.buf)
         pw, inv = powers(BYTE_BASE, n + 1)
         total = np.zeros(n + 1, np.uint64)
         np.cumsum(BYTE_CODES[self.buf] * pw[:n], out=total[1:])
-        h = (total[self.end] - total[self.start]) * inv[self.start]
-        return mix(h)
+        base, back = total[self.start], inv[self.start]
+        whole = mix((total[self.end] - base) * back)
+        if not prefixes:
+            return whole
+        cut = [mix(((total[np.minimum(self.end, self.start + k)] - base) * back) ^ U(k)) for k in prefixes]
+        return np.stack([whole, *cut], 1)
 
     def word(self, i: int) -> bytes:
         return self.buf[self.start[i] : self.end[i]].tobytes()
@@ -147,3 +151,24 @@ def windows(c: Chunk, k: int, h: np.ndarray | None = None) -> tuple[np.ndarray,
     ok = own[: len(keys)] == own[k - 1 :]
     own = own[: len(keys)][ok]
     return keys[ok], own, np.flatnonzero(ok) - c.first[own]
+
+
+class Lookup:
+    """Position of hashes in a small list of keys; most misses end at a table of key prefixes."""
+
+    BITS = U(20)
+
+    def __init__(self, keys: np.ndarray):
+        self.order = np.argsort(keys, kind="stable")
+        self.keys = keys[self.order]
+        self.seen = np.zeros(1 << int(self.BITS), bool)
+        self.seen[(keys >> (U(64) - self.BITS)).astype(np.int64)] = True
+
+    def found(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(where in h, which key) of all hashes that are keys; of equal keys the first."""
+        at = np.flatnonzero(self.seen[(h >> (U(64) - self.BITS)).astype(np.int64)])
+        if not len(at) or not len(self.keys):
+            return np.zeros(0, np.int64), np.zeros(0, np.int64)
+        spot = np.minimum(np.searchsorted(self.keys, h[at]), len(self.keys) - 1)
+        ok = self.keys[spot] == h[at]
+        return at[ok], self.order[spot[ok]]
