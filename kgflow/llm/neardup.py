@@ -181,19 +181,22 @@ def full_sets(docs: DataFrame, wanted: DataFrame, id_col: str, text_col: str) ->
 
 
 def crossing(members: DataFrame, percent: int, tasks: int) -> DataFrame:
-    """Plausible pairs between different components of one group; members: (key, id, label, n_shingles, parity)."""
+    """Plausible pairs between different components of one group; members: (key, t, id, label, n_shingles, halves, parity).
+
+    A pair that shares several tables t is given by the first of them only."""
     mixed = members.groupBy("key").agg(F.count("*").alias("size"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key", F.ceil(F.col("size") / BLOCK).cast("int").alias("parts"))
     own = F.pmod(F.xxhash64("id"), F.col("parts")).cast("int")
     dealt = (
         members.join(mixed, "key")
         .withColumn("own", own)
         .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-        .select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "id", "label", "n_shingles", "parity")
+        .select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "t", "id", "label", "n_shingles", "halves", "parity")
     )
 
     def compare(t: pa.Table) -> pa.RecordBatch:
-        key, i, j, own, doc, label, n = (np.asarray(t.column(x)) for x in ("key", "i", "j", "own", "id", "label", "n_shingles"))
-        bits = parities(t.column("parity"))
+        key, i, j, own, table, doc, label, n = (np.asarray(t.column(x)) for x in ("key", "i", "j", "own", "t", "id", "label", "n_shingles"))
+        bits, half = parities(t.column("parity")), np.frombuffer(b"".join(t.column("halves").to_pylist()), np.uint64).reshape(len(key), -1)
+        m = half.shape[1] // 2
         out, d = [], 1
         at = np.arange(len(key) - 1)
         while len(at):
@@ -204,6 +207,8 @@ def crossing(members: DataFrame, percent: int, tasks: int) -> DataFrame:
             if len(x):
                 differ = np.bitwise_count(bits[x] ^ bits[x + d]).sum(1).astype(np.int64)
                 x = x[may_link(n[x], n[x + d], differ, percent)]
+                same = half[x] == half[x + d]
+                x = x[same[:, :m].argmax(1) * m + same[:, m:].argmax(1) == table[x]]
                 out.append(np.stack([np.minimum(doc[x], doc[x + d]), np.maximum(doc[x], doc[x + d])], 1))
             d += 1
         pair = np.unique(np.concatenate(out), axis=0) if out else np.zeros((0, 2), np.int64)
@@ -228,13 +233,13 @@ def crossing(members: DataFrame, percent: int, tasks: int) -> DataFrame:
 
 
 def explode_keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(key, id, label) of batches (id, label, halves)."""
+    """(key, t, id, label) of batches (id, label, halves), t the number of the table."""
     for batch in batches:
         for lo in range(0, batch.num_rows, 1024):
             b = batch.slice(lo, 1024)
             key = table_keys(b.column(2)).view(np.int64)
             n = key.shape[1]
-            yield pa.RecordBatch.from_arrays([pa.array(key.reshape(-1)), pa.array(np.repeat(np.asarray(b.column(0)), n)), pa.array(np.repeat(np.asarray(b.column(1)), n))], ["key", "id", "label"])
+            yield pa.RecordBatch.from_arrays([pa.array(key.reshape(-1)), pa.array(np.tile(np.arange(n, dtype=np.int32), b.num_rows)), pa.array(np.repeat(np.asarray(b.column(0)), n)), pa.array(np.repeat(np.asarray(b.column(1)), n))], ["key", "t", "id", "label"])
 
 
 def label_documents(docs: DataFrame, percent: int = 85, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -252,8 +257,8 @@ def label_documents(docs: DataFrame, percent: int = 85, id_col: str = "doc_id",
     links = settled(confirmed(plausible(stars, classes, percent), sets, percent))
     first = components(links)
     grouped = classes.join(near, "id").join(first, F.col("id") == F.col("node"), "left").select("id", F.coalesce("label", "id").alias("label"), "halves")
-    members = grouped.mapInArrow(explode_keys, "key long, id long, label long")
-    more = settled(confirmed(crossing(members.join(classes.select("id", "n_shingles", "parity"), "id"), percent, tasks), sets, percent))
+    members = grouped.mapInArrow(explode_keys, "key long, t int, id long, label long")
+    more = settled(confirmed(crossing(members.join(classes.select("id", "n_shingles", "halves", "parity"), "id"), percent, tasks), sets, percent))
     # only labels meet in the last step: links between components, not between documents
     joined = more.join(first.select(F.col("node").alias("a"), F.col("label").alias("la")), "a", "left").join(first.select(F.col("node").alias("b"), F.col("label").alias("lb")), "b", "left")
     upper = components(joined.select(F.coalesce("la", "a").alias("a"), F.coalesce("lb", "b").alias("b")))
