@@ -6,14 +6,19 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from kgflow.workloads import common, lifecycle
+
+__all__ = ["flagship", "oracle_sql", "queries"]
+
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    """The incremental loop over three windows, measured."""
+    return lifecycle.m_delta_precision(spark, sf_dir)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+    return dict(common.QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(common.ORACLES)
