@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from kgflow.workloads import common, lifecycle
+from kgflow.workloads import common, lifecycle, operators, star
 
-__all__ = ["flagship", "oracle_sql", "queries"]
+__all__ = ["flagship", "oracle_sql", "operators", "queries", "star"]
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from kgflow.coref.cluster import components
 from kgflow.functions.ids import joined_id
-from kgflow.functions.text import normalised, number_token, tokens
+from kgflow.functions.text import normalised, tokens
 
 KINDS = "customer|supplier|order|part"
 
@@ -36,7 +36,7 @@ def pair_verdict(a: Column | str, b: Column | str) -> Column:
     a, b = (F.col(x) if isinstance(x, str) else x for x in (a, b))
     ta, tb = F.array_distinct(tokens(a)), F.array_distinct(tokens(b))
     both = F.size(F.array_intersect(ta, tb))
-    inside = (both == F.least(F.size(ta), F.size(tb))) & (F.size(ta) != F.size(tb))
+    inside = (both == F.least(F.size(ta), F.size(tb))) & (F.size(tokens(a)) != F.size(tokens(b)))
     return F.when(normalised(a) == normalised(b), "MERGE").when(inside, "HIERARCHY").otherwise("SEPARATE")
 
 
@@ -63,7 +63,3 @@ def cross(clusters: DataFrame, profiles: DataFrame) -> DataFrame:
     old = profiles.groupBy("norm", "type").agg(F.min("entity_id").alias("_old"))
     minted = joined_id("type", "norm")
     return clusters.join(old, ["norm", "type"], "left").withColumn("entity_id", F.coalesce("_old", minted)).withColumn("reused", F.col("_old").isNotNull()).drop("_old")
-
-
-def mentions_number(name: Column | str) -> Column:
-    return number_token(name)

@@ -58,28 +58,24 @@ PHRASINGS = (
 )
 
 
-def _said(key: str, relation: str, kind: str, head: Column, tail: Column, forms: list[tuple[str, str, str, bool]]) -> Column:
-    """Text by the phrasing that the key picks: forms (before, between, after, tail first)."""
-    pick = F.pmod(h32(f"say {relation} {kind}", key), F.lit(len(forms)))
-    out = None
-    for i, (before, between, after, swapped) in enumerate(forms):
-        a, b = (tail, head) if swapped else (head, tail)
-        text = F.concat(F.lit(before), a, F.lit(between), b, F.lit(after))
-        out = F.when(pick == i, text) if out is None else out.when(pick == i, text)
-    return out
-
-
 FORMS = {
-    "placed_by": [("", " placed by ", ".", False), ("", " placed ", ".", True), ("", " was placed by ", ".", False)],
-    "has_status": [("", " has status ", ".", False), ("", " with status ", ".", False)],
-    "has_priority": [("", " has priority ", ".", False), ("", " is of priority ", ".", False)],
-    "based_in": [("", " based in ", ".", False), ("", " is based in ", ".", False)],
-    "in_region": [("", " in region ", ".", False), ("", " contains ", ".", True)],
-    "has_brand": [("", " has brand ", ".", False)],
-    "in_segment": [("", " in segment ", ".", False)],
+    "placed_by": [(" placed by ", False), (" placed ", True), (" was placed by ", False)],
+    "has_status": [(" has status ", False), (" with status ", False)],
+    "has_priority": [(" has priority ", False), (" is of priority ", False)],
+    "based_in": [(" based in ", False), (" is based in ", False)],
+    "in_region": [(" in region ", False), (" contains ", True)],
+    "has_brand": [(" has brand ", False)],
+    "in_segment": [(" in segment ", False)],
 }
 
 
+def _form(relation: str, key: str) -> Column:
+    """The phrasing that the key picks, as struct<between, swapped>."""
+    forms = FORMS[relation]
+    all_ = F.array(*(F.struct(F.lit(b).alias("between"), F.lit(s).alias("swapped")) for b, s in forms))
+    return F.get(all_, F.pmod(h32(f"say {relation} text", key), F.lit(len(forms))).cast("int"))
+
+
 def fact_rows(t: dict[str, DataFrame]) -> DataFrame:
     """Gold facts of the star tables with keys: (kind, key, relation, head, tail), canonical names."""
     def rows(df, kind, key, relation, head, tail):
@@ -120,11 +116,9 @@ def star_statements(t: dict[str, DataFrame]) -> DataFrame:
 
     wrong = (F.col("relation") == "placed_by") & (h32("order", "key") % WRONG_TYPE == 0)
     tail = F.when(wrong, F.concat(F.lit("part "), F.regexp_extract("tail", r"([0-9]+)$", 1))).otherwise(F.col("tail"))
-    said = None
-    for relation, forms in FORMS.items():
-        text = _said("key", relation, "text", F.col("h"), F.col("t"), forms)
-        said = F.when(F.col("relation") == relation, text) if said is None else said.when(F.col("relation") == relation, text)
-    rows = facts.withColumn("told", tail).withColumn("h", shown("head")).withColumn("t", shown("told"))
+    form = F.coalesce(*(F.when(F.col("relation") == relation, _form(relation, "key")) for relation in FORMS))
+    rows = facts.withColumn("told", tail).withColumn("form", form).withColumn("h", shown("head")).withColumn("t", shown("told"))
+    said = F.concat(F.when(F.col("form.swapped"), F.col("t")).otherwise(F.col("h")), F.col("form.between"), F.when(F.col("form.swapped"), F.col("h")).otherwise(F.col("t")), F.lit("."))
     batch = F.pmod(h32("slice", F.concat_ws(" ", "kind", "key")), F.lit(3)).cast("int")
     main = rows.select(F.concat_ws("-", "kind", "key", "relation").alias("stmt_id"), said.alias("text"), "kind", "key", batch.alias("batch_id"))
     denied = facts.where((F.col("relation") == "placed_by") & (h32("order", "key") % NEGATED == 0)).select(F.concat_ws("-", F.lit("not"), "key").alias("stmt_id"), F.concat(F.col("head"), F.lit(" was not placed by customer "), (F.regexp_extract("tail", r"([0-9]+)$", 1).cast("bigint") + 7).cast("string"), F.lit(".")).alias("text"), "kind", "key", batch.alias("batch_id"))

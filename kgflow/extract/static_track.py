@@ -5,7 +5,6 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-NAME = r"(?:[A-Za-z]+(?: ?#|[ -])0*[0-9]+|[A-Za-z0-9][A-Za-z0-9 #-]*?)"
 #: Phrase between two names and the relation name that it suggests; longer phrases first.
 PHRASES = (
     (" was placed by ", "was_placed_by"),
@@ -22,12 +21,12 @@ PHRASES = (
     (" has brand ", "has_brand"),
     (" in segment ", "in_segment"),
 )
-NEGATED = r"(?i)\b(not|never|no longer)\b"
+NEGATED = r"(?i)\b(is|was|has|does|did|are|were) +(not|never|no longer)\b"
 
 
 def triples(stmts: DataFrame) -> DataFrame:
     """Rows of stmts with h_name, phrase and t_name as the text has them; negated statements give none."""
-    between = F.coalesce(*(F.when(F.instr("text", p) > 0, F.lit(p)) for p, _ in PHRASES))
-    name = F.coalesce(*(F.when(F.instr("text", p) > 0, F.lit(n)) for p, n in PHRASES))
-    found = stmts.where(~F.col("text").rlike(NEGATED)).withColumn("phrase", name).withColumn("_b", between).where("phrase is not null")
+    known = F.array(*(F.struct(F.lit(p).alias("between"), F.lit(n).alias("name")) for p, n in PHRASES))
+    first = F.get(F.filter(known, lambda p: F.contains(F.col("text"), p["between"])), 0)
+    found = stmts.where(~F.col("text").rlike(NEGATED)).withColumn("_f", first).where("_f is not null").withColumn("phrase", F.col("_f.name")).withColumn("_b", F.col("_f.between")).drop("_f")
     return found.withColumn("h_name", F.expr("substring_index(text, _b, 1)")).withColumn("t_name", F.regexp_replace(F.expr("substr(text, instr(text, _b) + length(_b))"), r"\.$", "")).drop("_b")
