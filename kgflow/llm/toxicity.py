@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 
 from kgflow.llm import words
 
-MAX_ROWS, MAX_FEATURES = 6000, 16384
+MAX_ROWS, MAX_FEATURES = 4000, 16384
 Z_LEAST, L2, STEPS = 3.0, 0.5, 800
 PREFIXES = (4, 5, 6, 8)
 
@@ -82,7 +82,7 @@ def fit(toxic: np.ndarray, keys: list[np.ndarray], counts: list[np.ndarray], max
     if not toxic.any() or toxic.all():
         return none
     vocab, code = np.unique(np.concatenate(keys), return_inverse=True)
-    row = np.repeat(np.arange(len(keys)), [len(k) for k in keys])
+    code, row, many = code.astype(np.int32), np.repeat(np.arange(len(keys), dtype=np.int32), [len(k) for k in keys]), np.concatenate(counts)
     bad = np.bincount(code[toxic[row]], minlength=len(vocab))
     good = np.bincount(code, minlength=len(vocab)) - bad
     n1, n0 = toxic.sum(), (~toxic).sum()
@@ -92,15 +92,16 @@ def fit(toxic: np.ndarray, keys: list[np.ndarray], counts: list[np.ndarray], max
     chosen = np.sort(chosen[np.argsort(-z[chosen], kind="stable")[:max_features]])
     if not len(chosen):
         return none
-    slot = np.full(len(vocab), -1)
+    slot = np.full(len(vocab), -1, np.int32)
     slot[chosen] = np.arange(len(chosen))
     kept = slot[code] >= 0
     r, f = row[kept], slot[code[kept]]
-    size = np.bincount(row, np.concatenate(counts).astype(float), len(keys))
-    tied = np.bincount(r, np.where(odds[chosen][f] > 0, np.concatenate(counts)[kept], 0), len(keys)) / np.maximum(size, 1)
+    size = np.bincount(row, many, len(keys))
+    tied = np.bincount(r, many[kept], len(keys)) / np.maximum(size, 1)
     grade = toxic.astype(int) + (toxic & (tied >= np.median(tied[toxic])))
     scale = np.clip(odds[chosen], -6, 6)
-    value = damped(np.concatenate(counts)[kept])
+    value = damped(many[kept])
+    del code, row, many, kept, bad, good
     # Adam on the mean log loss of the cumulative links
     per_row = np.full(len(keys), 1 / len(keys))
     w, theta = np.full(len(chosen), 0.3), np.array([1.0, np.log(2.0)])  # theta_1 = theta_0 + exp(second)
