@@ -81,7 +81,7 @@ def tables(x: np.ndarray, size: np.ndarray, walks: int) -> np.ndarray:
     keys = []
     for walk in range(walks):
         e = walked(x, size, walk)
-        got = np.take_along_axis(e, table_places(size, walk).reshape(len(x), -1), 1).reshape(len(x), TABLES, SAMPLE)
+        got = np.take_along_axis(e, table_places(size, walk).reshape(len(x), TABLES * SAMPLE), 1).reshape(len(x), TABLES, SAMPLE)
         key = np.zeros((len(x), TABLES), np.uint64)
         for i in range(SAMPLE):
             key = mix(key * words.WORD_BASE + got[:, :, i] + U(1))

@@ -43,7 +43,6 @@ TEMPLATES = (
     ("licensed under the apache license version 2 0", "apache"),
     ("this work is licensed under the gnu general public license version 3", "gpl"),
     ("licensed under cc by nc 4 0", "cc-by-nc"),
-    ("licensed under cc by sa 4 0", "cc-by-sa"),
     ("redistribution and use in source and binary forms with or without modification are permitted", "bsd"),
     ("this source code form is subject to the terms of the mozilla public license", "mpl"),
     ("all rights reserved no part of this publication may be reproduced", "all-rights-reserved"),
