@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from kgflow.functions import text
 from kgflow.operators import graph, joins
 from kgflow.plans import update
+from kgflow.session import ship
 from kgflow.sources import tables as sources
 from kgflow.sources.tables import table
 from kgflow.store import graph as algebra
@@ -264,6 +265,7 @@ def st_dedup(spark, sf_dir):
 
 @query(lifecycle.FULL + "SELECT user_id, val AS status, epoch_us(ts)::BIGINT AS at FROM (SELECT *, lag(val) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS b FROM st WHERE rel = 'status') WHERE b IS NULL OR b <> val")
 def st_stateful_status(spark, sf_dir):
+    ship(spark)
     with replay.column_family_state(spark):
         return replay.drained(replay.tracked(event_stream(spark, sf_dir)))
 
