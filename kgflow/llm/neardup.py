@@ -180,14 +180,16 @@ def full_sets(docs: DataFrame, wanted: DataFrame, id_col: str, text_col: str) ->
     return src.mapInArrow(run, "id long, shingles binary")
 
 
-def crossing(members: DataFrame, percent: int, tasks: int) -> DataFrame:
-    """Plausible pairs between different components of one group; members: (key, t, id, label, n_shingles, halves, parity).
+def crossing(members: DataFrame, classes: DataFrame, percent: int, tasks: int) -> DataFrame:
+    """Plausible pairs between different components of one group; members: (key, t, id, label). Marks
+    of the classes are joined once only the rows of mixed groups are left.
 
     A pair that shares several tables t is given by the first of them only."""
     mixed = members.groupBy("key").agg(F.count("*").alias("size"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key", F.ceil(F.col("size") / BLOCK).cast("int").alias("parts"))
     own = F.pmod(F.xxhash64("id"), F.col("parts")).cast("int")
     dealt = (
         members.join(mixed, "key")
+        .join(classes.select("id", "n_shingles", "halves", "parity"), "id")
         .withColumn("own", own)
         .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
         .select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "t", "id", "label", "n_shingles", "halves", "parity")
@@ -258,7 +260,7 @@ def label_documents(docs: DataFrame, percent: int = 85, id_col: str = "doc_id",
     first = components(links)
     grouped = classes.join(near, "id").join(first, F.col("id") == F.col("node"), "left").select("id", F.coalesce("label", "id").alias("label"), "halves")
     members = grouped.mapInArrow(explode_keys, "key long, t int, id long, label long")
-    more = settled(confirmed(crossing(members.join(classes.select("id", "n_shingles", "halves", "parity"), "id"), percent, tasks), sets, percent))
+    more = settled(confirmed(crossing(members, classes, percent, tasks), sets, percent))
     # only labels meet in the last step: links between components, not between documents
     joined = more.join(first.select(F.col("node").alias("a"), F.col("label").alias("la")), "a", "left").join(first.select(F.col("node").alias("b"), F.col("label").alias("lb")), "b", "left")
     upper = components(joined.select(F.coalesce("la", "a").alias("a"), F.coalesce("lb", "b").alias("b")))
