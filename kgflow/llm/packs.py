@@ -25,7 +25,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kgflow.llm.words import U, mix
+from kgflow.llm.words import U, mix, trim
 from kgflow.session import width
 
 #: Items in a block; 20 bytes each, and about three times that while it is sorted.
@@ -139,6 +139,8 @@ def send(items: Callable[[Iterator[pa.RecordBatch]], Items], buckets: int, doc_b
             i = i[np.argsort(key[i], kind="stable")]
             out.append((int(b), 0, pack_sorted(key[i], doc[i], pos[i])))
         yield from shipped(out)
+        del out, key, doc, pos
+        trim()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parts, n = [], 0
@@ -244,7 +246,9 @@ def with_hits(docs: DataFrame, hits: DataFrame, id_col: str, text_col: str, doc_
     bucket = F.pmod(F.when(F.col(id_col).isNull(), F.xxhash64(text_col)).otherwise(F.xxhash64(F.col(id_col).cast("long"))), F.lit(doc_buckets)).cast("int")
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        return edit(left.drop_columns(["_bucket"]).combine_chunks(), hits_of(right.column("blob").to_pylist()))
+        out = edit(left.drop_columns(["_bucket"]).combine_chunks(), hits_of(right.column("blob").to_pylist()))
+        trim()
+        return out
 
     return docs.withColumn("_bucket", bucket).groupBy("_bucket").cogroup(hits.withColumnRenamed("bucket", "_bucket").groupBy("_bucket")).applyInArrow(run, schema)
 

@@ -8,13 +8,16 @@ over the bytes, and hashes of k consecutive words from one over the word hashes,
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 
-CHUNK = 1 << 21
+LIBC = ctypes.CDLL(None)
+
+CHUNK = 1 << 20
 U = np.uint64
 #: Fixed odd multipliers of the hash functions.
 BYTE_BASE, WORD_BASE = U(0x9E3779B97F4A7C13), U(0xD6E8FEB86659FD93)
@@ -33,6 +36,13 @@ LOWER = np.arange(256, dtype=np.uint8)
 LOWER[0x41:0x5B] += 32
 
 
+def trim() -> None:
+    """Give freed memory back to the system: workers live on between tasks, and share an executor's memory."""
+    pa.default_memory_pool().release_unused()
+    if hasattr(LIBC, "malloc_trim"):
+        LIBC.malloc_trim(0)
+
+
 def mix(x: np.ndarray) -> np.ndarray:
     x = x ^ (x >> U(33))
     x *= MIX_A
@@ -100,9 +110,10 @@ def column_bytes(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """(bytes, offsets) of a string column; null is empty."""
     if isinstance(col, pa.ChunkedArray):
         col = col.combine_chunks()
-    col = col.fill_null("").cast(pa.large_string())
+    if col.null_count:
+        col = col.fill_null("")
     _, offsets, data = col.buffers()
-    at = np.frombuffer(offsets, np.int64)[col.offset : col.offset + len(col) + 1]
+    at = np.frombuffer(offsets, np.int64 if pa.types.is_large_string(col.type) else np.int32)[col.offset : col.offset + len(col) + 1].astype(np.int64)
     return (np.frombuffer(data, np.uint8) if data is not None else np.zeros(0, np.uint8)), at
 
 
@@ -128,6 +139,7 @@ def chunks(col: pa.Array, inside: np.ndarray = NONSPACE, lower: bool = False, mo
         start = np.flatnonzero(begins)
         yield Chunk(lo, hi, buf, own, start, np.flatnonzero(ends) + 1, np.searchsorted(start, own))
         lo = hi
+    trim()
 
 
 def window_hashes(h: np.ndarray, k: int) -> np.ndarray:
