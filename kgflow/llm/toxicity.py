@@ -29,6 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from kgflow.llm import words
+from kgflow.session import settled
 
 MAX_ROWS, MAX_FEATURES = 4000, 16384
 Z_LEAST, L2, STEPS = 3.0, 0.5, 800
@@ -55,8 +56,8 @@ def sigmoid(x: np.ndarray) -> np.ndarray:
     return 0.5 * (1 + np.tanh(0.5 * x))
 
 
-def labelled(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, most: int) -> tuple[np.ndarray, list[np.ndarray], list[np.ndarray]]:
-    """(toxic, distinct word hashes, their counts) of a bounded sample of labelled texts."""
+def features_of_rows(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, most: int) -> DataFrame:
+    """(id, toxic, size, keys, counts) of a bounded sample of labelled texts: distinct word hashes and their counts."""
     sure = labels.where(f"{id_col} is not null and toxic is not null").groupBy(F.col(id_col).cast("long").alias("id")).agg(F.min("toxic").alias("toxic"), F.max("toxic").alias("t2")).where("toxic = t2")
     # at most `most` rows of two numbers: a proven bound for the broadcast
     sample = sure.orderBy(F.xxhash64("id"), "id").limit(most).select("id", "toxic")
@@ -70,14 +71,71 @@ def labelled(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, mos
                     k, n = np.unique(h[c.first[i] : c.first[i + 1]].reshape(-1), return_counts=True)
                     keys.append(k.tobytes())
                     counts.append(n.astype(np.int32).tobytes())
-                yield pa.RecordBatch.from_arrays([b.column(0).slice(c.lo, c.hi - c.lo), b.column(1).cast(pa.int32()).slice(c.lo, c.hi - c.lo), pa.array(keys, pa.binary()), pa.array(counts, pa.binary())], ["id", "toxic", "keys", "counts"])
+                size = pa.array([h[c.first[i] : c.first[i + 1]].size for i in range(c.hi - c.lo)], pa.int64())
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(c.lo, c.hi - c.lo), b.column(1).cast(pa.int32()).slice(c.lo, c.hi - c.lo), size, pa.array(keys, pa.binary()), pa.array(counts, pa.binary())], ["id", "toxic", "size", "keys", "counts"])
 
-    got = src.mapInArrow(run, "id long, toxic int, keys binary, counts binary").toArrow()
-    got = got.sort_by([("id", "ascending"), ("keys", "ascending")])
-    return np.asarray(got.column("toxic")) > 0, [np.frombuffer(x.as_py(), np.uint64) for x in got.column("keys")], [np.frombuffer(x.as_py(), np.int32) for x in got.column("counts")]
+    return src.mapInArrow(run, "id long, toxic int, size long, keys binary, counts binary")
 
 
-def fit(toxic: np.ndarray, keys: list[np.ndarray], counts: list[np.ndarray], max_features: int = MAX_FEATURES, steps: int = STEPS) -> Model:
+def word_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(key, bad, good): toxic and clean texts of a block that have the word, of batches (toxic, keys)."""
+    for batch in batches:
+        for lo in range(0, batch.num_rows, 256):
+            b = batch.slice(lo, 256)
+            toxic = np.asarray(b.column(0)) > 0
+            keys = [np.frombuffer(x.as_buffer(), np.uint64) for x in b.column(1)]
+            key, code = np.unique(np.concatenate(keys), return_inverse=True)
+            bad = np.bincount(code[np.repeat(toxic, [len(k) for k in keys])], minlength=len(key))
+            good = np.bincount(code, minlength=len(key)) - bad
+            yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.array(bad), pa.array(good)], ["key", "bad", "good"])
+
+
+def tied_words(rows: DataFrame, n1: int, n0: int) -> np.ndarray:
+    """Sorted hashes of the words whose log odds for toxic texts are significant (fit repeats the test exactly)."""
+    bad, good = F.col("bad"), F.col("good")
+    cells = [bad + 0.5, n1 - bad + 0.5, good + 0.5, n0 - good + 0.5]
+    odds = F.log(cells[0]) - F.log(cells[1]) - F.log(cells[2]) + F.log(cells[3])
+    error = F.sqrt(sum((1 / c for c in cells), F.lit(0.0)))
+    counted = rows.select("toxic", "keys").mapInArrow(word_counts, "key long, bad long, good long").groupBy("key").agg(F.sum("bad").alias("bad"), F.sum("good").alias("good"))
+    got = counted.where(odds / error >= Z_LEAST - 1e-6).select("key").toArrow()
+    return np.sort(np.asarray(got.column("key")).astype(np.int64).view(np.uint64))
+
+
+def restricted(rows: DataFrame, vocab: np.ndarray) -> pa.Table:
+    """(id, toxic, size, slots, counts) of the rows, with words of the vocabulary only."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            slots, counts = [], []
+            for k, n in zip(b.column(3), b.column(4), strict=True):
+                k, n = np.frombuffer(k.as_buffer(), np.uint64), np.frombuffer(n.as_buffer(), np.int32)
+                at = np.minimum(np.searchsorted(vocab, k), len(vocab) - 1)
+                hit = vocab[at] == k
+                slots.append(at[hit].astype(np.int32).tobytes())
+                counts.append(n[hit].tobytes())
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), pa.array(slots, pa.binary()), pa.array(counts, pa.binary())], ["id", "toxic", "size", "slots", "counts"])
+
+    return rows.mapInArrow(run, "id long, toxic int, size long, slots binary, counts binary").toArrow().sort_by([("id", "ascending"), ("slots", "ascending")])
+
+
+def labelled(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, most: int) -> tuple[np.ndarray, list[np.ndarray], list[np.ndarray], np.ndarray] | None:
+    """(toxic, word hashes, their counts, numbers of features) of a bounded sample of labelled texts, as fit
+    takes them. The executors count the words and the driver receives those tied to toxicity only."""
+    rows = settled(features_of_rows(docs, labels, id_col, text_col, most))
+    n, n1 = rows.agg(F.count("*"), F.count_if(F.col("toxic") > 0)).first()
+    if not 0 < n1 < n:
+        return None
+    vocab = tied_words(rows, n1, n - n1)
+    if not len(vocab):
+        return None
+    got = restricted(rows, vocab)
+    slots, counts = ([np.frombuffer(x.as_py(), np.int32) for x in got.column(c)] for c in ("slots", "counts"))
+    return np.asarray(got.column("toxic")) > 0, [vocab[x] for x in slots], counts, np.asarray(got.column("size"))
+
+
+def fit(toxic: np.ndarray, keys: list[np.ndarray], counts: list[np.ndarray], size: np.ndarray | None = None, max_features: int = MAX_FEATURES, steps: int = STEPS) -> Model:
+    """The model of rows with distinct word hashes and their counts. Words that no model would choose may be
+    left out of the rows; size then has the rows' whole numbers of features."""
     none = Model(np.zeros(0, np.uint64), np.zeros(0), np.array([20.0, 21.0]))
     if not toxic.any() or toxic.all():
         return none
@@ -96,7 +154,7 @@ def fit(toxic: np.ndarray, keys: list[np.ndarray], counts: list[np.ndarray], max
     slot[chosen] = np.arange(len(chosen))
     kept = slot[code] >= 0
     r, f = row[kept], slot[code[kept]]
-    size = np.bincount(row, many, len(keys))
+    size = np.bincount(row, many, len(keys)) if size is None else size
     tied = np.bincount(r, many[kept], len(keys)) / np.maximum(size, 1)
     grade = toxic.astype(int) + (toxic & (tied >= np.median(tied[toxic])))
     scale = np.clip(odds[chosen], -6, 6)
@@ -125,7 +183,8 @@ def fit(toxic: np.ndarray, keys: list[np.ndarray], counts: list[np.ndarray], max
 
 
 def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", max_rows: int = MAX_ROWS) -> Model:
-    return fit(*labelled(docs, labels, id_col, text_col, max_rows))
+    rows = labelled(docs, labels, id_col, text_col, max_rows)
+    return fit(*(rows or (np.zeros(0, bool), [], [])))
 
 
 def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
