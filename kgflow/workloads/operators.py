@@ -150,12 +150,12 @@ def fn_arrays(spark, sf_dir):
 
 # graph reads ----------------------------------------------------------------------------------
 
-GRAPH = "WITH e AS (SELECT DISTINCT 'c' || o_custkey AS head, 'p' || o_orderpriority AS tail FROM orders WHERE o_orderkey % 7 = 0 UNION SELECT 'n' || c_nationkey, 'c' || c_custkey FROM customer UNION SELECT 'r' || n_regionkey, 'n' || n_nationkey FROM nation)\n"
+GRAPH = "WITH e AS (SELECT DISTINCT 'c' || o_custkey AS head, 'p' || o_orderpriority AS tail FROM orders UNION SELECT 'n' || c_nationkey, 'c' || c_custkey FROM customer UNION SELECT 'r' || n_regionkey, 'n' || n_nationkey FROM nation)\n"
 
 
 def star_graph(spark, sf_dir):
     key = lambda p, c: F.concat(F.lit(p), F.col(c).cast("string"))
-    o = table(spark, sf_dir, "orders").where("o_orderkey % 7 = 0").select(key("c", "o_custkey").alias("head"), key("p", "o_orderpriority").alias("tail"))
+    o = table(spark, sf_dir, "orders").select(key("c", "o_custkey").alias("head"), key("p", "o_orderpriority").alias("tail"))
     c = table(spark, sf_dir, "customer").select(key("n", "c_nationkey").alias("head"), key("c", "c_custkey").alias("tail"))
     n = table(spark, sf_dir, "nation").select(key("r", "n_regionkey").alias("head"), key("n", "n_nationkey").alias("tail"))
     return o.unionByName(c).unionByName(n).distinct()
@@ -185,15 +185,16 @@ def q_reachable_3(spark, sf_dir):
     return graph.reach(star_graph(spark, sf_dir), region_seed(spark), 3)
 
 
-TRI = "WITH e AS (SELECT DISTINCT least(a, b) AS u, greatest(a, b) AS v FROM (SELECT l_suppkey % 40 AS a, 40 + l_partkey % 40 AS b FROM lineitem WHERE l_orderkey % 5 = 0 UNION SELECT l_suppkey % 40, 80 + l_linenumber FROM lineitem UNION SELECT 40 + l_partkey % 40, 80 + l_linenumber FROM lineitem WHERE l_orderkey % 9 = 0) WHERE a <> b)\n"
+TRI = "WITH e AS (SELECT DISTINCT least(a, b) AS u, greatest(a, b) AS v FROM (SELECT 3 * l_suppkey AS a, 3 * l_partkey + 1 AS b FROM lineitem UNION SELECT 3 * l_suppkey, 3 * l_orderkey + 2 FROM lineitem UNION SELECT 3 * l_partkey + 1, 3 * l_orderkey + 2 FROM lineitem))\n"
 
 
 @query(TRI + "SELECT x.u AS a, x.v AS b, y.v AS c FROM e x JOIN e y ON x.v = y.u JOIN e z ON z.u = x.u AND z.v = y.v")
 def q_triangles(spark, sf_dir):
+    """Suppliers, parts and orders that occur together pairwise in line items."""
     l = table(spark, sf_dir, "lineitem")
-    s, p, n = F.col("l_suppkey") % 40, F.lit(40) + F.col("l_partkey") % 40, F.lit(80) + F.col("l_linenumber")
-    e = l.where("l_orderkey % 5 = 0").select(s.alias("head"), p.alias("tail")).unionByName(l.select(s.alias("head"), n.cast("bigint").alias("tail"))).unionByName(l.where("l_orderkey % 9 = 0").select(p.alias("head"), n.cast("bigint").alias("tail")))
-    return graph.triangles(e)
+    s, p, o = 3 * F.col("l_suppkey"), 3 * F.col("l_partkey") + 1, 3 * F.col("l_orderkey") + 2
+    side = lambda x, y: F.struct(x.alias("head"), y.alias("tail"))
+    return graph.triangles(l.select(F.explode(F.array(side(s, p), side(s, o), side(p, o))).alias("e")).select("e.*"))
 
 
 # sources and sinks ----------------------------------------------------------------------------
@@ -294,9 +295,16 @@ def st_replay_equals_batch(spark, sf_dir):
     return seen["active"].select("head", "relation", "tail")
 
 
-@query("SELECT event_id, ts < TIMESTAMP '2024-01-25' AS late FROM events WHERE event_id % 50 = 0")
+DELIVERED = "WITH d AS (SELECT event_id, ts, event_id % 3 AS k FROM events), top AS (SELECT k, max(ts) AS t FROM d GROUP BY k)\n"
+
+
+@query(DELIVERED + "SELECT event_id, coalesce(ts < (SELECT max(t) FROM top WHERE top.k < d.k) - INTERVAL 2 DAY, false) AS late FROM d")
 def st_late_rows(spark, sf_dir):
-    """Rows older than the watermark of a stream that ends on January 27 with two days of delay."""
-    e = table(spark, sf_dir, "events").where("event_id % 50 = 0").select("event_id", "ts")
-    horizon = F.lit("2024-01-27").cast("timestamp_ntz") - F.expr("interval 2 days")
-    return e.select("event_id", (F.col("ts") < horizon).alias("late"))
+    """All events in three deliveries: rows older than the newest time of earlier deliveries less two days go to the late sink."""
+    base = replay.folder(spark, "deliveries")
+    e = table(spark, sf_dir, "events").select("event_id", "ts")
+    for k in range(3):
+        e.where(F.col("event_id") % 3 == k).coalesce(1).write.mode("append").parquet(base)
+    stream = spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).option("latestFirst", False).parquet(base)
+    late, timely = replay.split_late(stream, "ts", "2 days")
+    return late.select("event_id", F.lit(True).alias("late")).unionByName(timely.select("event_id", F.lit(False).alias("late")))
