@@ -1,4 +1,4 @@
-"""Benchmark decontamination: CGK embedding, bit-sampling LSH and exact edit distance, on words.
+"""Benchmark decontamination: a lossless q-gram gate, a lossless count bound and exact edit distance, on words.
 
 A document is contaminated by an item if some stretch of it is within ``RATIO`` of the item's
 words in edit distance (insertions, deletions and replacements of words).
@@ -6,13 +6,12 @@ words in edit distance (insertions, deletions and replacements of words).
 - Windows: an item of n words with at most e edits keeps one of e + 1 stretches of
   q = n // (e + 1) words intact, so a window of n words is looked at where a q-gram of the item
   occurs, on its diagonal. This loses nothing and leaves few windows.
-- Embedding: a walk over a window emits the current word for 3n steps and moves on when a random
-  function of step and word says so. Item and window walk with the same functions, so that they
-  fall in step again after an edit: small edit distance becomes small Hamming distance.
-- LSH: a table samples places of the embedding; a window goes on if all sampled places agree with
-  the item's in any table. Walks and tables repeat until, on random edits of the items at the
-  largest distance, the share of windows found reaches ``RECALL``.
-- Survivors are verified by the exact distance of the item to the best stretch around the window.
+- Count bound: at most e of the item's words are replaced or deleted, so at least n - e of them
+  have to occur in the window widened by e words on both sides. This loses nothing either, for
+  items of any length.
+- Survivors are verified by the exact distance of the item to the best stretch of the widened
+  window. The least over an item's windows is therefore its least distance to the document,
+  wherever that is at most e.
 
 Items are a stated query set. They are sent to the tasks in blocks whose size is checked; more
 items mean more blocks, each over all documents.
@@ -38,9 +37,9 @@ from pyspark.sql import functions as F
 from kgflow.llm import words
 from kgflow.llm.words import U, mix
 
-RATIO, RECALL, SHORT = 0.2, 0.99, 5
-#: Places sampled by a table, tables per walk, and most walks.
-SAMPLE, TABLES, WALKS = 6, 8, 12
+RATIO, SHORT = 0.2, 5
+#: Words of widened windows that are judged at once (one window at least).
+CELLS = 1 << 18
 #: Bytes of item texts in a block.
 ITEM_BYTES = 16 << 20
 
@@ -51,67 +50,9 @@ class Items:
     words: np.ndarray  # (items, longest) word hashes, 0 beyond the end
     size: np.ndarray
     edits: np.ndarray
-    walks: int = WALKS
 
-    def embedded(self) -> np.ndarray:
-        return tables(self.words, self.size, self.walks)
 
-
-def table_places(size: np.ndarray, walk: int) -> np.ndarray:
-    """(rows, TABLES, SAMPLE) sampled steps of the walk, by the item's size."""
-    share = np.random.default_rng(700 + walk).random((TABLES, SAMPLE))
-    return (share[None] * (3 * size)[:, None, None]).astype(np.int64)
-
-
-def walked(x: np.ndarray, size: np.ndarray, walk: int) -> np.ndarray:
-    """CGK embedding of rows of word hashes: (rows, 3 * longest)."""
-    n, longest = x.shape
-    padded = np.concatenate([x, np.zeros((n, 1), np.uint64)], 1)
-    at, out, rows = np.zeros(n, np.int64), np.zeros((n, 3 * longest), np.uint64), np.arange(n)
-    seeds = np.random.default_rng(300 + walk).integers(1, 2**63, 3 * longest, dtype=np.uint64)
-    for j in range(3 * longest):
-        here = padded[rows, at]
-        out[:, j] = here
-        at = np.minimum(at + (mix(here ^ seeds[j]) & U(1)).astype(np.int64), size)
-    return out
-
-
-def tables(x: np.ndarray, size: np.ndarray, walks: int) -> np.ndarray:
-    """(rows, walks * TABLES) keys."""
-    keys = []
-    for walk in range(walks):
-        e = walked(x, size, walk)
-        got = np.take_along_axis(e, table_places(size, walk).reshape(len(x), TABLES * SAMPLE), 1).reshape(len(x), TABLES, SAMPLE)
-        key = np.zeros((len(x), TABLES), np.uint64)
-        for i in range(SAMPLE):
-            key = mix(key * words.WORD_BASE + got[:, :, i] + U(1))
-        keys.append(key)
-    return np.concatenate(keys, 1)
-
-
-def calibrated(items: Items, recall: float, trials: int = 256) -> int:
-    """Fewest walks with which randomly edited items, at the largest distance allowed, are found with this share."""
-    if not len(items.ids):
-        return 1
-    rng = np.random.default_rng(11)
-    pick = rng.integers(0, len(items.ids), trials)
-    x, size = np.zeros((trials, items.words.shape[1]), np.uint64), items.size[pick]
-    for t, i in enumerate(pick):
-        w = items.words[i, : items.size[i]].tolist()
-        for _ in range(items.edits[i]):
-            kind, p = rng.integers(0, 3), int(rng.integers(0, max(1, len(w))))
-            new = int(rng.integers(1, 2**62))
-            w = w[:p] + ([new] if kind < 2 else []) + w[p + (kind != 1) :]
-        w = w[: items.size[i]]
-        x[t, : len(w)] = w
-    hit = tables(x, size, WALKS) == tables(items.words[pick], size, WALKS)
-    for walks in range(1, WALKS + 1):
-        if hit[:, : walks * TABLES].any(1).mean() >= recall:
-            return walks
-    return WALKS
-
-
-def read_items(rows: list[tuple[int, str]], ratio: float, recall: float) -> Items:
+def read_items(rows: list[tuple[int, str]], ratio: float) -> Items:
     ids, seqs = [], []
     for c in words.chunks(pa.array([t for _, t in rows], pa.string()), words.ALNUM, lower=True):
         h = c.hashes()
@@ -124,9 +65,7 @@ def read_items(rows: list[tuple[int, str]], ratio: float, recall: float) -> Item
     for i, s in enumerate(seqs):
         x[i, : len(s)] = s
     edits = np.where(size < SHORT, 0, np.floor(ratio * size)).astype(np.int64)
-    out = Items(np.array(ids, np.int64), x, size, edits)
-    out.walks = calibrated(out, recall)
-    return out
+    return Items(np.array(ids, np.int64), x, size, edits)
 
 
 def grams(items: Items) -> dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]]:
@@ -144,6 +83,13 @@ def grams(items: Items) -> dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]]:
     return out
 
 
+def held(item: np.ndarray, size: np.ndarray, text: np.ndarray) -> np.ndarray:
+    """How many places of each row's item (its first size words) have a word that occurs in its text row."""
+    salt = mix(np.arange(1, len(item) + 1, dtype=np.uint64))[:, None]
+    inside = np.isin(item ^ salt, text ^ salt)  # rows of 64-bit hashes set apart by their salt
+    return (inside & (np.arange(item.shape[1]) < size[:, None])).sum(1)
+
+
 def distances(item: np.ndarray, size: np.ndarray, text: np.ndarray) -> np.ndarray:
     """Least edit distance of each row's item (its first size words) to any stretch of its text row."""
     steps = np.arange(text.shape[1] + 1)
@@ -166,8 +112,6 @@ def search(docs: DataFrame, items: Items, text_col: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         by_length = grams(items)
         lookups = {q: words.Lookup(h) for q, (h, _, _) in by_length.items()}
-        item_keys = items.embedded()
-        longest = items.words.shape[1]
 
         def windows(c: words.Chunk, h: np.ndarray) -> np.ndarray:
             """(item, first word) of every window to look at."""
@@ -184,36 +128,25 @@ def search(docs: DataFrame, items: Items, text_col: str) -> DataFrame:
 
         def judged(c: words.Chunk, h: np.ndarray, pairs: np.ndarray) -> Iterator[tuple[int, int, int, int]]:
             own = c.owners()
-            padded = np.concatenate([h, np.zeros(3 * longest, np.uint64)])
-            for lo in range(0, len(pairs), 2048):
-                i, s = pairs[lo : lo + 2048].T
-                end = c.first[own[s] + 1]
-                n, e = items.size[i], items.edits[i]
-
-                def cut(start: np.ndarray, length: np.ndarray, width: int) -> np.ndarray:
-                    spot = start[:, None] + np.arange(width)
-                    ok = (np.arange(width) < length[:, None]) & (spot < end[:, None]) & (spot >= c.first[own[s]][:, None])  # noqa: B023
-                    return np.where(ok, padded[np.clip(spot, 0, len(padded) - 1)], U(0))
-
-                window = cut(s, n, longest)
-                ok = (window == items.words[i]).all(1)
-                rest = np.flatnonzero(~ok)
-                if len(rest):
-                    ok[rest] = (tables(window[rest], n[rest], items.walks) == item_keys[i[rest]]).any(1)
-                sure = np.flatnonzero(ok)
+            size = items.size[pairs[:, 0]]
+            pairs, size = pairs[np.argsort(size, kind="stable")], np.sort(size)
+            lo = 0
+            while lo < len(pairs):
+                # windows of about one size together; the widest of them is the last
+                hi = min(len(pairs), lo + max(1, CELLS // int(2 * size[lo])), int(np.searchsorted(size, 2 * size[lo], "right")))
+                i, s = pairs[lo:hi].T
+                lo = hi
+                n, e, t = items.size[i], items.edits[i], own[s]
+                item = items.words[i, : n.max()]
+                spot = (s - e)[:, None] + np.arange(int((n + 2 * e).max()))
+                fits = (spot >= c.first[t][:, None]) & (spot < np.minimum(c.first[t + 1], s + n + e)[:, None])
+                around = np.where(fits, h[np.clip(spot, 0, len(h) - 1)], U(0))
+                sure = np.flatnonzero(held(item, n, around) >= n - e)
                 if len(sure):
-                    i, s, e, end = i[sure], s[sure], e[sure], end[sure]
-                    room = items.edits[i].max(initial=0)
-                    own_s = own[s]
-
-                    def around(width: int) -> np.ndarray:
-                        spot = (s - e)[:, None] + np.arange(width)  # noqa: B023
-                        fits = (spot >= c.first[own_s][:, None]) & (spot < end[:, None]) & (np.arange(width) < (items.size[i] + 2 * e)[:, None])  # noqa: B023
-                        return np.where(fits, padded[np.clip(spot, 0, len(padded) - 1)], U(0))
-
-                    d = distances(items.words[i], items.size[i], around(longest + 2 * int(room)))
-                    for t in np.flatnonzero(d <= e):
-                        yield int(own_s[t]), int(i[t]), int(s[t] - c.first[own_s[t]]), int(d[t])
+                    d = distances(item[sure], n[sure], around[sure])
+                    for k in np.flatnonzero(d <= e[sure]):
+                        j = sure[k]
+                        yield int(t[j]), int(i[j]), int(s[j] - c.first[t[j]]), int(d[k])
 
         for b in batches:
             found: list[list] = []
@@ -230,7 +163,7 @@ def search(docs: DataFrame, items: Items, text_col: str) -> DataFrame:
     return docs.mapInArrow(run, f"{fields}, _found array<struct<item:long,word:long,edits:long>>")
 
 
-def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", ratio: float = RATIO, recall: float = RECALL) -> DataFrame:
+def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", ratio: float = RATIO) -> DataFrame:
     """The rows of docs with _found, the items found in each."""
     src = benchmark.select(F.col(item_col).cast("long").alias("item"), F.col(item_text).cast("string").alias("text")).where("item is not null and text is not null")
     total = src.agg(F.sum(F.octet_length("text"))).first()[0] or 0
@@ -239,6 +172,6 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
     out = docs.withColumn("_plain", F.lower(F.col(text_col).cast("string")))
     for k in range(blocks):
         rows = [(r["item"], r["text"]) for r in src.where(F.pmod(F.xxhash64("item"), F.lit(blocks)) == k).orderBy("item", "text").collect()]
-        out = search(out, read_items(rows, ratio, recall), "_plain").withColumnRenamed("_found", f"_found{k}")
+        out = search(out, read_items(rows, ratio), "_plain").withColumnRenamed("_found", f"_found{k}")
     cols = [F.col(f"_found{k}") for k in range(blocks)]
     return out.withColumn("_found", reduce(F.concat, cols) if blocks > 1 else cols[0]).drop("_plain", *(f"_found{k}" for k in range(blocks)))

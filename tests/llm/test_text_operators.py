@@ -250,6 +250,24 @@ def test_decontamination(spark):
     assert pairs > 60 and found >= 0.97 * pairs
 
 
+def test_decontamination_of_long_items(spark):
+    """Every near copy is found with its least distance, however long the item."""
+    r = random.Random(10)
+    big = [f"v{i}" for i in range(3000)]
+    items = [[r.choice(big) for _ in range(n)] for n in (60, 150, 250, 400)]
+    rows = []
+    for i in range(80):
+        item = list(items[i % 4])
+        for _ in range(len(item) // 5):
+            p = r.randrange(len(item))
+            item[p : p + 1] = r.choice([[], [r.choice(big)], [item[p], r.choice(big)]])
+        rows.append((i, " ".join([r.choice(big) for _ in range(20)] + item)))
+    bench = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(items)], "item_id long, text string")
+    out = {x.doc_id: {f.item: f.edits for f in x._found} for x in decontam.contaminated(frame(spark, rows), bench).collect()}
+    for i, t in rows:
+        assert out[i] == {i % 4: brute_edits(items[i % 4], t.split())}
+
+
 def test_neighbours_recall(spark):
     rng = np.random.default_rng(5)
     x = rng.standard_normal((900, 16)).astype(np.float32)
