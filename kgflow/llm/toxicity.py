@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 from kgflow.llm import words
 from kgflow.session import settled
 
-MAX_ROWS, MAX_FEATURES = 4000, 16384
+MAX_ROWS, MAX_FEATURES = 8000, 16384
 Z_LEAST, L2, STEPS = 3.0, 0.5, 800
 PREFIXES = (4, 5, 6, 8)
 

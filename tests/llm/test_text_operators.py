@@ -310,6 +310,14 @@ def test_toxicity_held_out():
     assert (p[:, 0] >= p[:, 1]).all()
 
 
+def test_toxicity_rows_of_the_model(spark):
+    """The model has as many labelled rows as the quality figures were measured with."""
+    n = 8500
+    docs = spark.range(n).selectExpr("id AS doc_id", "concat('w', id % 50, IF(id % 6 = 0, ' vile', '')) AS text")
+    labels = spark.range(n).selectExpr("id AS doc_id", "CAST(id % 6 = 0 AS int) AS toxic")
+    assert len(toxicity.labelled(docs, labels, "doc_id", "text", toxicity.MAX_ROWS)[0]) == 8000
+
+
 def test_fixity(spark):
     from kgflow.llm import fixity
 
