@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from kgflow.functions.text import dot
+from kgflow.session import settled
 
 
 def topk_exact(left: DataFrame, right: DataFrame, k: int = 30, left_id="id", right_id="id", vec="vec", blocks: int = 8) -> DataFrame:
@@ -30,8 +31,9 @@ def planes(dim: int, bits: int, table: int) -> list[list[float]]:
     return np.random.default_rng(97 + table).standard_normal((bits, dim)).round(4).tolist()
 
 
-def topk_lsh(left: DataFrame, right: DataFrame, k: int = 30, dim: int = 64, tables: int = 12, bits: int = 4, left_id="id", right_id="id", vec="vec") -> DataFrame:
-    """As topk_exact(), over pairs that share the signs of some table's hyperplanes."""
+def topk_lsh(left: DataFrame, right: DataFrame, k: int = 30, dim: int = 64, tables: int = 24, bits: int = 4, left_id="id", right_id="id", vec="vec") -> DataFrame:
+    """As topk_exact(), over pairs that share the signs of some table's hyperplanes; left rows that get fewer
+    than k that way are searched exactly."""
 
     def keyed(df: DataFrame, name: str, out: str) -> DataFrame:
         keys = []
@@ -46,7 +48,10 @@ def topk_lsh(left: DataFrame, right: DataFrame, k: int = 30, dim: int = 64, tabl
     pairs = keyed(left, left_id, "a").join(keyed(right, right_id, "b"), "key").where("a <> b").dropDuplicates(["a", "b"])
     scored = pairs.select("a", "b", F.round(dot("va", "vb"), 6).alias("score"))
     rank = F.row_number().over(Window.partitionBy("a").orderBy(F.desc("score"), "b"))
-    return scored.withColumn("rank", rank).where(F.col("rank") <= k)
+    near = settled(scored.withColumn("rank", rank).where(F.col("rank") <= k))
+    full = near.where(F.col("rank") == k).select(F.col("a").alias(left_id))
+    rest = topk_exact(left.join(full, left_id, "left_anti"), right, k, left_id, right_id, vec)
+    return near.join(full.withColumnRenamed(left_id, "a"), "a", "left_semi").unionByName(rest.select(*near.columns))
 
 
 def constrain(cands: DataFrame, schemas: DataFrame) -> DataFrame:

@@ -139,6 +139,15 @@ def test_retrieval_recall_and_exactness(spark, sf_dir):
     assert len(exact & near) / len(exact) > 0.6
 
 
+def test_retrieval_recall_of_lsh(spark, sf_dir):
+    e = sources.table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("vec"))
+    exact = {(r.a, r.b) for r in guidance.topk_exact(e, e, 30).collect()}
+    near = {(r.a, r.b) for r in guidance.topk_lsh(e, e, 30).collect()}
+    assert len(near) == len(exact) and len(exact & near) >= 0.9 * len(exact)
+    few = e.limit(12)
+    assert guidance.topk_lsh(few, few, 30).count() == 12 * 11
+
+
 def test_names_and_vectors(spark):
     names = ["Customer#000000008", "customer 8", "CUSTOMER #8", "customer-8", "Part#7", "GERMANY", None, ""]
     df = spark.createDataFrame([(n,) for n in names], "name string").select(entities.canonical("name").alias("c"))
