@@ -49,12 +49,21 @@ def trusted(documents: DataFrame, labels: DataFrame) -> DataFrame:
     return documents.join(bad, "doc_id", "left_anti")
 
 
+#: Characters between the words by which passages are looked up.
+BETWEEN = r"[^\p{L}\p{N}]+"
+
+
 def containing(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """(doc_id) of documents that hold a benchmark passage word for word. Anchored on the passages'
-    first 32 characters, so that texts meet passages by an equi-join on positions of the anchor's
-    first word, not pairwise."""
-    head = F.regexp_extract("text", r"^(\S+)", 1)
-    items = benchmark.select(head.alias("w"), F.col("text").alias("passage")).where("w <> ''")
-    probe = documents.select("doc_id", "text", F.explode(F.array_distinct(F.split("text", r"\s+"))).alias("w"))
-    small = items.join(probe.select("w", "doc_id", "text"), "w")
-    return small.where(F.expr("instr(text, passage) > 0")).select("doc_id").distinct()
+    """(doc_id) of documents that hold a benchmark passage character for character. Anchored on the longest
+    word inside the passage: with a separator on both sides it is a whole word of every text that holds the
+    passage, whatever stands around that, so texts meet passages by an equi-join. Passages without such
+    a word are compared with every text."""
+    parts = F.split("text", BETWEEN)
+    inner = F.filter(F.slice(parts, 2, F.greatest(F.size(parts) - 2, F.lit(0))), lambda w: w != "")
+    longest = F.array_max(F.transform(inner, lambda w: F.struct(F.length(w).alias("n"), w.alias("w"))))["w"]
+    items = benchmark.where("text is not null").select(F.col("text").alias("passage"), longest.alias("w")).distinct()
+    probe = documents.select("doc_id", "text", F.explode(F.array_distinct(F.split("text", BETWEEN))).alias("w"))
+    held = F.expr("instr(text, passage) > 0")
+    anchored = probe.join(items.where("w is not null"), "w").where(held).select("doc_id")
+    rest = documents.join(items.where("w is null"), held).select("doc_id")
+    return anchored.unionByName(rest).distinct()

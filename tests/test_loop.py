@@ -148,6 +148,13 @@ def test_retrieval_recall_of_lsh(spark, sf_dir):
     assert guidance.topk_lsh(few, few, 30).count() == 12 * 11
 
 
+def test_passages_wherever_they_stand(spark):
+    bench = spark.createDataFrame([(1, "What is the capital"), (2, " leading space, here"), (3, "oneword"), (4, "(x)"), (5, None)], "item_id long, text string")
+    texts = ['He said "What is the capital of', "<p>What is the capital</p>", "a leading space, hereafter", "prefixonewordsuffix", "f(x)=1", "What is a capital", "leading space, here", None, ""]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    assert sorted(r.doc_id for r in segment.containing(docs, bench).collect()) == [0, 1, 2, 3, 4]
+
+
 def test_names_and_vectors(spark):
     names = ["Customer#000000008", "customer 8", "CUSTOMER #8", "customer-8", "Part#7", "GERMANY", None, ""]
     df = spark.createDataFrame([(n,) for n in names], "name string").select(entities.canonical("name").alias("c"))
