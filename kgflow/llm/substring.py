@@ -8,8 +8,8 @@ between them does not branch, and the edges compact into one path. ``repeated_pa
 joins: paths whose source lies on an earlier document's own path move to the root of that path,
 and pieces that meet there become one. ``verified`` compares the words of path and source.
 
-A path of two or more edges agrees in two hashes at adjacent coordinates on both sides; a single
-edge rests on one hash of 56 bits plus the bucket (64 bits or more). ``verified`` is exact.
+``deduplicate`` removes by hash alone: an edge rests on one hash of 56 bits plus the bucket (64 bits or
+more from 128 shuffle partitions on). ``verified`` is exact, but no query calls it.
 
 Edge cases: null and empty texts have no words; texts with under k words no k-mers; rows with a
 null id neither lose words nor serve as sources; rows sharing an id don't remove each other's
