@@ -1,16 +1,16 @@
 """License scan: an exact set-similarity join of text blocks with license templates.
 
 Words are runs of ASCII digits, lower-cased ASCII letters and non-ASCII characters. A block is a
-line of a text, as the set of its words. A template, as the set of its words, is contained in a
-block to the share of its words that the block holds, and every (block, template) pair whose
-share reaches the threshold is found:
+window of consecutive words of a text, as the set of its words; it may run over line ends and has
+the template's number of words over the threshold, so that other words in between have some room. A
+template, as the set of its words, is contained in a block to the share of its words that the block
+holds. All windows that start at a word of the template are looked at, and every (block, template)
+pair whose share reaches the threshold is found, the best per line in which windows start:
 
 - words of the templates are ordered by their frequency in the whole corpus, rarest first;
 - prefix filter: of a template with n words, o of which a block must hold, a block without any
   of the n - o + 1 rarest can't qualify;
-- length filter: a block of fewer than o distinct words can't qualify;
-- positional filter: a block whose rarest word of the template is the p-th can hold at most
-  n - p + 1 of them.
+- length filter: a block of fewer than o words of the template can't qualify.
 
 Survivors are counted in full. Phrases of the base labels are templates to be contained
 wholly and in order: their rarest word is the prefix, its place in the phrase gives the place where the
@@ -86,6 +86,7 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", phrase
     lookup = words.Lookup(word_hash(in_rank))
     sets = [(np.array(sorted({rank[w] for w in t.split()})), label) for t, label in templates]
     need = [math.ceil(containment * len(s) - 1e-9) for s, _ in sets]
+    reach = [math.ceil(len(t.split()) / containment - 1e-9) for t, _ in templates]
     places = pa.list_(pa.struct([("word", pa.int64()), ("label", pa.string())]))
     blocks = pa.list_(pa.struct([("line", pa.int64()), ("label", pa.string()), ("share", pa.float64())]))
 
@@ -104,27 +105,26 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", phrase
 
     def block_matches(c: words.Chunk, code: np.ndarray, own: np.ndarray) -> list[tuple[int, int, str, float]]:
         feeds = np.concatenate(([0], np.cumsum(c.buf == 0x0A)))
-        line = feeds[c.start]
-        known = np.flatnonzero(code >= 0)
-        # blocks as (line of the chunk, text): a text's first line may share its number with the last one before
-        block = line[known] + own[known]
-        pair = np.unique(np.stack([block, code[known]], 1), axis=0)
-        if not len(pair):
-            return []
-        owner = dict(zip(block.tolist(), known.tolist(), strict=True))
-        cut = np.flatnonzero(np.append(True, pair[1:, 0] != pair[:-1, 0]))
-        size = np.diff(np.append(cut, len(pair)))
+        line = feeds[c.start] - feeds[c.at[own]]
         out = []
-        for (s, label), o in zip(sets, need, strict=True):
-            member = np.isin(pair[:, 1], s)
-            spot = np.where(member, np.searchsorted(s, pair[:, 1]), len(s))
-            rarest = np.minimum.reduceat(spot, cut)
-            maybe = (size >= o) & (rarest <= len(s) - o)  # length, and prefix with position
-            held = np.add.reduceat(member.astype(np.int64), cut)
-            for i in np.flatnonzero(maybe & (held >= o)):
-                w = owner[int(pair[cut[i], 0])]
-                t = int(own[w])
-                out.append((t, int(line[w] - feeds[c.at[t]]), label, float(held[i]) / len(s)))
+        for (s, label), o, wide in zip(sets, need, reach, strict=True):
+            at = np.flatnonzero(np.isin(code, s))
+            # windows start at a word of the template; length: they have to hold enough of its words
+            stop = np.minimum(at + wide, c.first[own[at] + 1])
+            maybe = np.flatnonzero(np.searchsorted(at, stop) - np.arange(len(at)) >= o)
+            # prefix: without any of the rarest words, a window can't hold enough
+            rare = np.flatnonzero(np.isin(code, s[: len(s) - o + 1]))
+            maybe = maybe[np.searchsorted(rare, at[maybe]) < np.searchsorted(rare, stop[maybe])]
+            held = np.zeros(len(maybe), np.int64)
+            for w in s:
+                spot = at[code[at] == w]
+                held += np.searchsorted(spot, at[maybe]) < np.searchsorted(spot, stop[maybe])
+            best: dict[tuple[int, int], int] = {}
+            for i in np.flatnonzero(held >= o):
+                w = at[maybe[i]]
+                key = (int(own[w]), int(line[w]))
+                best[key] = max(best.get(key, 0), int(held[i]))
+            out += [(t, n, label, h / len(s)) for (t, n), h in best.items()]
         return out
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -159,6 +159,7 @@ def digest(scanned: DataFrame, id_col: str = "doc_id") -> DataFrame:
 
 
 def oracle() -> str:
+    """Lines as blocks: the same as the scan's windows where a notice has a line of its own."""
     quote = lambda rows: ", ".join("('{}', '{}')".format(*r) for r in rows)
     return rf"""
 WITH phrase(t, label) AS (VALUES {quote(PHRASES)}),

@@ -212,6 +212,15 @@ def test_license_blocks(spark):
     assert got[1].base_labels == "apache" and got[4].n_words == 0
 
 
+def test_license_notices_over_lines(spark):
+    """A wrapped notice is found; words spread over a text without line feeds are none."""
+    wrapped = "x\nRedistribution and use in source and binary forms, with or without\nmodification, are permitted provided that"
+    spread = "under " + "a " * 40 + "released " + "b " * 40 + "license " + "c " * 40 + "the mit"
+    docs = spark.createDataFrame([(0, wrapped), (1, spread), (2, "the mit\nlicence released\nunder license")], "doc_id long, text string")
+    got = {r.doc_id: (r.labels, r.score) for r in license.digest(license.scan(docs)).collect()}
+    assert got == {0: ("bsd", 1.0), 1: ("", 0.0), 2: ("mit", 1.0)}
+
+
 def brute_edits(item, doc):
     row = [0] * (len(doc) + 1)
     for a in item:
