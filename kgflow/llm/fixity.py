@@ -1,114 +1,146 @@
 """Merkle fixity audit of archived records.
 
-Records are laid out as an archive writer would: dealt to files by a hash of their id, so that a
-file has about ``per_file`` records, ordered in the file by id and content, each with the byte
-offset at which it starts. A leaf is the hash of a record with its header; an inner node hashes
-the digests of ``fanout`` neighbouring nodes together with the byte range they cover; a file has
-a root, and roots of files are themselves leaves of the tree above, up to one root.
-
-Two replicas are audited from the top: roots are compared, and only children of nodes that
-differ are read on the next level. Nodes are addressed by the ordinal of their first record in
-the manifest's layout, so that one changed record changes one path.
-
-Only the leaves touch contents; they are written once to the shared folder, some hundred bytes a
-record whatever its size. The levels above shrink by the fanout.
-
-Edge cases: null ids and contents are hashed as marked nulls; repeated records are told apart by
-their order; records that only one replica has are reported as missing or extra; two empty
-replicas agree.
+Records of both replicas share a layout: they are matched by id and, among records of one id, by
+rank, and numbered in the order of ids; a missing record leaves an empty slot, so it shifts no
+others. A leaf is the hash of a record with its header. A node hashes its children in order, each
+with its digest and its length: the lengths in order are the ranges of offsets relative to the
+node. So a record that changes, or grows, changes one path of nodes to the root and nothing
+beside it. Nodes of level ``FILE_LEVEL`` are the files; a record's offset counts from its file's start.
+
+Two replicas are compared from the root down: only the children of nodes that differ are read on
+the next level, and the differing leaves are the damage. All levels are written to the shared folder
+as they are built; they shrink by the fanout. Only the leaves touch contents.
+
+Nothing is grouped by id or file alone: numbers come from a range sort and per-partition counts, and
+nodes have at most ``fanout`` children, so a null id or a repeated one that a third of all records has
+is spread like any other.
+
+Edge cases: null ids and contents are hashed as marked nulls; records with equal ids are paired in the
+order of their digests; records that only one replica has are reported as missing or extra; two
+empty replicas agree; columns beside those named are ignored, and names match in any case.
 """
 
 from __future__ import annotations
 
-import math
+from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from kgflow.llm.frames import by_position, column
 from kgflow.session import settled
 
-FANOUT, PER_FILE = 16, 4096
+FANOUT, FILE_LEVEL = 16, 2
 
 
-def record(columns: list[str]) -> Column:
+def record(fields: list[Column]) -> Column:
     """The bytes of a record: each field with its length, null apart from empty."""
     parts = []
-    for c in columns:
-        text = F.col(c).cast("string")
+    for text in fields:
         parts.append(F.when(text.isNull(), F.lit("-\n")).otherwise(F.concat(F.octet_length(text).cast("string"), F.lit("\n"), text)))
     return F.concat(F.lit("WARC/1.1\n"), *parts)
 
 
-def leaves(records: DataFrame, id_col: str, columns: list[str], files: int) -> DataFrame:
-    """(file, ordinal, start, length, id, digest), ordered within each file."""
-    body = record([id_col, *columns])
-    hashed = records.select(F.col(id_col).cast("string").alias("id"), F.sha2(body, 256).alias("digest"), F.octet_length(body).cast("long").alias("length"))
-    dealt = hashed.withColumn("file", F.pmod(F.xxhash64("id"), F.lit(files)).cast("int"))
-    order = Window.partitionBy("file").orderBy("id", "digest")
-    return dealt.select("file", (F.row_number().over(order) - 1).cast("long").alias("ordinal"), (F.sum("length").over(order.rowsBetween(Window.unboundedPreceding, 0)) - F.col("length")).alias("start"), "length", "id", "digest")
+def numbered(rows: DataFrame, order: list[str], out: str) -> DataFrame:
+    """rows, written once, with their number in this order, from 0. Sorted by range; the driver gets one count
+    per partition. Rows that are equal in the order are told apart by where they were read."""
+    src = rows.withColumn("_read", F.monotonically_increasing_id())
+    sorted_ = src.repartitionByRange(*order, "_read").sortWithinPartitions(*order, "_read").drop("_read")
+    placed = settled(sorted_.withColumn("_at", F.monotonically_increasing_id()))
+    part = F.shiftright("_at", 33)
+    counts = sorted((r["p"], r["n"]) for r in placed.groupBy(part.alias("p")).agg(F.count("*").alias("n")).collect())
+    before, total = [], 0
+    for p, n in counts:
+        before.append((p, total))
+        total += n
+    starts = rows.sparkSession.createDataFrame(before, "_p long, _before long")  # one row per partition
+    joined = placed.join(F.broadcast(starts), part == F.col("_p"))
+    return joined.withColumn(out, F.col("_before") + F.col("_at").bitwiseAND((1 << 33) - 1)).drop("_at", "_p", "_before")
+
+
+def leaves(records: DataFrame, id_col: str, columns: list[str]) -> DataFrame:
+    """(key, copy, id, digest, length): key is the id as text, null apart from empty; copy tells the records of one id apart."""
+    names = [column(records, c).cast("string") for c in (id_col, *columns)]
+    body = record(names)
+    hashed = settled(by_position(records).select(names[0].alias("id"), F.sha2(body, 256).alias("digest"), F.octet_length(body).cast("long").alias("length")).withColumn("key", F.coalesce(F.concat(F.lit("="), "id"), F.lit("-"))))
+    repeated = hashed.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
+    ones = hashed.join(repeated, "key", "left_anti").withColumn("copy", F.lit(0).cast("long"))
+    many = settled(numbered(hashed.join(repeated, "key", "left_semi"), ["key", "digest"], "at"))
+    first = many.groupBy("key").agg(F.min("at").alias("first"))
+    ranked = many.join(first, "key").withColumn("copy", F.col("at") - F.col("first")).drop("at", "first")
+    return ones.unionByName(ranked).select("key", "copy", "id", "digest", "length")
+
+
+def layout(own: DataFrame, other: DataFrame) -> DataFrame:
+    """(slot, id, and digest and length of either replica): the leaves of both in the common order."""
+    side = lambda x, p: x.select("key", "copy", F.col("id").alias(f"{p}_id"), F.col("digest").alias(f"{p}_digest"), F.col("length").alias(f"{p}_length"))
+    both = side(own, "a").join(side(other, "b"), ["key", "copy"], "full_outer").withColumn("id", F.coalesce("a_id", "b_id")).drop("a_id", "b_id")
+    return settled(numbered(both, ["key", "copy"], "slot").drop("key", "copy"))
 
 
-def aligned(own: DataFrame, other: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Both replicas' leaves under the ordinals of a common layout: records are matched by id and
-    by their rank among records of one id, so that a missing record shifts no others."""
-    copy = Window.partitionBy("file", "id").orderBy("digest")
-    a, b = (x.withColumn("copy", F.row_number().over(copy)) for x in (own, other))
-    slots = a.select("file", "id", "copy").unionByName(b.select("file", "id", "copy")).distinct()
-    slots = slots.withColumn("slot", (F.row_number().over(Window.partitionBy("file").orderBy("id", "copy")) - 1).cast("long"))
-    keyed = lambda x: x.join(slots.select("file", F.col("id").alias("_id"), F.col("copy").alias("_copy"), "slot").withColumnRenamed("file", "_file"), (F.col("file") == F.col("_file")) & F.col("id").eqNullSafe(F.col("_id")) & (F.col("copy") == F.col("_copy"))).drop("_file", "_id", "_copy", "copy")
-    return keyed(a), keyed(b)
+def parents(nodes: DataFrame, fanout: int) -> DataFrame:
+    """Nodes (node, and digest and length of either replica) one level up; a replica without children has none."""
+    kids = F.array_sort(F.collect_list(F.struct("node", "a_digest", "a_length", "b_digest", "b_length")))
 
+    def hashed(p: str) -> Column:
+        there = F.filter("kids", lambda k: k[f"{p}_digest"].isNotNull())
+        line = F.array_join(F.transform(there, lambda k: F.concat_ws(":", k[f"{p}_length"].cast("string"), k[f"{p}_digest"])), ";")
+        return F.when(F.size(there) > 0, F.sha2(line, 256)).alias(f"{p}_digest")
 
-def parents(nodes: DataFrame, fanout: int) -> DataFrame:
-    """Nodes (file, node, digest, start, stop) one level up."""
-    kids = F.array_sort(F.collect_list(F.struct("node", "digest")))
-    return nodes.groupBy("file", F.floor(F.col("node") / fanout).alias("node")).agg(F.sha2(F.concat_ws("|", F.array_join(F.transform(kids, lambda k: k["digest"]), ","), F.min("start").cast("string"), F.max("stop").cast("string")), 256).alias("digest"), F.min("start").alias("start"), F.max("stop").alias("stop"))
+    up = nodes.groupBy(F.floor(F.col("node") / fanout).alias("node")).agg(kids.alias("kids"), F.sum("a_length").alias("a_length"), F.sum("b_length").alias("b_length"))
+    return up.select("node", hashed("a"), "a_length", hashed("b"), "b_length")
+
+
+@dataclass
+class Trees:
+    """Levels of the trees of both replicas, leaves first, the root last; each level is stored."""
+
+    levels: list[DataFrame]
+    fanout: int
 
+    def damaged(self) -> tuple[DataFrame, list[int]]:
+        """(node) of the leaves that differ, and how many nodes were read per level, root first."""
+        bad, read = None, []
+        for level in reversed(self.levels):
+            if bad is not None:
+                level = level.withColumn("up", F.floor(F.col("node") / self.fanout)).join(bad.withColumnRenamed("node", "up"), "up", "left_semi").drop("up")
+            seen = settled(level.select("node", F.col("a_digest").eqNullSafe(F.col("b_digest")).alias("same")))
+            n, differ = seen.agg(F.count("*"), F.count_if(~F.col("same"))).first()
+            bad = seen.where("not same").select("node")
+            read.append(n)
+            if not differ:
+                break
+        return bad, read
 
-def tree(slots: DataFrame, levels: int, fanout: int = FANOUT) -> list[DataFrame]:
-    """Levels of the trees of all files, leaves first; file roots last."""
-    out = [slots.select("file", F.col("slot").alias("node"), "digest", "start", (F.col("start") + F.col("length")).alias("stop"))]
-    for _ in range(levels):
-        out.append(parents(out[-1], fanout))
-    return out
 
+def trees(slots: DataFrame, fanout: int = FANOUT) -> Trees:
+    levels = [slots.select(F.col("slot").alias("node"), "a_digest", "a_length", "b_digest", "b_length")]
+    widest = slots.agg(F.max("slot")).first()[0] or 0
+    while widest or len(levels) == 1:
+        levels.append(settled(parents(levels[-1], fanout)))
+        widest //= fanout
+    return Trees(levels, fanout)
 
-def top(roots: DataFrame, files: int, fanout: int = FANOUT) -> DataFrame:
-    """The one root over the roots of all files."""
-    out = roots.select(F.lit(0).alias("file"), F.col("file").cast("long").alias("node"), "digest", "start", "stop")
-    for _ in range(max(1, math.ceil(math.log(max(2, files), fanout)))):
-        out = parents(out, fanout)
-    return out
 
+def offsets(slots: DataFrame, p: str, fanout: int, file_level: int) -> Column:
+    """Where a record starts in its file: a window over one file's slots, at most fanout ** file_level of them."""
+    from pyspark.sql import Window
 
-def differing(own: DataFrame, other: DataFrame, among: DataFrame | None, fanout: int) -> DataFrame:
-    """(file, node) of nodes that differ, among children of differing nodes only."""
-    if among is not None:
-        kids = among.select("file", F.col("node").alias("up"))
-        own, other = (x.withColumn("up", F.floor(F.col("node") / fanout)).join(kids, ["file", "up"], "left_semi") for x in (own, other))
-    both = own.select("file", "node", F.col("digest").alias("x")).join(other.select("file", "node", F.col("digest").alias("y")), ["file", "node"], "full_outer")
-    return both.where(~F.col("x").eqNullSafe(F.col("y"))).select("file", "node")
+    before = Window.partitionBy(F.floor(F.col("slot") / fanout**file_level)).orderBy("slot").rowsBetween(Window.unboundedPreceding, -1)
+    return F.coalesce(F.sum(f"{p}_length").over(before), F.lit(0))
 
 
-def audit(manifest: DataFrame, replica: DataFrame, id_col: str, columns: list[str], per_file: int = PER_FILE, fanout: int = FANOUT) -> DataFrame:
+def audit(manifest: DataFrame, replica: DataFrame, id_col: str, columns: list[str], fanout: int = FANOUT, file_level: int = FILE_LEVEL) -> DataFrame:
     """(id, file, start, length, expected, found, status) for every record of either replica;
-    status: intact, corrupt, missing or extra."""
-    rows = max(manifest.count(), replica.count(), 1)
-    files = math.ceil(rows / per_file)
-    a, b = (settled(x) for x in aligned(*(settled(leaves(x, id_col, columns, files)) for x in (manifest, replica))))
-    most = max((x.agg(F.max("slot")).first()[0] or 0) for x in (a, b)) + 1
-    levels = max(1, math.ceil(math.log(max(2, most), fanout)))
-    ours, theirs = tree(a, levels, fanout), tree(b, levels, fanout)
-    bad = None
-    if top(ours[-1], files, fanout).exceptAll(top(theirs[-1], files, fanout)).isEmpty() and top(theirs[-1], files, fanout).exceptAll(top(ours[-1], files, fanout)).isEmpty():
-        bad = ours[0].select("file", "node").limit(0)
-    else:
-        for x, y in zip(reversed(ours), reversed(theirs), strict=True):
-            bad = settled(differing(x, y, bad, fanout))
-    marked = bad.select("file", F.col("node").alias("slot"), F.lit(True).alias("bad"))
-    side = b.select("file", "slot", F.col("id").alias("id2"), F.col("start").alias("start2"), F.col("length").alias("length2"), F.col("digest").alias("found"))
-    # contents of intact subtrees are not compared again: their digests are the manifest's
-    lost = side.join(marked, ["file", "slot"])
-    out = a.join(marked, ["file", "slot"], "left").join(lost.drop("bad"), ["file", "slot"], "full_outer")
-    status = F.when(F.col("digest").isNull(), "extra").when(F.col("bad").isNull(), "intact").when(F.col("found").isNull(), "missing").otherwise("corrupt")
-    return out.select(F.coalesce("id", "id2").alias("id"), "file", F.coalesce("start", "start2").alias("start"), F.coalesce("length", "length2").alias("length"), F.col("digest").alias("expected"), F.when(status == "intact", F.col("digest")).otherwise(F.col("found")).alias("found"), status.alias("status"))
+    status: intact, corrupt, missing or extra. start and length are the manifest's, or the replica's where only it has the record."""
+    slots = layout(*(leaves(x, id_col, columns) for x in (manifest, replica)))
+    bad, _ = trees(slots, fanout).damaged()
+    marked = slots.withColumn("a_start", offsets(slots, "a", fanout, file_level)).withColumn("b_start", offsets(slots, "b", fanout, file_level)).join(bad.select(F.col("node").alias("slot"), F.lit(True).alias("bad")), "slot", "left")
+    status = F.when(F.col("bad").isNull(), "intact").when(F.col("a_digest").isNull(), "extra").when(F.col("b_digest").isNull(), "missing").otherwise("corrupt")
+    there = F.col("a_digest").isNotNull()
+    return marked.select(
+        "id", F.floor(F.col("slot") / fanout**file_level).alias("file"), F.when(there, F.col("a_start")).otherwise(F.col("b_start")).alias("start"),
+        F.when(there, F.col("a_length")).otherwise(F.col("b_length")).alias("length"), F.col("a_digest").alias("expected"),
+        # the digests of intact subtrees are the manifest's; they are not compared one by one
+        F.when(F.col("bad").isNull(), F.col("a_digest")).otherwise(F.col("b_digest")).alias("found"), status.alias("status"),
+    )

@@ -327,24 +327,45 @@ def test_toxicity_rows_of_the_model(spark):
     assert len(toxicity.labelled(docs, labels, "doc_id", "text", toxicity.MAX_ROWS)[0]) == 8000
 
 
+def replicas(spark, rows, bad):
+    return (spark.createDataFrame([tuple(r) for r in x], "page_id long, url string, html string, key int, node int, copy string") for x in (rows, bad))
+
+
 def test_fixity(spark):
     from kgflow.llm import fixity
 
-    rows = [(i, f"http://x/{i}", "body" * (i % 7)) for i in range(300)] + [(7, "http://x/7", None), (None, None, None)]
+    rows = [(i, f"http://x/{i}", "body" * (i % 7), 1, 2, "c") for i in range(300)] + [(7, "http://x/7", None, 1, 2, "c"), (None, None, None, 1, 2, "c"), (None, "http://n", "", 1, 2, "c"), (7, "http://x/7", None, 1, 2, "c")]
     bad = [list(r) for r in rows]
     bad[17][2] = "flipped"
     del bad[50]
-    bad.append([999, "http://new", "extra"])
-    a, b = (spark.createDataFrame([tuple(r) for r in x], "page_id long, url string, html string") for x in (rows, bad))
-    out = fixity.audit(a, b, "page_id", ["url", "html"], per_file=40, fanout=4).collect()
+    bad.append([999, "http://new", "extra", 1, 2, "c"])
+    a, b = replicas(spark, rows, bad)
+    out = fixity.audit(a, b, "Page_ID", ["url", "HTML"], fanout=4).collect()
     got = {}
     for r in out:
         got.setdefault(r.status, []).append(r.id)
-    assert got["corrupt"] == ["17"] and got["missing"] == ["50"] and got["extra"] == ["999"] and len(got["intact"]) == 300
+    assert got["corrupt"] == ["17"] and got["missing"] == ["50"] and got["extra"] == ["999"] and len(got["intact"]) == 302
+    for file in {r.file for r in out}:  # offsets run on within a file
+        own = sorted((r.start, r.length) for r in out if r.file == file and r.status != "extra")
+        assert not own or own[0][0] == 0 and all(x + n == y for (x, n), (y, _) in zip(own, own[1:]))
     assert {r.status for r in fixity.audit(a, a, "page_id", ["url", "html"]).collect()} == {"intact"}
     assert fixity.audit(a.limit(0), a.limit(0), "page_id", ["url", "html"]).count() == 0
 
 
+def test_fixity_reads_one_path(spark):
+    """A record that grows, one that is lost and none: the nodes read on every level."""
+    from kgflow.llm import fixity
+
+    rows = [[i, f"http://x/{i}", "body" * (i % 5), 1, 2, "c"] for i in range(256)]
+    longer, lost = [list(r) for r in rows], [r for r in rows if r[0] != 100]
+    longer[30][2] += "<!-- sixteen -->"
+    for bad, want in ((longer, [1, 4, 4, 4, 4]), (lost, [1, 4, 4, 4, 4]), (rows, [1])):
+        a, b = replicas(spark, rows, bad)
+        tree = fixity.trees(fixity.layout(*(fixity.leaves(x, "page_id", ["url", "html"]) for x in (a, b))), fanout=4)
+        damaged, read = tree.damaged()
+        assert read == want and damaged.count() == len(want) // 5
+
+
 @pytest.mark.parametrize("name", ["op2_url_filters", "op4_warc_fixity", "op9_line_dedup", "op3_license_scan", "op6_substring_dedup"])
 def test_queries_against_sql(spark, sf_dir, same_as_sql, name):
     same_as_sql(registry.queries()[name](spark, sf_dir), registry.oracle_sql()[name])
