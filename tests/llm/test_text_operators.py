@@ -221,6 +221,45 @@ def test_license_notices_over_lines(spark):
     assert got == {0: ("bsd", 1.0), 1: ("", 0.0), 2: ("mit", 1.0)}
 
 
+def brute_license(text, templates=None):
+    """Labels and best share of every window that starts at a word of a template."""
+    import math
+    import re
+
+    ws = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", re.sub("[A-Z]", lambda m: m.group().lower(), text or ""))
+    best = {}
+    for t in templates or license.TEMPLATES:
+        s = set(t.words)
+        for p, w in enumerate(ws):
+            if w in s:
+                x = set(ws[p : p + math.ceil(len(t.words) / license.CONTAINMENT - 1e-9)])
+                share = len(x & s) / len(s)
+                if share >= license.CONTAINMENT - 1e-9 and set(t.must) <= x and not set(t.never) & x:
+                    best[t.label] = max(best.get(t.label, 0), share)
+    return best
+
+
+def test_license_against_brute_force(spark):
+    """Notices whole, worn, near the threshold and of related licenses, in other text."""
+    r = random.Random(21)
+    rows = ["Released under the BSD license.", "Licensed under CC BY-SA 4.0", "Licensed under CC BY 4.0", "Licensed under CC BY-NC-SA 4.0. x", "under the general license of the software", " ".join(license.TEMPLATES[1].words) * 1]
+    for _ in range(150):
+        t = r.choice(license.TEMPLATES)
+        w = [x.upper() if r.random() < 0.2 else x for x in t.words if r.random() > r.choice([0, 0.1, 0.2, 0.3])]
+        for _ in range(r.randint(0, len(w) // 4)):
+            w.insert(r.randrange(len(w) + 1), r.choice(VOCAB + ["license", "the", "gnu", "sa"]))
+        rows.append(" ".join([r.choice(VOCAB + ["software", "of"]) for _ in range(r.randint(0, 30))]) + r.choice([" ", "\n", ", "]) + r.choice([" ", "\n"]).join(w))
+    rows.append("the license of the software " * 4000 + "released under the mit license " + "x " * 5000)
+    docs = spark.createDataFrame([(i, t, "a", 1) for i, t in enumerate(rows)], "Doc_Id long, TEXT string, id string, line int").repartition(3)
+    found = {x.doc_id: {} for x in license.scan(docs).collect()}
+    for x in license.scan(docs).collect():
+        for b in x.blocks:
+            found[x.doc_id][b.label] = max(found[x.doc_id].get(b.label, 0), b.share)
+    want = {i: brute_license(t) for i, t in enumerate(rows)}
+    assert found == want and sum(map(bool, want.values())) > 60
+    assert want[0].keys() == {"bsd"} and want[1].keys() == {"cc-by-sa"} and want[2].keys() == {"cc-by"} and want[3].keys() == {"cc-by-nc-sa"} and not want[4]
+
+
 def brute_edits(item, doc):
     row = [0] * (len(doc) + 1)
     for a in item:
