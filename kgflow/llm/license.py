@@ -289,8 +289,8 @@ WITH phrase(t, label) AS (VALUES {quote(PHRASES)}),
 template(label, s, need, wide, must, never) AS (VALUES {rows}),
 d AS (SELECT doc_id, translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS x FROM documents),
 w AS (SELECT doc_id, regexp_extract_all(x, '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS ws FROM d),
-starts AS (SELECT doc_id, ws, unnest(range(1, len(ws) + 1)) AS p FROM w),
-places AS (SELECT doc_id, p - 1 AS p, label FROM starts JOIN phrase ON array_to_string(ws[p:p + len(string_split(t, ' ')) - 1], ' ') = t),
+starts AS (SELECT doc_id, ws, string_split(t, ' ') AS ts, t, label, unnest(range(1, len(ws) + 1)) AS p FROM w JOIN phrase ON list_has_all(ws, string_split(t, ' '))),
+places AS (SELECT doc_id, p - 1 AS p, label FROM starts WHERE ws[p] = ts[1] AND array_to_string(ws[p:p + len(ts) - 1], ' ') = t),
 maybe AS (SELECT doc_id, ws, template.* FROM w, template WHERE list_has_all(ws, must) AND len(list_intersect(list_distinct(ws), s)) >= need),
 windows AS (SELECT doc_id, label, s, need, must, never, ws[p:p + wide - 1] AS x FROM (SELECT *, unnest(range(1, len(ws) + 1)) AS p FROM maybe) WHERE list_contains(s, ws[p])),
 shares AS (SELECT *, len(list_intersect(list_distinct(x), s)) AS held FROM windows WHERE list_has_all(x, must) AND NOT list_has_any(x, never)),
