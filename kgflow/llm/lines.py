@@ -7,7 +7,8 @@ overlapping occurrences merge. The first occurrence of any line's content is nev
 
 Edge cases: null and empty texts and texts with under three lines stay as they are; rows with a
 null id neither lose lines nor serve as sources; equal rows with one id stay as they are
-towards each other; other columns pass through.
+towards each other; other columns pass through under any name, but for _lines and _removed, which are
+replaced; names of id and text match in any case.
 """
 
 from __future__ import annotations
@@ -21,6 +22,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from kgflow.llm import packs, words
+from kgflow.llm.frames import by_position, column, id_and_text, place, restored
 
 WINDOW = 3
 #: Bytes inside lines: all but the line feed.
@@ -42,11 +44,44 @@ def line_windows(col: pa.Array, k: int) -> Iterator[tuple[words.Chunk, np.ndarra
         yield c, key[ok], own, np.flatnonzero(ok) - first[own]
 
 
+def found_lines(hits: DataFrame, shared: DataFrame, tasks: int) -> DataFrame:
+    """(id, found): per document the positions of its later windows with 16 bits of their hash, and whether other rows have its id."""
+
+    def take(blobs: dict[int, list[bytes]]) -> Iterator[pa.RecordBatch]:
+        doc, pos, _, _, tag = packs.hits_of(blobs.get(1, []))
+        ids, first = np.unique(doc, return_index=True)
+        both = np.isin(ids, packs.shared_of(blobs.get(0, [])))
+        cuts = np.append(first, len(doc))
+        for lo in range(0, len(ids), 4096):
+            part = range(lo, min(len(ids), lo + 4096))
+            blob = [packs.pack(pos[cuts[i] : cuts[i + 1]], tag[cuts[i] : cuts[i + 1]]) for i in part]
+            yield pa.RecordBatch.from_arrays([pa.array(ids[part.start : part.stop]), pa.array(blob, pa.binary()), pa.array(both[part.start : part.stop])], ["id", "found", "shared"])
+
+    return packs.in_buckets(hits.unionByName(shared), tasks, take, "id long, found binary, shared boolean")
+
+
+def kept_lines(text: str, pos: np.ndarray, tag: np.ndarray, shared: bool, k: int) -> tuple[int, int, str]:
+    """(non-blank lines, removed lines, text left)."""
+    lines = text.split("\n")
+    full = [j for j, line in enumerate(lines) if line.strip(" \t\r\v\f")]
+    gone = np.zeros(len(full) + k, bool)
+    if shared and len(pos):
+        ok = np.zeros(len(pos), bool)
+        for _, key, _, _ in line_windows(pa.array([text], pa.string()), k):
+            inside = pos < len(key)
+            ok[inside] = (key[pos[inside]] & words.U(0xFFFF)).astype(np.int64) == tag[inside]
+        pos = pos[ok]
+    for d in range(k):
+        gone[pos + d] = True
+    drop = {full[j] for j in np.flatnonzero(gone[: len(full)])}
+    return len(full), len(drop), "\n".join(x for j, x in enumerate(lines) if j not in drop) if drop else text
+
+
 def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = WINDOW) -> DataFrame:
     """The rows of docs with the text's later line windows removed, and two more columns:
     _lines (non-blank lines before) and _removed."""
     tasks, buckets, doc_buckets = packs.spread(docs.sparkSession)
-    src = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
+    src = id_and_text(docs, id_col, text_col)
 
     def items(batches: Iterator[pa.RecordBatch]) -> packs.Items:
         for b in batches:
@@ -56,35 +91,28 @@ def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
                 yield key, ids[c.lo + own], pos
 
     hits = packs.first_occurrences(src, items, tasks, buckets, doc_buckets)
-    at = docs.columns.index(text_col)
-
-    def edit(rows: pa.Table, found: list[np.ndarray]) -> pa.Table:
-        doc, pos, _, _, tag = found
-        lo, hi, _, shared = packs.by_row(rows.column(id_col), doc)
-        n_lines, n_removed, kept = [], [], []
-        for i, text in enumerate(rows.column(at)):
-            text = text.as_py()
-            lines = (text or "").split("\n")
-            full = [j for j, line in enumerate(lines) if line.strip(" \t\r\v\f")]
-            gone = np.zeros(len(full) + k, bool)
-            p = pos[lo[i] : hi[i]]
-            if shared[i] and len(p):
-                ok = np.zeros(len(p), bool)
-                for _, key, _, _ in line_windows(pa.array([text], pa.string()), k):
-                    inside = p < len(key)
-                    ok[inside] = (key[p[inside]] & words.U(0xFFFF)).astype(np.int64) == tag[lo[i] : hi[i]][inside]
-                p = p[ok]
-            for d in range(k):
-                gone[p + d] = True
-            drop = {full[j] for j in np.flatnonzero(gone[: len(full)])}
-            n_lines.append(len(full))
-            n_removed.append(len(drop))
-            kept.append("\n".join(x for j, x in enumerate(lines) if j not in drop) if drop else text)
-        rows = rows.set_column(at, text_col, pa.array(kept, pa.string()))
-        return rows.append_column("_lines", pa.array(n_lines, pa.int64())).append_column("_removed", pa.array(n_removed, pa.int64()))
-
-    schema = T.StructType([*docs.schema.fields, T.StructField("_lines", T.LongType()), T.StructField("_removed", T.LongType())])
-    return packs.with_hits(docs, hits, id_col, text_col, doc_buckets, edit, schema)
+    found = found_lines(hits, packs.shared_ids(src, doc_buckets), tasks)
+    at, width = place(docs, text_col), len(docs.columns)
+
+    def edit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            n_lines, n_removed, kept = [], [], []
+            for text, blob, shared in zip(b.column(at).cast(pa.string()), b.column(width), b.column(width + 1), strict=True):
+                pos, tag = (x.view(np.int64) for x in packs.unpack(blob.as_py())) if blob.is_valid else (np.zeros(0, np.int64),) * 2
+                n, gone, left = kept_lines(text.as_py() or "", pos, tag, bool(shared.as_py()), k)
+                n_lines.append(n)
+                n_removed.append(gone)
+                kept.append(left if gone else text.as_py())
+            cols = b.columns[:width]
+            cols[at] = pa.array(kept, pa.string())
+            yield pa.RecordBatch.from_arrays([*cols, pa.array(n_lines, pa.int64()), pa.array(n_removed, pa.int64())], [*(f"c{i}" for i in range(width)), "_lines", "_removed"])
+
+    key = column(docs, id_col).cast("long")
+    wide = by_position(docs)
+    joined = wide.join(found, key == F.col("id"), "left").select(*wide.columns, "found", "shared")
+    fields = [T.StructField(f"c{i}", T.StringType() if i == at else f.dataType) for i, f in enumerate(docs.schema.fields)]
+    schema = T.StructType([*fields, T.StructField("_lines", T.LongType()), T.StructField("_removed", T.LongType())])
+    return restored(joined.mapInArrow(edit, schema), docs.columns, ["_lines", "_removed"])
 
 
 ORACLE = r"""

@@ -241,23 +241,51 @@ def spread(spark: SparkSession) -> tuple[int, int, int]:
     return n, 2 * n, 4 * n
 
 
-def with_hits(docs: DataFrame, hits: DataFrame, id_col: str, text_col: str, doc_buckets: int, edit: Callable[[pa.Table, list[np.ndarray]], pa.Table], schema: str) -> DataFrame:
-    """Join documents with their hits, a bucket of documents at a time; rows without an id are dealt by their text."""
-    bucket = F.pmod(F.when(F.col(id_col).isNull(), F.xxhash64(text_col)).otherwise(F.xxhash64(F.col(id_col).cast("long"))), F.lit(doc_buckets)).cast("int")
+def in_buckets(rows: DataFrame, parts: int, take: Callable[[dict[int, list[bytes]]], Iterable[pa.RecordBatch]], schema: str) -> DataFrame:
+    """take() of the blobs, by kind, of every bucket of packed rows, one bucket at a time."""
 
-    def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        out = edit(left.drop_columns(["_bucket"]).combine_chunks(), hits_of(right.column("blob").to_pylist()))
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bucket, blobs = None, {}
+        for batch in batches:
+            for b, kind, blob in zip(*(batch.column(i) for i in range(3)), strict=True):
+                if b.as_py() != bucket:
+                    if blobs:
+                        yield from take(blobs)
+                    bucket, blobs = b.as_py(), {}
+                blobs.setdefault(kind.as_py(), []).append(blob.as_py())
+        if blobs:
+            yield from take(blobs)
         trim()
-        return out
 
-    return docs.withColumn("_bucket", bucket).groupBy("_bucket").cogroup(hits.withColumnRenamed("bucket", "_bucket").groupBy("_bucket")).applyInArrow(run, schema)
+    return rows.repartition(parts, "bucket").sortWithinPartitions("bucket").mapInArrow(run, schema)
+
+
+def shared_ids(src: DataFrame, doc_buckets: int) -> DataFrame:
+    """Packs (bucket, kind 0, blob) of the ids that several rows have."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            doc = np.asarray(b.column(0)).astype(np.int64)
+            to = xxhash64(doc) % doc_buckets
+            yield from shipped([(int(k), 0, pack(doc[to == k])) for k in np.unique(to)])
+
+    return src.where("id is not null").groupBy("id").agg(F.count("*").alias("n")).where("n > 1").select("id").mapInArrow(run, SHIPPED)
+
+
+def shared_of(blobs: list[bytes]) -> np.ndarray:
+    return np.sort(np.concatenate([unpack(b)[0] for b in blobs]).view(np.int64)) if blobs else np.zeros(0, np.int64)
+
+
+def zipped(src: DataFrame) -> DataFrame:
+    """(id, blob) of rows (id, text): texts compressed for the shuffle; null stays null."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        press = zstandard.ZstdCompressor(level=1).compress
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([press(t.as_buffer()) if t.is_valid else None for t in b.column(1)], pa.binary())], ["id", "blob"])
+
+    return src.mapInArrow(run, "id long, blob binary")
 
 
-def by_row(ids: pa.ChunkedArray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """For rows with these ids: the range of their hits (from, to), whether the id is null, whether it is another row's too."""
-    null = np.asarray(ids.is_null())
-    known = np.asarray(ids.fill_null(0)).astype(np.int64)
-    lo, hi = np.searchsorted(doc, known, "left"), np.searchsorted(doc, known, "right")
-    lo[null] = hi[null] = 0
-    _, inverse, counts = np.unique(known, return_inverse=True, return_counts=True)
-    return lo, hi, null, (counts[inverse] > 1) & ~null
+def unzipped(blob: pa.BinaryScalar) -> bytes:
+    return zstandard.ZstdDecompressor().decompress(blob.as_buffer()) if blob.is_valid else b""

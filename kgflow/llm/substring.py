@@ -1,35 +1,45 @@
 """Repeated word spans across documents, on a de Bruijn graph of word k-mers.
 
-An edge is a k-mer (k consecutive words); an occurrence has coordinates (document, word). The
-global search of :mod:`packs` finds the repeated edges and gives each later occurrence the
-coordinates of one in a smaller document. Documents are then joined with their repeated edges:
-while the next edge of a document continues at the next coordinate of the same source, the node
-between them does not branch, and the edges compact into one path. ``repeated_paths`` goes on by
-joins: paths whose source lies on an earlier document's own path move to the root of that path,
-and pieces that meet there become one. ``verified`` compares the words of path and source.
+An edge is a k-mer (k consecutive words); an occurrence has coordinates (document, word).
 
-``deduplicate`` removes by hash alone: an edge rests on one hash of 56 bits plus the bucket (64 bits or
-more from 128 shuffle partitions on). ``verified`` is exact, but no query calls it.
+1. The global search of :mod:`packs` finds the repeated edges and gives each later occurrence the
+   coordinates of one in a smaller document.
+2. Of one document's edges, those that run on along one source are a nonbranching path: ``pieces``.
+3. ``compacted`` goes on by joins: a piece whose source lies on a path of the source's own document moves to
+   that path's source, and pieces that then run on along one source become one path.
+4. ``verified`` reads the words at the source coordinates of every path and joins their digest back; a
+   document's words go only where the words of the path, read in that document, have the same digest
+   (128 bits, of the words themselves). Hashes of k-mers only propose.
+
+Texts are shuffled once, compressed, and read from there for both the source coordinates and the removal.
 
 Edge cases: null and empty texts have no words; texts with under k words no k-mers; rows with a
-null id neither lose words nor serve as sources; rows sharing an id don't remove each other's
-words and are told apart by hash tags; columns beside id and text are ignored.
+null id neither lose words nor serve as sources; rows sharing an id don't remove each other's words, and as
+their coordinates are mixed, their paths are single k-mers; columns beside id and text are ignored,
+whatever their names. If the hash of a k-mer meets that of another one in the smallest document (once in
+some 1e18 pairs), the words stay.
 """
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 from itertools import compress
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from kgflow.llm import packs, words
+from kgflow.llm.frames import id_and_text
+from kgflow.session import stored
 
 WINDOW = 13
+#: Words of a source document whose paths are looked up together.
+REQUESTS = 4096
 SPANS = pa.list_(pa.struct([("start", pa.int32()), ("length", pa.int32()), ("source_doc", pa.int64()), ("source_start", pa.int32())]))
+PIECES = "doc long, start int, length int, source_doc long, source_start int, lone boolean"
 
 
 def kmers(k: int):
@@ -46,89 +56,99 @@ def kmers(k: int):
     return items
 
 
-def paths(pos: np.ndarray, sdoc: np.ndarray, spos: np.ndarray, k: int) -> list[tuple[int, int, int, int]]:
-    """Compact the repeated edges of one document: (start word, words, source document, source word)."""
-    if not len(pos):
-        return []
-    cut = np.ones(len(pos), bool)
-    cut[1:] = (np.diff(pos) != 1) | (np.diff(sdoc) != 0) | (np.diff(spos) != 1)
-    at = np.flatnonzero(cut)
-    edges = np.diff(np.append(at, len(pos)))
-    return list(zip(pos[at].tolist(), (edges + k - 1).tolist(), sdoc[at].tolist(), spos[at].tolist(), strict=True))
-
+def pieces(hits: DataFrame, shared: DataFrame, tasks: int, k: int) -> DataFrame:
+    """Runs of repeated edges of one document along one source; of documents whose id is shared, single edges (lone)."""
+
+    def take(blobs: dict[int, list[bytes]]) -> Iterator[pa.RecordBatch]:
+        doc, pos, sdoc, spos, _ = packs.hits_of(blobs.get(1, []))
+        ok = sdoc < doc
+        doc, pos, sdoc, spos = doc[ok], pos[ok], sdoc[ok], spos[ok]
+        if not len(doc):
+            return
+        shift = spos - pos
+        order = np.lexsort((pos, shift, sdoc, doc))
+        doc, pos, sdoc, shift = doc[order], pos[order], sdoc[order], shift[order]
+        lone = np.isin(doc, packs.shared_of(blobs.get(0, [])))
+        cut = np.ones(len(doc), bool)
+        cut[1:] = lone[1:] | (np.diff(doc) != 0) | (np.diff(sdoc) != 0) | (np.diff(shift) != 0) | (np.diff(pos) > 1)
+        at = np.flatnonzero(cut)
+        last = np.append(at[1:], len(doc)) - 1
+        cols = [pa.array(doc[at]), pa.array(pos[at].astype(np.int32)), pa.array((pos[last] - pos[at] + k).astype(np.int32)), pa.array(sdoc[at]), pa.array((pos + shift)[at].astype(np.int32)), pa.array(lone[at])]
+        whole = pa.RecordBatch.from_arrays(cols, [f.split()[0] for f in PIECES.split(", ")])
+        yield from (whole.slice(i, 8192) for i in range(0, len(at), 8192))
+
+    return packs.in_buckets(hits.unionByName(shared), tasks, take, PIECES)
+
+
+def compacted(found: DataFrame) -> DataFrame:
+    """Paths of the pieces: sources moved to the source of the path they lie on, and pieces that run on, or
+    overlap, along one source joined.
+
+    One round is enough: only the source that a block of rows chose can lie on another path, and that path's
+    source is settled over all rows."""
+    own = found.where("not lone").groupBy(F.col("doc").alias("source_doc")).agg(F.collect_list(F.struct("start", "length", F.col("source_doc").alias("d"), F.col("source_start").alias("p"))).alias("own"))
+    holds = F.filter("own", lambda x: (x["start"] <= F.col("source_start")) & (F.col("source_start") + F.col("length") <= x["start"] + x["length"]))
+    up = F.get(F.array_sort(holds), 0)
+    rooted = found.join(own, "source_doc", "left").withColumn("up", up).select(
+        "doc", "start", "length", F.coalesce("up.d", "source_doc").alias("source_doc"), F.coalesce(F.col("source_start") - F.col("up.start") + F.col("up.p"), "source_start").alias("source_start"), "lone"
+    )
+    line = Window.partitionBy("doc", "source_doc", F.col("source_start") - F.col("start"), F.when(F.col("lone"), F.col("start"))).orderBy("start")
+    reached = F.max(F.col("start") + F.col("length")).over(line.rowsBetween(Window.unboundedPreceding, -1))
+    runs = rooted.withColumn("new", F.coalesce(F.col("start") > reached, F.lit(True)).cast("int")).withColumn("run", F.sum("new").over(line))
+    shift = (F.col("source_start") - F.col("start")).alias("shift")
+    joined = runs.groupBy("doc", "source_doc", shift, "lone", "run", F.when(F.col("lone"), F.col("start")).alias("at")).agg(F.min("start").alias("start"), F.max(F.col("start") + F.col("length")).alias("stop"))
+    return joined.select("doc", "start", (F.col("stop") - F.col("start")).alias("length"), "source_doc", (F.col("start") + F.col("shift")).alias("source_start"))
+
+
+def digest(tokens: list[bytes], start: int, length: int) -> bytes:
+    return hashlib.blake2b(b" ".join(tokens[start : start + length]), digest_size=16).digest()
+
+
+def verified(zipped: DataFrame, paths: DataFrame) -> DataFrame:
+    """paths with the digests of the words at their source coordinates (several where rows share the source's id)."""
+    asked = paths.select("source_doc", "source_start", "length").distinct()
+    lists = asked.groupBy("source_doc", F.floor(F.col("source_start") / REQUESTS).alias("part")).agg(F.collect_list(F.struct("source_start", "length")).alias("asked"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for doc, blob, wanted in zip(*(b.column(i) for i in range(3)), strict=True):
+                tokens, n = packs.unzipped(blob).split(), len(wanted)
+                start, length = (np.asarray(wanted.values.field(i)) for i in (0, 1))
+                got = [digest(tokens, s, w) for s, w in zip(start.tolist(), length.tolist(), strict=True)]
+                yield pa.RecordBatch.from_arrays([pa.array([doc.as_py()] * n, pa.int64()), pa.array(start, pa.int32()), pa.array(length, pa.int32()), pa.array(got, pa.binary())], ["source_doc", "source_start", "length", "digest"])
 
-def matching(text: str | None, k: int, pos: np.ndarray, tag: np.ndarray) -> np.ndarray:
-    """Which hits fit this text: only needed for rows that share an id."""
-    ok = np.zeros(len(pos), bool)
-    for c in words.chunks(pa.array([text], pa.string())):
-        key, _, _ = words.windows(c, k)
-        inside = pos < len(key)
-        ok[inside] = (key[pos[inside]] & words.U(0xFFFF)).astype(np.int64) == tag[inside]
-    return ok
+    read = zipped.join(lists, F.col("id") == F.col("source_doc")).select("source_doc", "blob", "asked").mapInArrow(run, "source_doc long, source_start int, length int, digest binary")
+    known = read.groupBy("source_doc", "source_start", "length").agg(F.collect_set("digest").alias("digests"))
+    return paths.join(known, ["source_doc", "source_start", "length"])
 
 
-def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = WINDOW) -> DataFrame:
-    """(id, n_words, n_removed, spans, kept_text): each word covered by a k-mer that also starts in a document with a smaller id is removed."""
+def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = WINDOW, items=kmers) -> DataFrame:
+    """(id, n_words, n_removed, spans, kept_text): each word covered by a k-mer that also starts in a document with a
+    smaller id is removed; spans are the verified paths with the coordinates of their sources."""
     tasks, buckets, doc_buckets = packs.spread(docs.sparkSession)
-    src = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
-    hits = packs.first_occurrences(src, kmers(k), tasks, buckets, doc_buckets)
-
-    def edit(rows: pa.Table, found: list[np.ndarray]) -> pa.Table:
-        doc, pos, sdoc, spos, tag = (x[found[2] < found[0]] for x in found)
-        lo, hi, _, shared = packs.by_row(rows.column("id"), doc)
-        n_words, n_removed, spans, kept = [], [], [], []
-        for i, text in enumerate(rows.column("text")):
-            own = (text.as_py() or "").encode().split()
-            n_words.append(len(own))
-            if lo[i] == hi[i]:
-                n_removed.append(0)
-                spans.append([])
-                kept.append(b" ".join(own).decode())
-                continue
-            p, s, sp = pos[lo[i] : hi[i]], sdoc[lo[i] : hi[i]], spos[lo[i] : hi[i]]
-            if shared[i]:
-                ok = matching(text.as_py(), k, p, tag[lo[i] : hi[i]])
-                p, ok = np.unique(p[ok], return_index=True)[0], np.flatnonzero(ok)[np.unique(p[ok], return_index=True)[1]]
-                s, sp = s[ok], sp[ok]
-            step = np.zeros(len(own) + 1, np.int32)
-            np.add.at(step, p, 1)
-            np.add.at(step, p + k, -1)
-            keep = np.cumsum(step[:-1]) == 0
-            n_removed.append(int(len(own) - keep.sum()))
-            spans.append([dict(zip(("start", "length", "source_doc", "source_start"), x, strict=True)) for x in paths(p, s, sp, k)])
-            kept.append(b" ".join(compress(own, keep.tolist())).decode())
-        return pa.table([rows.column("id"), pa.array(n_words, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(spans, SPANS), pa.array(kept, pa.string())], ["id", "n_words", "n_removed", "spans", "kept_text"])
-
-    out = packs.with_hits(src, hits, "id", "text", doc_buckets, edit, "id long, n_words long, n_removed long, spans array<struct<start:int,length:int,source_doc:long,source_start:int>>, kept_text string")
-    return out.withColumnRenamed("id", id_col)
+    src = id_and_text(docs, id_col, text_col)
+    hits = packs.first_occurrences(src, items(k), tasks, buckets, doc_buckets)
+    paths = stored(compacted(stored(pieces(hits, packs.shared_ids(src, doc_buckets), tasks, k))))
+    zipped = packs.zipped(src)
+    per_doc = verified(zipped, paths).groupBy(F.col("doc").alias("id")).agg(F.collect_list(F.struct("start", "length", "source_doc", "source_start", "digests")).alias("paths"))
 
-
-def repeated_paths(deduplicated: DataFrame, id_col: str = "doc_id", rounds: int = 2) -> DataFrame:
-    """(doc, start, length, source_doc, source_start) with sources moved to the roots of their paths, by joins.
-
-    A source given by a block may itself lie on a path of its document; after two rounds none does, as
-    a block's source is settled globally. A path that only in part lies on its source's path stays as it is."""
-    flat = deduplicated.select(F.col(id_col).alias("doc"), F.explode("spans").alias("s")).select("doc", "s.*")
-    for _ in range(rounds):
-        root = flat.select(F.col("doc").alias("source_doc"), F.struct(F.col("start").alias("a"), F.col("length").alias("n"), F.col("source_doc").alias("d"), F.col("source_start").alias("p")).alias("r"))
-        inside = (F.col("r.a") <= F.col("source_start")) & (F.col("source_start") + F.col("length") <= F.col("r.a") + F.col("r.n"))
-        flat = (
-            flat.join(root, "source_doc", "left")
-            .withColumn("r", F.when(inside, F.col("r")))
-            .groupBy("doc", "start", "length", "source_doc", "source_start")
-            .agg(F.max("r").alias("r"))
-            .select("doc", "start", "length", F.coalesce("r.d", "source_doc").alias("source_doc"), F.coalesce(F.col("source_start") - F.col("r.a") + F.col("r.p"), "source_start").alias("source_start"))
-        )
-    return flat.groupBy("doc", "source_doc", (F.col("source_start") - F.col("start")).alias("shift"), "start").agg(F.max("length").alias("length")).select("doc", "start", "length", "source_doc", (F.col("shift") + F.col("start")).alias("source_start"))
-
-
-def verified(docs: DataFrame, spans: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """spans (doc, start, length, source_doc, source_start) whose words equal their source's words, word for word."""
-    own = docs.select(F.col(id_col).alias("_d"), F.split(F.trim(F.regexp_replace(F.coalesce(text_col, F.lit("")), r"[\x20\x09-\x0D]+", " ")), " ").alias("_w"))
-    cut = lambda start: F.sha2(F.array_join(F.slice("_w", F.col(start) + 1, F.col("length")), " "), 256)
-    one = spans.join(own, F.col("doc") == F.col("_d")).withColumn("_a", cut("start")).drop("_d", "_w")
-    both = one.join(own, F.col("source_doc") == F.col("_d")).withColumn("_b", cut("source_start")).drop("_d", "_w")
-    return both.where("_a = _b").drop("_a", "_b").distinct()
+    def edit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            n_words, n_removed, spans, kept = [], [], [], []
+            for blob, found in zip(b.column(1), b.column(2), strict=True):
+                own = packs.unzipped(blob).split()
+                sure = [x for x in found.as_py() or () if x["start"] + x["length"] <= len(own) and digest(own, x["start"], x["length"]) in x.pop("digests")]
+                keep = np.ones(len(own), bool)
+                for x in sure:
+                    keep[x["start"] : x["start"] + x["length"]] = False
+                n_words.append(len(own))
+                n_removed.append(int(len(own) - keep.sum()))
+                spans.append(sorted(sure, key=lambda x: (x["start"], x["length"], x["source_doc"], x["source_start"])))
+                kept.append(b" ".join(compress(own, keep.tolist()) if sure else own))
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n_words, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(spans, SPANS), pa.array(kept, pa.binary()).cast(pa.string())], ["id", "n_words", "n_removed", "spans", "kept_text"])
+
+    out = zipped.join(per_doc, "id", "left").select("id", "blob", "paths").mapInArrow(edit, "id long, n_words long, n_removed long, spans array<struct<start:int,length:int,source_doc:long,source_start:int>>, kept_text string")
+    return out.withColumnRenamed("id", id_col)
 
 
 ORACLE = r"""

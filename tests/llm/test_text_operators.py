@@ -79,11 +79,36 @@ def brute_substring(rows, k=13):
 def test_substring(spark, monkeypatch, block):
     monkeypatch.setattr(packs, "BLOCK", block)
     rows = corpus()
-    out = substring.deduplicate(frame(spark, rows)).cache()
-    assert sorted((r.doc_id, r.n_words, r.n_removed, r.kept_text) for r in out.collect()) == brute_substring(rows)
-    flat = substring.repeated_paths(out)
-    sure = substring.verified(frame(spark, rows).dropDuplicates(["doc_id"]), flat)
-    assert flat.count() == sure.count() > 0
+    docs = frame(spark, rows)
+    out = substring.deduplicate(docs).collect()
+    assert sorted((r.doc_id, r.n_words, r.n_removed, r.kept_text) for r in out) == brute_substring(rows)
+    text = {}
+    for i, t in rows:
+        text.setdefault(i, []).append((t or "").split())
+    n = 0
+    for r in out:
+        for x in r.spans:  # the words of a path stand at its source coordinates
+            assert x.source_doc < r.doc_id
+            assert any(a[x.start : x.start + x.length] == b[x.source_start : x.source_start + x.length] for a in text[r.doc_id] for b in text[x.source_doc])
+            n += 1
+        ends = sorted((x.source_doc, x.source_start - x.start, x.start, x.length) for x in r.spans)
+        assert r.doc_id == 5 or all((a[:2]) != (b[:2]) or a[2] + a[3] < b[2] for a, b in zip(ends, ends[1:]))  # paths don't run on
+    assert n > 10
+
+
+def test_substring_equal_hashes(spark):
+    """K-mers of different words with one hash are proposed, but their words stay."""
+    rows = [(1, " ".join(f"a{i}" for i in range(30))), (2, " ".join(f"b{i}" for i in range(30))), (3, " ".join([f"b{i}" for i in range(20)] + ["x"])), (4, None)]
+
+    def blunt(k):
+        def items(batches):
+            for key, doc, pos in substring.kmers(k)(batches):
+                yield np.where((pos == 0) & (doc < 3), np.uint64(77), key), doc, pos
+
+        return items
+
+    out = {r.doc_id: (r.n_removed, len(r.spans)) for r in substring.deduplicate(frame(spark, rows), items=blunt).collect()}
+    assert out == {1: (0, 0), 2: (0, 0), 3: (19, 1), 4: (0, 0)}
 
 
 def test_empty_tables(spark):
@@ -128,6 +153,39 @@ def test_lines(spark):
     assert {x.doc_id: x.text or "" for x in out.collect()} == brute_lines(rows)
 
 
+CLASHING = "DOC_ID long, Text string, _bucket int, _LINES int, _removed string, found int, c0 int, shared int, _severity int, _found int, _plain int, _toxic int"
+
+
+def clashing(spark, rows):
+    """Columns that differ from the asked ones in case, and columns with the names that operators use."""
+    return spark.createDataFrame([(i, t, 1, 2, "r", 3, 4, 5, 6, 7, 8, 9) for i, t in rows], CLASHING).repartition(3)
+
+
+def test_clashing_names(spark):
+    rows = [(i, "\n".join(["alpha", "beta", "gamma", f"delta {i}"])) for i in range(12)] + [(90, None), (91, "")]
+    docs = clashing(spark, rows)
+    out = lines.deduplicate(docs)
+    assert out.columns == [c for c in docs.columns if c not in ("_LINES", "_removed")] + ["_lines", "_removed"]
+    assert {x.DOC_ID: x.Text or "" for x in out.collect()} == brute_lines(rows) and out.where("c0 <> 4 or _bucket <> 1").count() == 0
+    assert substring.deduplicate(docs, k=3).where("n_removed > 0").count() == 11
+    labels = spark.createDataFrame([(i, int(i % 2)) for i in range(12)], "doc_id long, toxic int")
+    scored = toxicity.score(docs, toxicity.train(docs, labels))
+    assert scored.count() == 14 and scored.columns == [c for c in docs.columns if c not in ("_severity", "_toxic")] + ["_severity", "_grade", "_toxic"]
+    bench = spark.createDataFrame([(1, "gamma delta 7")], "ITEM_ID long, Text string")
+    found = decontam.contaminated(docs, bench)
+    assert found.columns == [c for c in docs.columns if c != "_found"] + ["_found"]
+    assert [x.DOC_ID for x in found.where("size(_found) > 0").collect()] == [7]
+    assert neardup.label_documents(docs).count() == 14 and bpe.round_trip_digests(docs).count() == 14
+    assert license.scan(docs).count() == 14
+
+
+def test_line_dedup_of_long_texts(spark):
+    many = "\n".join(f"line {i}" for i in range(20000))
+    rows = [(1, many), (2, "x\n" + many), (3, "y\n" * 9)]
+    out = {x.doc_id: (x._lines, x._removed, x.text) for x in lines.deduplicate(frame(spark, rows)).collect()}
+    assert out == {1: (20000, 0, many), 2: (20001, 20000, "x"), 3: (9, 8, "y\n")}
+
+
 def brute_near(rows, percent):
     sets = {}
     for i, t in rows:
