@@ -32,6 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from kgflow.coref.cluster import components
+from kgflow.llm.frames import id_and_text
 from kgflow.llm import packs, words
 from kgflow.llm.words import U, mix
 from kgflow.session import settled, width
@@ -97,7 +98,7 @@ def marks(docs: DataFrame, threshold: float, id_col: str, text_col: str) -> Data
                 parity = [np.packbits((np.bincount((s & U(PLACES - 1)).astype(np.int64), minlength=PLACES) & 1).astype(np.uint8)).tobytes() if len(s) else None for s in sets]
                 yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sizes, pa.int64()), pa.array(sums[0]), pa.array(sums[1]), pa.array(halves, pa.binary()), pa.array(parity, pa.binary())], ["id", "n_shingles", "s1", "s2", "halves", "parity"])
 
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, MARKS)
+    return id_and_text(docs, id_col, text_col).mapInArrow(run, MARKS)
 
 
 def table_keys(halves: pa.Array) -> np.ndarray:
@@ -176,7 +177,7 @@ def full_sets(docs: DataFrame, wanted: DataFrame, id_col: str, text_col: str) ->
                 b = batch.slice(lo, 256)
                 yield pa.RecordBatch.from_arrays([b.column(0), pa.array([s.tobytes() for s in shingle_sets(b.column(1))], pa.binary())], ["id", "shingles"])
 
-    src = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")).join(wanted, "id", "left_semi")
+    src = id_and_text(docs, id_col, text_col).join(wanted, "id", "left_semi")
     return src.mapInArrow(run, "id long, shingles binary")
 
 

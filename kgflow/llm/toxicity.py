@@ -15,7 +15,8 @@ model's size, and scoring runs over every text.
 
 Edge cases: null and empty texts have no features and score what the thresholds give; without
 labelled rows of both kinds nothing is toxic; labels that are null, or disagree for one id,
-are ignored; repeated documents are scored alike.
+are ignored; repeated documents are scored alike; other columns pass through under any name, but for
+_severity, _grade and _toxic, which are replaced; names match in any case.
 """
 
 from __future__ import annotations
@@ -27,8 +28,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from kgflow.llm import words
+from kgflow.llm.frames import by_position, column, id_and_text, place, restored
 from kgflow.session import settled
 
 MAX_ROWS, MAX_FEATURES = 8000, 16384
@@ -58,10 +61,11 @@ def sigmoid(x: np.ndarray) -> np.ndarray:
 
 def features_of_rows(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, most: int) -> DataFrame:
     """(id, toxic, size, keys, counts) of a bounded sample of labelled texts: distinct word hashes and their counts."""
-    sure = labels.where(f"{id_col} is not null and toxic is not null").groupBy(F.col(id_col).cast("long").alias("id")).agg(F.min("toxic").alias("toxic"), F.max("toxic").alias("t2")).where("toxic = t2")
+    given = by_position(labels).select(column(labels, id_col).cast("long").alias("id"), column(labels, "toxic").cast("int").alias("toxic")).where("id is not null and toxic is not null")
+    sure = given.groupBy("id").agg(F.min("toxic").alias("toxic"), F.max("toxic").alias("t2")).where("toxic = t2")
     # at most `most` rows of two numbers: a proven bound for the broadcast
     sample = sure.orderBy(F.xxhash64("id"), "id").limit(most).select("id", "toxic")
-    src = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")).join(F.broadcast(sample), "id").select("id", "toxic", "text")
+    src = id_and_text(docs, id_col, text_col).join(F.broadcast(sample), "id").select("id", "toxic", "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -189,13 +193,13 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
 
 def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of docs with _severity (expected grade), _grade (most probable) and _toxic (P(grade > 0) >= 1/2)."""
-    at = docs.columns.index(text_col)
+    at, wide = place(docs, text_col), by_position(docs)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         lookup = words.Lookup(model.keys)
         for b in batches:
             total = []
-            for c in words.chunks(b.column(at), words.ALNUM, lower=True):
+            for c in words.chunks(b.column(at).cast(pa.string()), words.ALNUM, lower=True):
                 where, which = lookup.found(c.hashes(*PREFIXES).reshape(-1))
                 where = where // (1 + len(PREFIXES))
                 own = np.searchsorted(c.first, where, "right") - 1
@@ -206,5 +210,5 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
             grades = np.stack([1 - p[:, 0], p[:, 0] - p[:, 1], p[:, 1]], 1).argmax(1)
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(p.sum(1)), pa.array(grades.astype(np.int32)), pa.array(p[:, 0] >= 0.5)], [*b.schema.names, "_severity", "_grade", "_toxic"])
 
-    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    return docs.mapInArrow(run, f"{fields}, _severity double, _grade int, _toxic boolean")
+    added = [T.StructField("_severity", T.DoubleType()), T.StructField("_grade", T.IntegerType()), T.StructField("_toxic", T.BooleanType())]
+    return restored(wide.mapInArrow(run, T.StructType([*wide.schema.fields, *added])), docs.columns, [f.name for f in added])
