@@ -6,14 +6,22 @@ to shards by a hash of the vector. A shard's graph is one row of flat arrays: ve
 per level the nodes and their neighbours, -1 padded. Every query searches every shard and
 results merge by score.
 
-Inner product is reduced to distance by one more coordinate that gives all stored vectors one
-length, so the graph's neighbourhoods stay sound for vectors of any length. The upper levels hold
-a sixteenth of the level below; the lowest level is built by inserting batches that double, each found by
-searching the graph so far, with diverse neighbours kept. Batches of queries walk the graph together.
+Inner product is reduced to distance by one more coordinate that gives all stored vectors of a shard one
+length. Shards hold vectors of one magnitude (their lengths differ by less than a factor of 2) and are
+scaled to it, so that coordinate is never large beside the others, a long vector distorts no other's
+neighbourhood, and nothing overflows. The upper levels hold a sixteenth of the level below; the lowest
+level is built by inserting batches that double, each found by searching the graph so far, with diverse
+neighbours kept. Batches of queries walk the graph together.
+
+Recall is measured as the search runs: some queries of every block are also answered by all inner products of
+the shard, and while the graph finds less than ``RECALL`` of these, the width of the walk doubles; a shard where
+that would visit most nodes is searched by all inner products.
 
 Edge cases: vectors that are null, zero, or hold null or non-finite components take no part, nor
 do rows with a null id; vectors of different length are never compared; with fewer candidates
-than k all are returned; ties go to the smaller id.
+than k all are returned; ties go to the smaller id; rows with one id and different vectors are all searched,
+and a query's result names an id once, with its best score; columns beside id and vector are ignored,
+names match in any case.
 """
 
 from __future__ import annotations
@@ -25,12 +33,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from kgflow.llm.frames import by_position, column
 from kgflow.session import settled, width
 
 LINKS, EF_BUILD, EF_SEARCH = 16, 64, 96
-#: Vectors of a shard at most; shards at least, so that small tables use several cores.
-SHARD, LEAST_SHARDS = 65536, 12
-QUERY_BLOCK = 8192
+#: Vectors of a shard at most; shards of a magnitude at least, so that small tables use several cores, if they have as many vectors.
+SHARD, LEAST_SHARDS, LEAST = 65536, 12, 256
+#: Bytes of the queries that meet a shard together.
+QUERY_BYTES = 32 << 20
+#: Share of the true nearest that the measured queries of a shard must find, and how many queries are measured.
+RECALL, MEASURED = 0.96, 48
 
 
 def diverse(sims: np.ndarray, among: np.ndarray, most: int) -> np.ndarray:
@@ -207,12 +219,14 @@ def insert(g: Graph, ef: int, links: int) -> None:
 
 
 def lengthened(x: np.ndarray) -> np.ndarray:
-    """One more coordinate that gives every row the greatest row's length."""
-    square = (x.astype(np.float64) ** 2).sum(1)
-    return np.concatenate([x, np.sqrt(np.maximum(square.max(initial=0) - square, 0))[:, None]], 1).astype(np.float32)
+    """Rows over the greatest row's length, and one more coordinate that gives every row that length."""
+    y = x / max(np.abs(x).max(initial=0), 5e-324)
+    square = (y**2).sum(1)
+    most = max(square.max(initial=0), 5e-324)
+    return np.concatenate([y / math.sqrt(most), np.sqrt(np.maximum(1 - square / most, 0))[:, None]], 1).astype(np.float32)
 
 
-INDEX = "dim int, shard int, ids array<bigint>, vectors binary, nodes array<binary>, near array<binary>"
+INDEX = "dim int, mag int, shard int, ids array<bigint>, vectors binary, nodes array<binary>, near array<binary>"
 
 
 def build_shard(t: pa.Table) -> pa.Table:
@@ -220,8 +234,36 @@ def build_shard(t: pa.Table) -> pa.Table:
     d = t.column("dim")[0].as_py()
     x = np.asarray(t.column("vec").combine_chunks().flatten()).astype(np.float64).reshape(-1, d)
     g = build(lengthened(x))
-    row = {"dim": [d], "shard": [t.column("shard")[0].as_py()], "ids": [t.column("id").to_pylist()], "vectors": [x.tobytes()], "nodes": [[v.astype(np.int32).tobytes() for v in g.nodes]], "near": [[v.tobytes() for v in g.near]]}
-    return pa.table(row, pa.schema([("dim", pa.int32()), ("shard", pa.int32()), ("ids", pa.list_(pa.int64())), ("vectors", pa.binary()), ("nodes", pa.list_(pa.binary())), ("near", pa.list_(pa.binary()))]))
+    row = {"dim": [d], "mag": [t.column("mag")[0].as_py()], "shard": [t.column("shard")[0].as_py()], "ids": [t.column("id").to_pylist()], "vectors": [x.tobytes()], "nodes": [[v.astype(np.int32).tobytes() for v in g.nodes]], "near": [[v.tobytes() for v in g.near]]}
+    return pa.table(row, pa.schema([("dim", pa.int32()), ("mag", pa.int32()), ("shard", pa.int32()), ("ids", pa.list_(pa.int64())), ("vectors", pa.binary()), ("nodes", pa.list_(pa.binary())), ("near", pa.list_(pa.binary()))]))
+
+
+def by_products(q: np.ndarray, x: np.ndarray, k: int) -> np.ndarray:
+    """(queries, k) nodes with the largest inner products, all of them looked at."""
+    k, out = min(k, len(x)), []
+    for lo in range(0, len(q), max(1, (1 << 22) // len(x))):
+        s = q[lo : lo + max(1, (1 << 22) // len(x))] @ x.T
+        out.append(np.argpartition(-s, k - 1, axis=1)[:, :k])
+    return np.concatenate(out) if out else np.zeros((0, k), np.int64)
+
+
+def share_found(q: np.ndarray, x: np.ndarray, found: np.ndarray, k: int) -> float:
+    """Of the k largest inner products of each query, the share that the found nodes (-1 for none) reach."""
+    best = -np.sort(-np.take_along_axis(q @ x.T, by_products(q, x, k), 1), axis=1)
+    got = np.where(found >= 0, np.einsum("ij,ikj->ik", q, x[np.maximum(found, 0)]), -np.inf)
+    got = -np.sort(-got, axis=1)[:, : best.shape[1]]
+    return float((got >= best - 1e-12 * np.abs(best)).mean()) if best.size else 1.0
+
+
+def measured_width(g: Graph, flat: np.ndarray, q: np.ndarray, x: np.ndarray, k: int, ef: int) -> int | None:
+    """Width of the walk at which a sample of the queries is answered well enough; None if that is no walk any more."""
+    some = np.unique(np.linspace(0, len(q) - 1, min(len(q), MEASURED)).astype(int))
+    while ef < len(x) or ef <= 2 * k:
+        _, found = g.walk(flat[some], ef)
+        if share_found(q[some], x, found[:, :k], k) >= RECALL:
+            return ef
+        ef *= 2
+    return None
 
 
 def search_shard(k: int, ef: int):
@@ -236,13 +278,16 @@ def search_shard(k: int, ef: int):
             queries = queries.combine_chunks()
             q = np.asarray(queries.column("vec").combine_chunks().flatten()).astype(np.float64).reshape(-1, x.shape[1])
             name = np.asarray(queries.column("id"))
-            norm = np.maximum(np.abs(q).max(1, keepdims=True), 1e-300)
-            flat = np.concatenate([q / norm, np.zeros((len(q), 1))], 1).astype(np.float32)
+            unit = q / np.maximum(np.abs(q).max(1, keepdims=True), 5e-324)
+            flat = np.concatenate([unit, np.zeros((len(q), 1))], 1).astype(np.float32)
+            scaled = x / max(np.abs(x).max(initial=0), 5e-324)
+            width = measured_width(g, flat, unit, scaled, k, max(ef, k))
             for lo in range(0, len(q), 256):
-                _, found = g.walk(flat[lo : lo + 256], max(ef, k))
+                found = by_products(unit[lo : lo + 256], scaled, k) if width is None else g.walk(flat[lo : lo + 256], width)[1]
                 r, c = np.nonzero(found >= 0)
                 node = found[r, c]
-                score = (q[lo + r] * x[node]).sum(1)
+                with np.errstate(over="ignore", invalid="ignore"):
+                    score = (q[lo + r] * x[node]).sum(1)
                 order = np.lexsort((ids[node], -score, r))
                 r, node, score = r[order], node[order], score[order]
                 top = np.arange(len(r)) - np.searchsorted(r, r) < k
@@ -260,37 +305,47 @@ def vector_classes(rows: DataFrame, k: int) -> DataFrame:
     cut = lambda ids: F.slice(F.array_sort(ids), 1, k + 1)
     part = rows.groupBy("vec", salt.alias("salt")).agg(cut(F.collect_set("id")).alias("ids"))
     whole = part.groupBy("vec").agg(cut(F.array_distinct(F.flatten(F.collect_list("ids")))).alias("members"))
-    return whole.select("vec", F.size("vec").alias("dim"), F.col("members")[0].alias("id"), "members")
+    top = F.array_max(F.transform("vec", lambda x: F.abs(x)))
+    square = F.aggregate(F.transform("vec", lambda x: (x / top) * (x / top)), F.lit(0.0), lambda s, x: s + x)
+    mag = F.floor(F.log2(top) + F.log2(square) / 2).cast("int")
+    return whole.select("vec", F.size("vec").alias("dim"), mag.alias("mag"), F.col("members")[0].alias("id"), "members")
 
 
 def usable(table: DataFrame, id_col: str, vec_col: str) -> DataFrame:
     finite = F.forall("vec", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf")))
-    return table.select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).cast("array<double>").alias("vec")).where(F.col("id").isNotNull() & F.col("vec").isNotNull() & (F.size("vec") > 0)).where(F.coalesce(finite, F.lit(False)) & F.exists("vec", lambda x: x != 0))
+    return by_position(table).select(column(table, id_col).cast("long").alias("id"), column(table, vec_col).cast("array<double>").alias("vec")).where(F.col("id").isNotNull() & F.col("vec").isNotNull() & (F.size("vec") > 0)).where(F.coalesce(finite, F.lit(False)) & F.exists("vec", lambda x: x != 0))
+
+
+def dealt_shards(classes: DataFrame) -> DataFrame:
+    """(dim, mag, shards): one row per length and magnitude of vectors, a few thousand at most for one length."""
+    n = F.col("n")
+    shards = F.greatest(F.ceil(n / SHARD), F.least(F.lit(LEAST_SHARDS), F.ceil(n / LEAST)))
+    return settled(classes.groupBy("dim", "mag").agg(F.count("*").alias("n")).select("dim", "mag", shards.cast("int").alias("shards")))
 
 
-def index(classes: DataFrame, shards: int) -> DataFrame:
+def index(classes: DataFrame, sizes: DataFrame) -> DataFrame:
     """One row of flat arrays per shard."""
-    dealt = classes.select("dim", F.pmod(F.xxhash64("vec"), F.lit(shards)).cast("int").alias("shard"), "id", "vec")
-    return dealt.groupBy("dim", "shard").applyInArrow(build_shard, INDEX)
+    dealt = classes.join(sizes, ["dim", "mag"]).select("dim", "mag", F.pmod(F.xxhash64("vec"), "shards").cast("int").alias("shard"), "id", "vec")
+    return dealt.groupBy("dim", "mag", "shard").applyInArrow(build_shard, INDEX)
 
 
 def nearest(table: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_id", vec_col: str = "embedding", ef: int = EF_SEARCH) -> DataFrame:
     """(query_id, rank, id, score): for each query (a row of the same form), its k nearest among the rows of table but itself."""
     rows = usable(table, id_col, vec_col)
     classes = settled(vector_classes(rows, k))
-    n = classes.count()
-    shards = max(LEAST_SHARDS, math.ceil(n / SHARD))
-    built = settled(index(classes, shards))
+    sizes = dealt_shards(classes)
+    built = settled(index(classes, sizes))
     asked = usable(queries, id_col, vec_col).select(F.col("id").alias("query_id"), "vec").distinct()
     # each distinct vector asks once
-    forms = settled(asked.groupBy("vec").agg(F.min("query_id").alias("q")))
-    blocks = max(1, math.ceil(forms.count() / QUERY_BLOCK))
+    forms = settled(asked.groupBy("vec").agg(F.min("query_id").alias("q")).withColumn("dim", F.size("vec")))
+    total = forms.agg(F.sum(8 * F.col("dim"))).first()[0] or 0
+    blocks = max(1, math.ceil(total / QUERY_BYTES))
     per_shard = built.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
-    spread = forms.select(F.size("vec").alias("dim"), F.pmod(F.xxhash64("q"), F.lit(blocks)).cast("int").alias("block"), F.col("q").alias("id"), "vec", F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).alias("shard"))
-    keys = ["dim", "shard", "block"]
+    spread = forms.join(sizes, "dim").select("dim", "mag", F.pmod(F.xxhash64("q"), F.lit(blocks)).cast("int").alias("block"), F.col("q").alias("id"), "vec", F.explode(F.sequence(F.lit(0), F.col("shards") - 1)).alias("shard"))
+    keys = ["dim", "mag", "shard", "block"]
     found = per_shard.groupBy(*keys).cogroup(spread.groupBy(*keys)).applyInArrow(search_shard(k + 1, ef), "q long, id long, score double")
     best = F.row_number().over(Window.partitionBy("q").orderBy(F.desc("score"), "id"))
     top = found.withColumn("r", best).where(F.col("r") <= k + 1).join(classes.select("id", "members"), "id").select("q", "score", "members")
-    pairs = asked.join(forms, "vec").select("query_id", "q").join(top, "q").select("query_id", "score", F.explode("members").alias("id")).where("id <> query_id")
+    pairs = asked.join(forms.select("vec", "q"), "vec").select("query_id", "q").join(top, "q").select("query_id", "score", F.explode("members").alias("id")).where("id <> query_id").groupBy("query_id", "id").agg(F.max("score").alias("score"))
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "id"))
     return pairs.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), F.col("id").alias(id_col), "score")

@@ -396,6 +396,44 @@ def test_neighbours_recall(spark):
     assert hit >= 0.9 * 20 * len(got)
 
 
+@pytest.mark.parametrize("kind", ["unit", "gaussian", "lognormal", "outlier", "huge"])
+def test_recall_of_shards(kind):
+    """Graphs well above the width of the walk, for vectors of every kind of length."""
+    rng = np.random.default_rng(8)
+    x = rng.standard_normal((4000, 64))
+    if kind != "gaussian":
+        x /= np.linalg.norm(x, axis=1, keepdims=True)
+    x *= {"lognormal": np.exp(rng.standard_normal((4000, 1))), "huge": np.full((1, 1), 1e60)}.get(kind, 1.0)
+    if kind == "outlier":
+        x[7] *= 1e4
+    mag = np.floor(np.log2(np.linalg.norm(x, axis=1))).astype(int)
+    q = np.arange(0, 4000, 20)
+    score, name = [[] for _ in q], [[] for _ in q]
+    for m in np.unique(mag):
+        own = np.flatnonzero(mag == m)
+        t = pa.table({"dim": pa.array([64] * len(own), pa.int32()), "mag": pa.array([int(m)] * len(own), pa.int32()), "shard": pa.array([0] * len(own), pa.int32()), "id": own, "vec": pa.array(x[own].tolist(), pa.list_(pa.float64()))})
+        got = ann.search_shard(21, ann.EF_SEARCH)(ann.build_shard(t), pa.table({"id": np.arange(len(q)), "vec": pa.array(x[q].tolist(), pa.list_(pa.float64()))})).to_pylist()
+        for r in got:
+            score[r["q"]].append(r["score"])
+            name[r["q"]].append(r["id"])
+    hit = 0
+    for i, v in enumerate(q):
+        s = x @ x[v]
+        s[v] = -np.inf
+        found = [name[i][j] for j in np.argsort(-np.array(score[i])) if name[i][j] != v][:20]
+        hit += len(set(found) & set(np.argsort(-s)[:20].tolist()))
+    assert hit >= 0.93 * 20 * len(q)
+
+
+def test_neighbours_edges(spark):
+    none = spark.createDataFrame([], "vec_id long, embedding array<float>")
+    assert ann.nearest(none, none).count() == 0
+    rows = [(1, [1e30, 0.0], 5), (2, [1e-30, 0.0], 5), (3, [1.0, 1.0], 5), (3, [0.0, 2.0], 5), (4, [1.0, 0.0], 5), (4, [1.0, 0.0], 5)]
+    table = spark.createDataFrame(rows, "VEC_ID long, Embedding array<double>, shard int")
+    got = [(r.query_id, r.rank, r.vec_id) for r in ann.nearest(table, table.where("vec_id = 4")).orderBy("rank").collect()]
+    assert got == [(4, 1, 1), (4, 2, 3), (4, 3, 2)]
+
+
 def test_toxicity_held_out():
     r = random.Random(2)
     tox, keys, counts = [], [], []
