@@ -11,7 +11,7 @@ An edge is a k-mer (k consecutive words); an occurrence has coordinates (documen
    document's words go only where the words of the path, read in that document, have the same digest
    (128 bits, of the words themselves). Hashes of k-mers only propose.
 
-Texts are shuffled once, compressed, and read from there for both the source coordinates and the removal.
+Texts are shuffled compressed, once to read the source coordinates and once for the removal.
 
 Edge cases: null and empty texts have no words; texts with under k words no k-mers; rows with a
 null id neither lose words nor serve as sources; rows sharing an id don't remove each other's words, and as
@@ -38,6 +38,8 @@ from kgflow.session import stored
 WINDOW = 13
 #: Words of a source document whose paths are looked up together.
 REQUESTS = 4096
+#: Words of a document in which paths are looked up together.
+CHUNK = 64
 SPANS = pa.list_(pa.struct([("start", pa.int32()), ("length", pa.int32()), ("source_doc", pa.int64()), ("source_start", pa.int32())]))
 PIECES = "doc long, start int, length int, source_doc long, source_start int, lone boolean"
 
@@ -80,23 +82,36 @@ def pieces(hits: DataFrame, shared: DataFrame, tasks: int, k: int) -> DataFrame:
     return packs.in_buckets(hits.unionByName(shared), tasks, take, PIECES)
 
 
+SOURCE = ["source_doc", "source_start", "length"]
+
+
+def roots(found: DataFrame) -> DataFrame:
+    """Of the pieces' distinct sources: where the path begins that a source lies on in its own document, if it does
+    (source_doc, source_start, length, up struct<start, length, d, p>). Paths are looked up by chunks of words that they run
+    through, so a source meets the few paths of its place, not all of its document."""
+    asked = found.select(*SOURCE).distinct().withColumn("chunk", F.floor(F.col("source_start") / CHUNK))
+    path = F.struct("start", "length", F.col("source_doc").alias("d"), F.col("source_start").alias("p"))
+    through = F.sequence(F.floor(F.col("start") / CHUNK), F.floor((F.col("start") + F.col("length") - 1) / CHUNK))
+    own = found.where("not lone").select(F.col("doc").alias("source_doc"), F.explode(through).alias("chunk"), path.alias("up"))
+    inside = (F.col("up.start") <= F.col("source_start")) & (F.col("source_start") + F.col("length") <= F.col("up.start") + F.col("up.length"))
+    return asked.join(own, ["source_doc", "chunk"]).where(inside).groupBy(*SOURCE).agg(F.min("up").alias("up"))
+
+
 def compacted(found: DataFrame) -> DataFrame:
     """Paths of the pieces: sources moved to the source of the path they lie on, and pieces that run on, or
     overlap, along one source joined.
 
     One round is enough: only the source that a block of rows chose can lie on another path, and that path's
-    source is settled over all rows."""
-    own = found.where("not lone").groupBy(F.col("doc").alias("source_doc")).agg(F.collect_list(F.struct("start", "length", F.col("source_doc").alias("d"), F.col("source_start").alias("p"))).alias("own"))
-    holds = F.filter("own", lambda x: (x["start"] <= F.col("source_start")) & (F.col("source_start") + F.col("length") <= x["start"] + x["length"]))
-    up = F.get(F.array_sort(holds), 0)
-    rooted = found.join(own, "source_doc", "left").withColumn("up", up).select(
+    source is settled over all rows. The roots are stored first, so that the join with them, on a source that a third of all
+    rows may share, is one of two shuffles, which Spark splits where it is skewed."""
+    rooted = found.join(stored(roots(found)), SOURCE, "left").select(
         "doc", "start", "length", F.coalesce("up.d", "source_doc").alias("source_doc"), F.coalesce(F.col("source_start") - F.col("up.start") + F.col("up.p"), "source_start").alias("source_start"), "lone"
     )
     line = Window.partitionBy("doc", "source_doc", F.col("source_start") - F.col("start"), F.when(F.col("lone"), F.col("start"))).orderBy("start")
     reached = F.max(F.col("start") + F.col("length")).over(line.rowsBetween(Window.unboundedPreceding, -1))
     runs = rooted.withColumn("new", F.coalesce(F.col("start") > reached, F.lit(True)).cast("int")).withColumn("run", F.sum("new").over(line))
     shift = (F.col("source_start") - F.col("start")).alias("shift")
-    joined = runs.groupBy("doc", "source_doc", shift, "lone", "run", F.when(F.col("lone"), F.col("start")).alias("at")).agg(F.min("start").alias("start"), F.max(F.col("start") + F.col("length")).alias("stop"))
+    joined = runs.groupBy("doc", "source_doc", shift, F.when(F.col("lone"), F.col("start")).alias("at"), "run").agg(F.min("start").alias("start"), F.max(F.col("start") + F.col("length")).alias("stop"))
     return joined.select("doc", "start", (F.col("stop") - F.col("start")).alias("length"), "source_doc", (F.col("start") + F.col("shift")).alias("source_start"))
 
 
@@ -118,8 +133,8 @@ def verified(zipped: DataFrame, paths: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array([doc.as_py()] * n, pa.int64()), pa.array(start, pa.int32()), pa.array(length, pa.int32()), pa.array(got, pa.binary())], ["source_doc", "source_start", "length", "digest"])
 
     read = zipped.join(lists, F.col("id") == F.col("source_doc")).select("source_doc", "blob", "asked").mapInArrow(run, "source_doc long, source_start int, length int, digest binary")
-    known = read.groupBy("source_doc", "source_start", "length").agg(F.collect_set("digest").alias("digests"))
-    return paths.join(known, ["source_doc", "source_start", "length"])
+    known = stored(read.groupBy(*SOURCE).agg(F.collect_set("digest").alias("digests")))
+    return paths.join(known, SOURCE)
 
 
 def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = WINDOW, items=kmers) -> DataFrame:
