@@ -454,6 +454,61 @@ def test_toxicity_held_out():
     assert (p[:, 0] >= p[:, 1]).all()
 
 
+def test_toxicity_end_to_end(spark):
+    """train() and score() on Spark: held-out accuracy, expected grades by hand from the model, nulls, a long text, repeats."""
+    r = random.Random(4)
+    rows, bad = [], {}
+    for i in range(1200):
+        bad[i] = i % 5 == 0
+        words_ = [r.choice(VOCAB) for _ in range(30)] + ([r.choice(["vile", "nasty", "foul"]) for _ in range(r.randint(1, 6))] if bad[i] else [])
+        r.shuffle(words_)
+        rows.append((i, " ".join(words_)))
+    rows += [(2000, None), (2001, ""), (2002, "w1 w2 " * 30000), (2003, "vile nasty foul " * 9000), (None, "vile nasty"), (7, rows[7][1])]
+    docs = frame(spark, rows)
+    labels = spark.createDataFrame([(i, int(bad[i])) for i in range(800)] + [(800, None), (None, 1), (801, 0), (801, 1)], "doc_id long, toxic int")
+    model = toxicity.train(docs, labels)
+    out = toxicity.score(docs, model).collect()
+    assert len(out) == len(rows)
+    assert sum(x._toxic == bad[x.doc_id] for x in out if x.doc_id is not None and 800 <= x.doc_id < 1200) > 0.98 * 400
+    at = {int(k): w for k, w in zip(model.keys, model.weights, strict=True)}
+    for x in out:
+        total = 0.0
+        for c in words.chunks(pa.array([x.text], pa.string()), words.ALNUM, lower=True):
+            k, n = np.unique(c.hashes(*toxicity.PREFIXES).reshape(-1), return_counts=True)
+            total = sum(at.get(int(a), 0) * toxicity.damped(b) for a, b in zip(k, n, strict=True))
+        p = model.exceed(np.array([total]))[0]
+        assert abs(x._severity - p.sum()) < 1e-9 and x._toxic == (p[0] >= 0.5) and x._grade == int(np.argmax([1 - p[0], p[0] - p[1], p[1]]))
+    by = {x.doc_id: x._toxic for x in out}
+    assert not by[2000] and not by[2001] and not by[2002] and by[2003] and by[None]
+
+
+def test_decontamination_query_by_brute_force(spark, sf_dir, tmp_path):
+    """op5 over whole tables against the plain definition, on short documents with planted passages."""
+    r = random.Random(31)
+    big = [f"v{i}" for i in range(500)]
+    say = lambda n: [r.choice(big) for _ in range(n)]
+    items = [say(r.randint(5, 30)) for _ in range(15)]
+    docs = [(i, say(r.randint(0, 60))) for i in range(150)]
+    for i in range(150, 260):
+        w = list(r.choice(items))
+        for _ in range(r.randint(0, len(w) // 4)):
+            p = r.randrange(len(w))
+            w[p : p + 1] = r.choice([[], [r.choice(big)], [w[p], r.choice(big)]])
+        docs.append((i, say(r.randint(0, 30)) + w + say(r.randint(0, 30))))
+    spark.createDataFrame([(i, " ".join(w)) for i, w in docs], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(items)], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    got = {x.doc_id: (x.contaminated, x.items, x.least_edits) for x in registry.op5_decontamination(spark, str(tmp_path)).collect()}
+    for i, w in docs:
+        d = {j: brute_edits(item, w) for j, item in enumerate(items)}
+        own = {j: e for j, e in d.items() if e <= int(decontam.RATIO * len(items[j]))}
+        assert got[i] == (bool(own), sorted(own), min(own.values(), default=None)), i
+
+
+def test_url_rule_edges(spark):
+    pages = spark.createDataFrame([(1, "http://a.com/x/y", 1), (2, "http://b.a.com/x", 1), (3, "http://a.com", 1)], "page_id long, url string, key int")
+    assert urlfilter.judge(pages.limit(0), urlfilter.rule_table(spark)).count() == 0
+
+
 def test_toxicity_rows_of_the_model(spark):
     """The model has as many labelled rows as the quality figures were measured with."""
     n = 8500
