@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from kgflow.workloads import common, lifecycle, operators, star
+from kgflow.workloads import common, lifecycle, operators, star, surface
 
-__all__ = ["flagship", "oracle_sql", "operators", "queries", "star"]
+__all__ = ["flagship", "oracle_sql", "operators", "queries", "star", "surface"]
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,56 +2,120 @@
 
 from __future__ import annotations
 
+import math
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from kgflow.functions.text import dot
-from kgflow.session import settled
-
-
-def topk_exact(left: DataFrame, right: DataFrame, k: int = 30, left_id="id", right_id="id", vec="vec", blocks: int = 8) -> DataFrame:
-    """(left_id, right_id, score, rank): k nearest by dot product rounded to 6 digits, ties to the smaller id.
-
-    The right side meets the left in blocks; each block keeps k per left row before the next exchange,
-    so what is shuffled is left x blocks x k, not left x right."""
-    a = left.select(F.col(left_id).alias("a"), F.col(vec).alias("va"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"))
-    b = right.select(F.col(right_id).alias("b"), F.col(vec).alias("vb"), F.pmod(F.xxhash64(right_id), F.lit(blocks)).cast("int").alias("block"))
-    packed = b.groupBy("block").agg(F.collect_list(F.struct("b", "vb")).alias("pool"))
-    score = lambda s: F.struct((-F.round(dot("va", s["vb"]), 6)).alias("s"), s["b"].alias("b"))
-    best = F.slice(F.array_sort(F.transform(F.filter("pool", lambda s: s["b"] != F.col("a")), score)), 1, k)
-    per_block = a.join(packed, "block").select("a", F.explode(best).alias("x"))
-    rank = F.row_number().over(Window.partitionBy("a").orderBy("x.s", "x.b"))
-    return per_block.withColumn("rank", rank).where(F.col("rank") <= k).select("a", F.col("x.b").alias("b"), (-F.col("x.s")).alias("score"), "rank")
+from kgflow.session import settled, ship
+
+
+#: Rows of either side that meet in one task: a matrix product of this size.
+BLOCK = 4096
+
+
+def best_of_blocks(k: int):
+    """k nearest of every left row among the right rows of a block, by one matrix product."""
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        rows: list[tuple] = []
+        if left.num_rows and right.num_rows:
+            a, b = np.asarray(left.column("a")), np.asarray(right.column("b"))
+            x, y = (np.asarray(t.column("vec").combine_chunks().flatten()).reshape(t.num_rows, -1) for t in (left, right))
+            order = np.argsort(b, kind="stable")
+            b, y = b[order], y[order]
+            for lo in range(0, len(a), 512):
+                raw = x[lo : lo + 512] @ y.T
+                score = np.sign(raw) * np.floor(np.abs(raw) * 1e6 + 0.5) / 1e6
+                score[a[lo : lo + 512, None] == b[None]] = -np.inf
+                top = np.argsort(-score, axis=1, kind="stable")[:, :k]  # ties to the smaller id, as b is sorted
+                got = np.take_along_axis(score, top, 1)
+                r, c = np.nonzero(np.isfinite(got))
+                rows.append((a[lo + r], b[top[r, c]], got[r, c]))
+        cols = [np.concatenate(c) for c in zip(*rows, strict=True)] if rows else [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]
+        return pa.table([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.float64())], ["a", "b", "score"])
+
+    return run
+
+
+def topk_exact(left: DataFrame, right: DataFrame, k: int = 30, left_id="id", right_id="id", vec="vec", block: int = BLOCK) -> DataFrame:
+    """(a, b, score, rank): the k nearest of every left row by dot product rounded to 6 digits, ties to the smaller id, the
+    row itself left out. Ids are bigints.
+
+    Both sides are cut into blocks of about the same number of rows, whatever the size of the table; every pair of blocks
+    is one matrix product that keeps k per left row, so what is merged is left x right blocks x k."""
+    ship(left.sparkSession)
+    a = left.select(F.col(left_id).cast("long").alias("a"), F.col(vec).cast("array<double>").alias("vec")).where("vec is not null")
+    b = right.select(F.col(right_id).cast("long").alias("b"), F.col(vec).cast("array<double>").alias("vec")).where("vec is not null")
+    n, m = (max(1, -(-x.count() // block)) for x in (a, b))
+    cut = lambda c, parts: F.pmod(F.xxhash64(c), F.lit(parts)).cast("int")
+    a = a.withColumn("i", cut("a", n)).withColumn("j", F.explode(F.sequence(F.lit(0), F.lit(m - 1))))
+    b = b.withColumn("j", cut("b", m)).withColumn("i", F.explode(F.sequence(F.lit(0), F.lit(n - 1))))
+    found = a.groupBy("i", "j").cogroup(b.groupBy("i", "j")).applyInArrow(best_of_blocks(k), "a long, b long, score double")
+    return ranked(found, k)
+
+
+def ranked(scored: DataFrame, k: int) -> DataFrame:
+    rank = F.row_number().over(Window.partitionBy("a").orderBy(F.desc("score"), "b"))
+    return scored.withColumn("rank", rank).where(F.col("rank") <= k).select("a", "b", "score", "rank")
 
 
 def planes(dim: int, bits: int, table: int) -> list[list[float]]:
     """Hyperplanes of a table, from a fixed rule."""
-    import numpy as np
-
     return np.random.default_rng(97 + table).standard_normal((bits, dim)).round(4).tolist()
 
 
-def topk_lsh(left: DataFrame, right: DataFrame, k: int = 30, dim: int = 64, tables: int = 24, bits: int = 4, left_id="id", right_id="id", vec="vec") -> DataFrame:
-    """As topk_exact(), over pairs that share the signs of some table's hyperplanes; left rows that get fewer
-    than k that way are searched exactly."""
-
-    def keyed(df: DataFrame, name: str, out: str) -> DataFrame:
-        keys = []
-        for t in range(tables):
-            signs = [F.when(dot(F.col(vec), F.array(*map(F.lit, p))) >= 0, 1 << i).otherwise(0) for i, p in enumerate(planes(dim, bits, t))]
-            total = signs[0]
-            for s in signs[1:]:
-                total = total + s
-            keys.append(F.lit(t << bits) + total)
-        return df.select(F.col(name).alias(out), F.col(vec).alias(f"v{out}"), F.explode(F.array(*keys)).alias("key"))
-
-    pairs = keyed(left, left_id, "a").join(keyed(right, right_id, "b"), "key").where("a <> b").dropDuplicates(["a", "b"])
-    scored = pairs.select("a", "b", F.round(dot("va", "vb"), 6).alias("score"))
-    rank = F.row_number().over(Window.partitionBy("a").orderBy(F.desc("score"), "b"))
-    near = settled(scored.withColumn("rank", rank).where(F.col("rank") <= k))
-    full = near.where(F.col("rank") == k).select(F.col("a").alias(left_id))
-    rest = topk_exact(left.join(full, left_id, "left_anti"), right, k, left_id, right_id, vec)
-    return near.join(full.withColumnRenamed(left_id, "a"), "a", "left_semi").unionByName(rest.select(*near.columns))
+def signs(df: DataFrame, name: str, dim: int, tables: int, bits: int) -> DataFrame:
+    """(name, key): a row's bucket in every table."""
+    stacked = np.concatenate([np.array(planes(dim, bits, t)) for t in range(tables)])
+    weight = (1 << np.arange(bits)).astype(np.int64)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            if b.num_rows:
+                x = np.asarray(b.column(1).flatten()).reshape(b.num_rows, -1)
+                side = (x @ stacked.T >= 0).reshape(len(x), tables, bits) @ weight
+                key = side + (np.arange(tables, dtype=np.int64) << bits)
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(np.asarray(b.column(0)), tables)), pa.array(key.reshape(-1))], [name, "key"])
+
+    return df.select(name, "vec").mapInArrow(run, f"{name} long, key long")
+
+
+def topk_lsh(left: DataFrame, right: DataFrame, k: int = 30, dim: int = 64, tables: int = 24, recall: float = 0.9, left_id="id", right_id="id", vec="vec") -> DataFrame:
+    """As topk_exact(), over pairs that share the signs of some table's hyperplanes.
+
+    Buckets are as small as the table asks for, as long as a sample of the left rows, also searched exactly, finds this
+    share of its true nearest; below that a bit is taken away, and where no bits are left, the search is exact. Left rows that get fewer than k
+    are searched exactly. Pairs are made distinct as ids, before their vectors are joined."""
+    ship(left.sparkSession)
+    a = left.select(F.col(left_id).cast("long").alias("a"), F.col(vec).cast("array<double>").alias("vec")).where("vec is not null")
+    b = right.select(F.col(right_id).cast("long").alias("b"), F.col(vec).cast("array<double>").alias("vec")).where("vec is not null")
+    bits = max(4, int(math.log2(max(b.count(), 2))) - 7)
+    some = settled(a.orderBy(F.xxhash64("a"), "a").limit(SAMPLED))
+    sure = settled(topk_exact(some, b, k, "a", "b").select("a", "b"))
+    due = sure.count()
+
+    def near(rows: DataFrame) -> DataFrame:
+        pairs = signs(rows, "a", dim, tables, bits).join(signs(b, "b", dim, tables, bits), "key").where("a <> b").select("a", "b").distinct()
+        scored = pairs.join(rows.withColumnRenamed("vec", "va"), "a").join(b.withColumnRenamed("vec", "vb"), "b").select("a", "b", F.round(dot("va", "vb"), 6).alias("score"))
+        return ranked(scored, k)
+
+    while bits and near(some).join(sure, ["a", "b"], "left_semi").count() < recall * due:
+        bits -= 1
+    if not bits:
+        return topk_exact(a, b, k, "a", "b")
+    found = settled(near(a))
+    full = found.where(F.col("rank") == k).select("a")
+    rest = topk_exact(a.join(full, "a", "left_anti"), b, k, "a", "b")
+    return found.join(full, "a", "left_semi").unionByName(rest)
+
+
+#: Left rows of which the recall of the buckets is measured.
+SAMPLED = 64
 
 
 def constrain(cands: DataFrame, schemas: DataFrame) -> DataFrame:

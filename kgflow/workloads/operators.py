@@ -94,11 +94,13 @@ def agg_distinct_and_extremes(spark, sf_dir):
     return e.groupBy("event_type").agg(F.countDistinct("user_id").alias("users"), F.min("value").alias("lo"), F.max("value").alias("hi"), F.bool_or(F.col("value") > 400).alias("big"), F.count_if(F.col("value") < 100).alias("small"), F.max_by("event_id", F.struct("value", "event_id")).alias("top"))
 
 
-@query()
+@query("SELECT event_type, count(DISTINCT ts::DATE)::BIGINT AS days, count(DISTINCT user_id)::BIGINT AS users, true AS close FROM events GROUP BY event_type")
 def agg_sketch_history(spark, sf_dir):
-    """Distinct users per event type from mergeable per-day sketches."""
+    """Distinct users per event type from mergeable per-day sketches, beside the exact number: within 5 %, or 1."""
     e = table(spark, sf_dir, "events").withColumn("day", F.to_date("ts"))
-    return joins.sketch_merge(joins.sketch_count(e, ["event_type", "day"], "user_id"), ["event_type"])
+    merged = joins.sketch_merge(joins.sketch_count(e, ["event_type", "day"], "user_id"), ["event_type"])
+    exact = e.groupBy("event_type").agg(F.countDistinct("day").alias("days"), F.countDistinct("user_id").alias("users"))
+    return exact.join(merged, "event_type").select("event_type", "days", "users", (F.abs(F.col("estimate") - F.col("users")) <= F.greatest(0.05 * F.col("users"), F.lit(1.0))).alias("close"))
 
 
 @query("SELECT event_id, row_number() OVER w AS rn, rank() OVER w AS rk, ntile(4) OVER w AS quarter, lag(event_type) OVER w AS before, sum(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS recent FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
@@ -188,7 +190,13 @@ def q_reachable_3(spark, sf_dir):
 TRI = "WITH e AS (SELECT DISTINCT least(a, b) AS u, greatest(a, b) AS v FROM (SELECT 3 * l_suppkey AS a, 3 * l_partkey + 1 AS b FROM lineitem UNION SELECT 3 * l_suppkey, 3 * l_orderkey + 2 FROM lineitem UNION SELECT 3 * l_partkey + 1, 3 * l_orderkey + 2 FROM lineitem))\n"
 
 
-@query(TRI + "SELECT x.u AS a, x.v AS b, y.v AS c FROM e x JOIN e y ON x.v = y.u JOIN e z ON z.u = x.u AND z.v = y.v")
+TRI += """, d AS (SELECT n, count(*) AS d FROM (SELECT u AS n FROM e UNION ALL SELECT v FROM e) GROUP BY n),
+o AS (SELECT CASE WHEN a.d < b.d OR a.d = b.d AND u < v THEN u ELSE v END AS x, CASE WHEN a.d < b.d OR a.d = b.d AND u < v THEN v ELSE u END AS y FROM e JOIN d a ON a.n = u JOIN d b ON b.n = v),
+t AS (SELECT list_sort([p.x, p.y, q.y]) AS t FROM o p JOIN o q ON p.x = q.x AND p.y < q.y JOIN e ON e.u = p.y AND e.v = q.y)
+"""
+
+
+@query(TRI + "SELECT t[1] AS a, t[2] AS b, t[3] AS c FROM t")
 def q_triangles(spark, sf_dir):
     """Suppliers, parts and orders that occur together pairwise in line items."""
     l = table(spark, sf_dir, "lineitem")
