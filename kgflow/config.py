@@ -9,7 +9,6 @@ from dataclasses import dataclass
 class LoopConfig:
     # given by the reference
     retrieve_k: int = 30
-    judge_temperature: float = 0.1
     windows: int = 3
     # our values where it names a threshold without one
     theta_relation: int = 5
@@ -22,8 +21,6 @@ class LoopConfig:
     event_time_slack_seconds: int = 3600
     review_heads: int = 3
     review_type_share: float = 0.8
-    max_block: int = 200
-    buckets: int = 64
     # switches of the ablations
     intent: bool = True
     events: bool = True
@@ -31,12 +28,6 @@ class LoopConfig:
     guidance: bool = True
     logic: bool = True
     evidence: bool = True
-    evolutionary_adds: str = "successor+event"  # successor+event, successor, none
-    mutual_policy: str = "both"  # both: either edge of an in-batch pair is rejected
-
-    def __post_init__(self):
-        if self.evolutionary_adds not in ("successor+event", "successor", "none"):
-            raise ValueError(f"evolutionary_adds: {self.evolutionary_adds}")
 
     def guided(self, k: int) -> bool:
         """Schemas, history and cross-batch alignment are used from the second batch on."""

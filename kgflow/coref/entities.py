@@ -2,12 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from kgflow.coref.cluster import components
 from kgflow.functions.ids import joined_id
-from kgflow.functions.text import normalised, tokens
+from kgflow.functions.text import dot, hashed_ngrams, normalised, number_token, tokens
 
 KINDS = "customer|supplier|order|part"
 
@@ -40,18 +40,25 @@ def pair_verdict(a: Column | str, b: Column | str) -> Column:
     return F.when(normalised(a) == normalised(b), "MERGE").when(inside, "HIERARCHY").otherwise("SEPARATE")
 
 
-def block_pairs(surfaces: DataFrame, surface: str = "surface", max_block: int = 200) -> DataFrame:
-    """(a, b) distinct surfaces of a block, a before b. A block is a first word with a number; blocks over
-    max_block are split by the whole normal form, which loses only pairs that could not merge."""
-    keyed = surfaces.select(F.col(surface).alias("s")).distinct().select("s", F.concat_ws("|", tokens("s")[0], F.coalesce(F.regexp_extract(normalised("s"), r"([0-9]+)", 1), F.lit(""))).alias("block"))
-    sizes = keyed.groupBy("block").agg(F.count("*").alias("n"))
-    dealt = keyed.join(sizes, "block").withColumn("block", F.when(F.col("n") > max_block, F.concat_ws("|", "block", normalised("s"))).otherwise(F.col("block"))).select("s", "block")
-    return dealt.alias("x").join(dealt.alias("y"), "block").where("x.s < y.s").select(F.col("x.s").alias("a"), F.col("y.s").alias("b"))
+def block_pairs(surfaces: DataFrame, surface: str = "surface") -> DataFrame:
+    """(a, b) distinct surfaces, a before b, that may merge or lie one in the other: forms that are equal, or of which
+    one's words are all among the other's, and whose first numbers don't differ. A surface asks by its rarest word, and is met by those that have that word, so
+    common words make no large blocks, and no pair is lost, whatever the size of a block."""
+    own = surfaces.select(F.col(surface).alias("s")).distinct().select("s", F.array_distinct(tokens("s")).alias("w")).where("size(w) > 0")
+    number = F.regexp_extract(normalised("s"), r"([0-9]+)", 1)
+    own = own.withColumn("first", number)
+    each = own.select("s", F.explode("w").alias("word"))
+    often = each.groupBy("word").agg(F.count("*").alias("n"))
+    rarest = each.join(often, "word").groupBy("s").agg(F.min(F.struct("n", "word"))["word"].alias("word"))
+    asks = rarest.join(own, "s").select(F.col("s").alias("x"), F.col("w").alias("wx"), "first", "word")
+    has = each.join(own, "s").select(F.col("s").alias("y"), F.col("w").alias("wy"), "first", "word")
+    pairs = asks.join(has, ["word", "first"]).where("x <> y").where(F.size(F.array_except("wx", "wy")) == 0)
+    return pairs.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
 
 
-def intra(surfaces: DataFrame, surface: str = "surface", max_block: int = 200) -> DataFrame:
+def intra(surfaces: DataFrame, surface: str = "surface") -> DataFrame:
     """(surface, cluster): least surface of each group joined by MERGE verdicts."""
-    merged = block_pairs(surfaces, surface, max_block).where(pair_verdict("a", "b") == "MERGE")
+    merged = block_pairs(surfaces, surface).where(pair_verdict("a", "b") == "MERGE")
     labels = components(merged)
     own = surfaces.select(F.col(surface).alias("surface")).distinct()
     return own.join(labels, F.col("surface") == F.col("node"), "left").select("surface", F.coalesce("label", "surface").alias("cluster"))
@@ -63,3 +70,20 @@ def cross(clusters: DataFrame, profiles: DataFrame) -> DataFrame:
     old = profiles.groupBy("norm", "type").agg(F.min("entity_id").alias("_old"))
     minted = joined_id("type", "norm")
     return clusters.join(old, ["norm", "type"], "left").withColumn("entity_id", F.coalesce("_old", minted)).withColumn("reused", F.col("_old").isNotNull()).drop("_old")
+
+
+def align(typed: DataFrame, profiles: DataFrame, cfg) -> DataFrame:
+    """typed (surface, norm, type) with entity and reused, against profiles (entity, type, norm). The profile of the same form and
+    type is taken; for other names the profile_top most similar ones of the same type, number and first two letters are
+    candidates, and the best is taken if it is similar enough; else the name is a new entity."""
+    exact = profiles.groupBy("norm", "type").agg(F.min("entity").alias("_same"))
+    first = typed.join(exact, ["norm", "type"], "left")
+    key = [F.col("type").alias("type"), F.coalesce(number_token("norm"), F.lit("")).alias("number"), F.substring("norm", 1, 2).alias("start")]
+    open_ = first.where("_same is null").select(*key, "norm").distinct()
+    near = open_.join(profiles.select(*key, "entity", F.col("norm").alias("old")).distinct(), ["type", "number", "start"])
+    scored = near.select("type", "norm", "entity", F.round(dot(hashed_ngrams("norm"), hashed_ngrams("old")), 6).alias("score"))
+    rank = F.row_number().over(Window.partitionBy("type", "norm").orderBy(F.desc("score"), "entity"))
+    top = scored.withColumn("r", rank).where(F.col("r") <= cfg.profile_top)
+    best = top.where((F.col("r") == 1) & (F.col("score") >= cfg.reuse_min)).select("type", "norm", F.col("entity").alias("_near"))
+    out = first.join(best, ["type", "norm"], "left")
+    return out.withColumn("entity", F.coalesce("_same", "_near", "norm")).withColumn("reused", F.coalesce("_same", "_near").isNotNull()).drop("_same", "_near")

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from kgflow.coref.cluster import components
 from kgflow.functions.text import jaccard
 
 
@@ -27,9 +28,33 @@ def within(left: DataFrame, right: DataFrame, by: list[str], at: str, slack: int
     return a.join(b, [*by, "_bucket"]).where(F.abs(F.col("ta") - F.col("tb")) <= slack * 1_000_000).select(*by, "a", "b", ((F.col("tb") - F.col("ta")) / 1e6).alias("seconds"))
 
 
-def cross(batch: DataFrame, index: DataFrame, by: list[str], at: str, slack: int) -> DataFrame:
-    """batch with match (nearest earlier event of the index under the same keys, within slack) or null."""
-    pairs = within(batch, index, by, at, slack).where("b < a")
-    best = F.row_number().over(Window.partitionBy("a").orderBy(F.abs("seconds"), "b"))
-    top = pairs.withColumn("_r", best).where("_r = 1").select(F.col("a").alias("id"), F.col("b").alias("match"))
-    return batch.join(top, "id", "left")
+def scored(left: DataFrame, right: DataFrame, cfg) -> DataFrame:
+    """(a, b, seconds, score) of events (id, trigger, subject, object, at) of one subject that are at most the slack apart."""
+    form = lambda x: x.select(F.col("id"), "trigger", "subject", F.array_compact(F.array("subject", "object")).alias("args"), "at")
+    x, y = form(left), form(right)
+    near = within(x, y, ["subject"], "at", cfg.event_time_slack_seconds).where("a <> b")
+    side = lambda d, c: d.select(F.col("id").alias(c), F.col("trigger").alias(f"t{c}"), F.col("args").alias(f"g{c}"))
+    both = near.join(side(x, "a"), "a").join(side(y, "b"), "b")
+    return both.select("a", "b", "seconds", similarity("ta", "tb", "ga", "gb", F.col("seconds"), cfg.event_time_slack_seconds).alias("score"))
+
+
+def doubles(events: DataFrame, cfg) -> DataFrame:
+    """(id, of): events of a batch that tell an earlier one's again: groups of pairs that are similar enough and told for one
+    instant with the same trigger and arguments (a score of 1), under their least id."""
+    same = scored(events, events, cfg).where((F.col("a") < F.col("b")) & (F.col("score") >= cfg.event_sim_min) & (F.col("score") == 1.0) & (F.col("seconds") == 0))
+    groups = components(same)
+    return groups.where("node <> label").select(F.col("node").alias("id"), F.col("label").alias("of"))
+
+
+def clustered(events: DataFrame, cfg) -> DataFrame:
+    """(id, cluster): events of a batch grouped by pairs that are similar enough; candidates for one happening."""
+    pairs = scored(events, events, cfg).where((F.col("a") < F.col("b")) & (F.col("score") >= cfg.event_sim_min))
+    return events.select("id").join(components(pairs), F.col("id") == F.col("node"), "left").select("id", F.coalesce("label", "id").alias("cluster"))
+
+
+def matches(batch: DataFrame, index: DataFrame, cfg) -> DataFrame:
+    """(id, match, score, aligned): for every event of a batch the best event of the index, by score, then nearness, then id; aligned if the
+    score is high enough and trigger, arguments and time agree."""
+    pairs = scored(batch, index, cfg).where(F.col("score") >= cfg.event_sim_min)
+    best = F.row_number().over(Window.partitionBy("a").orderBy(F.desc("score"), F.abs("seconds"), "b"))
+    return pairs.withColumn("r", best).where("r = 1").select(F.col("a").alias("id"), F.col("b").alias("match"), "score", ((F.col("score") == 1.0) & (F.col("seconds") == 0)).alias("aligned"))

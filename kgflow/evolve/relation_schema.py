@@ -1,4 +1,8 @@
-"""Relation schemas induced from accepted facts."""
+"""Relation schemas induced from accepted facts.
+
+Everything here works on the vocabulary of relation names with counts, never on facts: a batch adds its counts once,
+and all counts so far are looked at again, so a name that was too rare waits in the pool until it isn't.
+"""
 
 from __future__ import annotations
 
@@ -6,15 +10,20 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from kgflow.config import LoopConfig
+from kgflow.coref.cluster import components
 from kgflow.functions.text import cosine, hashed_ngrams
+from kgflow.session import settled
 
 AUXILIARY = ("is", "was", "has", "with", "by", "of", "in")
+#: Share of facts that have to keep to "one tail per head" (or the reverse) for that to count as a relation's way.
+REGULAR = 0.95
 
 
 def stem(name: Column | str) -> Column:
-    """The words of a relation name that carry meaning."""
+    """The words of a relation name that carry meaning; the name itself if none does."""
     parts = F.filter(F.split(name, "_"), lambda w: ~w.isin(*AUXILIARY))
-    return F.array_join(parts, "_")
+    name = F.col(name) if isinstance(name, str) else name
+    return F.when(F.size(parts) > 0, F.array_join(parts, "_")).otherwise(name)
 
 
 def support(facts: DataFrame) -> DataFrame:
@@ -22,49 +31,92 @@ def support(facts: DataFrame) -> DataFrame:
     return facts.groupBy("phrase", "batch_id").agg(F.count("*").alias("support"), F.countDistinct("h").alias("heads"))
 
 
+def counted(facts: DataFrame) -> DataFrame:
+    """(phrase, head_type, tail_type, n, heads, tails) of facts (phrase, h, t, head_type, tail_type), one row per name and pair of types."""
+    d = facts.groupBy("phrase", "head_type", "tail_type", "h", "t").agg(F.count("*").alias("c"))
+    return d.groupBy("phrase", "head_type", "tail_type").agg(F.sum("c").alias("n"), F.countDistinct("h").alias("heads"), F.countDistinct("t").alias("tails"))
+
+
 def signatures(facts: DataFrame) -> DataFrame:
-    """(phrase, support, heads, head_type, tail_type, share): dominant types per phrase."""
-    counts = facts.groupBy("phrase", "head_type", "tail_type").agg(F.count("*").alias("n"))
-    total = F.sum("n").over(Window.partitionBy("phrase"))
-    first = F.row_number().over(Window.partitionBy("phrase").orderBy(F.desc("n"), "head_type", "tail_type"))
-    top = counts.withColumn("support", total).withColumn("r", first).where("r = 1")
-    heads = facts.groupBy("phrase").agg(F.countDistinct("h").alias("heads"))
-    return top.join(heads, "phrase").select("phrase", "support", "heads", "head_type", "tail_type", F.round(F.col("n") / F.col("support"), 6).alias("share"))
-
-
-def canonicalise(signed: DataFrame) -> DataFrame:
-    """(alias, relation, swapped, support): phrases of one meaning under the name that is used most.
-
-    Phrases group by their unordered pair of types and by stem; a phrase whose stem stands alone joins the
-    phrases with its types turned round, if those are of one stem: it is their inverse."""
-    keyed = signed.withColumn("stem", stem("phrase")).withColumn("lo", F.least("head_type", "tail_type")).withColumn("hi", F.greatest("head_type", "tail_type"))
-    pair = Window.partitionBy("lo", "hi")
-    turned = F.size(F.collect_set(F.concat_ws(">", "head_type", "tail_type")).over(pair)) > 1
-    stems = F.size(F.collect_set("stem").over(pair))
-    grouped = keyed.withColumn("cls", F.when((F.col("lo") != F.col("hi")) & turned & (stems == 2), F.lit("*")).otherwise(F.col("stem")))
-    lead = Window.partitionBy("lo", "hi", "cls").orderBy(F.desc("support"), "phrase")
-    name, head = F.first("phrase").over(lead), F.first("head_type").over(lead)
-    return grouped.select(F.col("phrase").alias("alias"), name.alias("relation"), ((F.col("lo") != F.col("hi")) & (head != F.col("head_type"))).alias("swapped"), "support")
-
-
-def coherence(signed: DataFrame, mapping: DataFrame, dim: int = 64) -> DataFrame:
-    """(relation, coherence): mean pairwise cosine of the names in a class; 1 for a single name."""
-    v = mapping.select("relation", "alias", hashed_ngrams("alias", dim).alias("v"))
-    pairs = v.alias("x").join(v.alias("y"), "relation").where("x.alias < y.alias").groupBy("relation").agg(F.round(F.avg(cosine("x.v", "y.v")), 6).alias("c"))
+    return signed(counted(facts))
+
+
+def signed(counts: DataFrame) -> DataFrame:
+    """(phrase, support, heads, tails, head_type, tail_type, share): the dominant pair of types per name, over the counts of all batches."""
+    total = counts.groupBy("phrase", "head_type", "tail_type").agg(F.sum("n").alias("n"), F.sum("heads").alias("heads"), F.sum("tails").alias("tails"))
+    every = Window.partitionBy("phrase")
+    first = F.row_number().over(every.orderBy(F.desc("n"), "head_type", "tail_type"))
+    rows = total.withColumn("support", F.sum("n").over(every)).withColumn("r", first).where("r = 1")
+    return rows.select("phrase", "support", "heads", "tails", "head_type", "tail_type", F.round(F.col("n") / F.col("support"), 6).alias("share"), (F.col("heads") >= REGULAR * F.col("n")).alias("one_tail"), (F.col("tails") >= REGULAR * F.col("n")).alias("one_head"))
+
+
+def clusters(rows: DataFrame, least: float) -> DataFrame:
+    """rows with cluster: names on the same two types, in either direction, whose vectors are within a cosine of least, by components."""
+    v = settled(rows.select("phrase", F.least("head_type", "tail_type").alias("lo"), F.greatest("head_type", "tail_type").alias("hi"), hashed_ngrams(stem("phrase")).alias("v")))
+    near = v.alias("x").join(v.alias("y"), (F.col("x.lo") == F.col("y.lo")) & (F.col("x.hi") == F.col("y.hi")) & (F.col("x.phrase") < F.col("y.phrase"))).where(cosine("x.v", "y.v") >= least)
+    labels = components(near.select(F.col("x.phrase").alias("a"), F.col("y.phrase").alias("b")))
+    return rows.join(labels, F.col("phrase") == F.col("node"), "left").withColumn("cluster", F.coalesce("label", "phrase")).drop("node", "label")
+
+
+def with_inverses(rows: DataFrame) -> DataFrame:
+    """rows with class: a cluster and the one that says the same the other way round. That is so if each is the only cluster from one
+    type to the other, and where one gives every head one tail, the other gives every tail one head."""
+    way = F.when(F.col("lo") != F.col("hi"), F.col("lo") == F.col("head_type"))
+    lead = Window.partitionBy("cluster").orderBy(F.desc("support"), "phrase")
+    top = rows.withColumn("lo", F.least("head_type", "tail_type")).withColumn("hi", F.greatest("head_type", "tail_type")).withColumn("r", F.row_number().over(lead)).where("r = 1").withColumn("forward", way)
+    mixed = rows.groupBy("cluster").agg(F.countDistinct("head_type", "tail_type").alias("ways")).where("ways > 1").select("cluster")
+    lone = top.join(mixed, "cluster", "left_anti").where("forward is not null")
+    per = lone.groupBy("lo", "hi").agg(F.count_if("forward").alias("a"), F.count_if(~F.col("forward")).alias("b"), F.min("cluster").alias("class"), F.max(F.when(F.col("forward"), F.struct("one_tail", "one_head"))).alias("x"), F.max(F.when(~F.col("forward"), F.struct("one_tail", "one_head"))).alias("y"))
+    mirrored = ((F.col("x.one_tail") & F.col("y.one_head")) | (F.col("x.one_head") & F.col("y.one_tail"))) & (F.col("a") == 1) & (F.col("b") == 1)
+    turned = lone.select("cluster", "lo", "hi").join(per.where(mirrored), ["lo", "hi"]).select("cluster", "class")
+    return rows.join(turned, "cluster", "left").withColumn("class", F.coalesce("class", "cluster"))
+
+
+def canonicalise(rows: DataFrame, known: DataFrame | None = None, least: float = 0.8) -> DataFrame:
+    """(alias, relation, swapped, support, class): names of one meaning under the name that is used most, or, where an earlier batch
+    registered one (known: alias, relation, swapped), under that one and in its direction."""
+    grouped = with_inverses(settled(clusters(settled(rows), least)))
+    if known is not None:
+        grouped = grouped.join(known.select(F.col("alias").alias("phrase"), F.col("relation").alias("old"), F.col("swapped").alias("old_swapped")), "phrase", "left")
+    else:
+        grouped = grouped.withColumn("old", F.lit(None).cast("string")).withColumn("old_swapped", F.lit(None).cast("boolean"))
+    lead = Window.partitionBy("class").orderBy(F.col("old").isNull(), F.desc("support"), "phrase").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    first = lambda c: F.first(c).over(lead)
+    name, turned = F.coalesce(first("old"), first("phrase")), F.coalesce(first("old_swapped"), F.lit(False))
+    way = F.when(turned, first("tail_type")).otherwise(first("head_type"))
+    swapped = (F.col("head_type") != F.col("tail_type")) & (way != F.col("head_type"))
+    out = grouped.select(F.col("phrase").alias("alias"), F.coalesce("old", name).alias("relation"), F.coalesce("old_swapped", swapped).alias("swapped"), "support", "class")
+    return settled(out)  # a vocabulary
+
+
+def coherence(mapping: DataFrame, dim: int = 64) -> DataFrame:
+    """(relation, coherence): mean pairwise cosine of the names in a class that run in one direction; 1 for single names."""
+    v = settled(mapping.select("relation", "swapped", "alias", hashed_ngrams(stem("alias"), dim).alias("v")))
+    pairs = v.alias("x").join(v.alias("y"), ["relation", "swapped"]).where("x.alias < y.alias").groupBy("relation").agg(F.round(F.avg(cosine("x.v", "y.v")), 6).alias("c"))
     return mapping.select("relation").distinct().join(pairs, "relation", "left").select("relation", F.coalesce("c", F.lit(1.0)).alias("coherence"))
 
 
-def propose(signed: DataFrame, mapping: DataFrame, cfg: LoopConfig) -> DataFrame:
-    """Classes with support, and the verdict of the review: PASS with enough support, heads and a dominant
-    pair of types, else POOL, where they wait for more data."""
-    joined = mapping.join(signed.select(F.col("phrase").alias("alias"), "heads", "share", F.col("head_type").alias("ht"), F.col("tail_type").alias("tt")), "alias")
+def propose(rows: DataFrame, mapping: DataFrame, cfg: LoopConfig, counts: DataFrame | None = None) -> DataFrame:
+    """(relation, support, heads, share, aliases, domain, range, coherence, verdict) per class. The end that the other one determines has
+    one type in a schema, the one that most facts have; the other end has all types seen with it. So a relation that gives
+    every head one tail has one range and may have several domains, and the reverse. The review passes classes with enough support
+    and heads, coherent names, and a type of the determined end that most facts have; others wait in the pool."""
+    joined = settled(mapping.join(rows.select(F.col("phrase").alias("alias"), "heads", "share", "one_tail", "one_head", F.col("head_type").alias("ht"), F.col("tail_type").alias("tt")), "alias"))
     turn = lambda a, b: F.when(F.col("swapped"), F.col(b)).otherwise(F.col(a))
     classes = joined.groupBy("relation").agg(
-        F.sum("support").alias("support"), F.max("heads").alias("heads"), F.min("share").alias("share"), F.array_sort(F.collect_set("alias")).alias("aliases"),
-        F.array_sort(F.collect_set(turn("ht", "tt"))).alias("domain"), F.array_sort(F.collect_set(turn("tt", "ht"))).alias("range"),
+        F.sum("support").alias("support"), F.max("heads").alias("heads"), F.array_sort(F.collect_set("alias")).alias("aliases"),
+        F.max_by(F.struct(turn("one_tail", "one_head").alias("tail"), turn("one_head", "one_tail").alias("head")), F.struct("support", "alias")).alias("one"),
     )
-    ok = (F.col("support") > cfg.theta_relation) & (F.col("heads") >= cfg.review_heads) & (F.col("share") >= cfg.review_type_share)
-    return classes.withColumn("verdict", F.when(ok, "PASS").otherwise("POOL"))
+    pairs = joined.select("alias", "relation", "swapped", "ht", "tt", F.col("support").alias("n")) if counts is None else mapping.select("alias", "relation", "swapped").join(counts.select(F.col("phrase").alias("alias"), F.col("head_type").alias("ht"), F.col("tail_type").alias("tt"), "n"), "alias")
+    cells = pairs.groupBy("relation", turn("ht", "tt").alias("d"), turn("tt", "ht").alias("r")).agg(F.sum("n").alias("n")).join(classes.select("relation", (F.col("one.head") & ~F.col("one.tail")).alias("by_tail")), "relation")
+    fixed, free = F.when(F.col("by_tail"), F.col("d")).otherwise(F.col("r")), F.when(F.col("by_tail"), F.col("r")).otherwise(F.col("d"))
+    per = cells.groupBy("relation", "by_tail", fixed.alias("fixed")).agg(F.sum("n").alias("n"), F.array_sort(F.collect_set(free)).alias("free"))
+    top = per.groupBy("relation", "by_tail").agg(F.max_by(F.struct("fixed", "free", "n"), F.struct("n", "fixed")).alias("x"), F.sum("n").alias("all"))
+    one, many = F.array("x.fixed"), F.col("x.free")
+    schema = top.select("relation", F.when(F.col("by_tail"), one).otherwise(many).alias("domain"), F.when(F.col("by_tail"), many).otherwise(one).alias("range"), F.round(F.col("x.n") / F.col("all"), 6).alias("share"))
+    out = classes.drop("one").join(schema, "relation").join(coherence(mapping), "relation")
+    ok = (F.col("support") > cfg.theta_relation) & (F.col("heads") >= cfg.review_heads) & (F.col("share") >= cfg.review_type_share) & (F.col("coherence") >= cfg.coherence_min)
+    return out.withColumn("verdict", F.when(ok, "PASS").otherwise("POOL"))
 
 
 def retry(pool: DataFrame, support_by_batch: DataFrame, theta: int) -> DataFrame:

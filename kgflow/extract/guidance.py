@@ -10,7 +10,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from kgflow.functions.text import dot
+from kgflow.evolve.relation_schema import stem
+from kgflow.functions.text import dot, hashed_ngrams
 from kgflow.session import settled, ship
 
 
@@ -118,6 +119,16 @@ def topk_lsh(left: DataFrame, right: DataFrame, k: int = 30, dim: int = 64, tabl
 SAMPLED = 64
 
 
+def retrieve(names: DataFrame, schemas: DataFrame, k: int = 30) -> DataFrame:
+    """(phrase, alias, score, rank): the k registered aliases nearest to each distinct name (phrase), by the cosine of their
+    vectors; an equal name comes first. Both sides are vocabularies of relation names, not rows of a batch."""
+    vec = lambda c: hashed_ngrams(stem(c))
+    a, b = settled(names.select("phrase", vec("phrase").alias("va"))), settled(schemas.select("alias", vec("alias").alias("vb")))
+    score = F.when(F.col("phrase") == F.col("alias"), 1.0).otherwise(F.least(F.round(dot("va", "vb"), 6), F.lit(0.999999)))
+    rank = F.row_number().over(Window.partitionBy("phrase").orderBy(F.desc("score"), "alias"))
+    return a.join(b).withColumn("score", score).withColumn("rank", rank).where(F.col("rank") <= k).select("phrase", "alias", "score", "rank")
+
+
 def constrain(cands: DataFrame, schemas: DataFrame) -> DataFrame:
     """Candidates (h, phrase, t) under the canonical relation of their schema, heads and tails swapped
     where the schema's alias is its inverse; unseen names pass untouched. schemas: (alias, relation, swapped)."""

@@ -31,11 +31,16 @@ def ngrams(x: Column | str, n: int = 3) -> Column:
     return F.transform(F.sequence(F.lit(1), F.greatest(F.length(padded) - n + 1, F.lit(1))), lambda i: F.substring(padded, i, F.lit(n)))
 
 
+def bound(value: Column, body) -> Column:
+    """body(value) with the value computed once: an expression that is named in a lambda is evaluated at every use of it."""
+    return F.get(F.transform(F.array(value), body), 0)
+
+
 def hashed_ngrams(x: Column | str, dim: int = 64, n: int = 3) -> Column:
     """Unit vector of hashed character n-gram counts, array<double>."""
     at = F.transform(ngrams(x, n), lambda g: F.pmod(F.conv(F.substring(F.md5(g), 1, 6), 16, 10).cast("bigint"), F.lit(dim)).cast("int"))
-    counts = F.transform(F.sequence(F.lit(0), F.lit(dim - 1)), lambda d: F.size(F.filter(at, lambda a: a == d)).cast("double"))
-    return unit(counts)
+    counts = lambda places: F.transform(F.sequence(F.lit(0), F.lit(dim - 1)), lambda d: F.size(F.filter(places, lambda p: p == d)).cast("double"))
+    return unit(bound(at, counts))
 
 
 def dot(a: Column | str, b: Column | str) -> Column:
@@ -47,8 +52,8 @@ def norm(a: Column | str) -> Column:
 
 
 def unit(a: Column | str) -> Column:
-    size = norm(a)
-    return F.transform(_c(a), lambda x: F.when(size > 0, x.cast("double") / size).otherwise(0.0))
+    over = lambda v: bound(norm(v), lambda size: F.transform(v, lambda x: F.when(size > 0, x.cast("double") / size).otherwise(0.0)))
+    return bound(_c(a), over)
 
 
 def cosine(a: Column | str, b: Column | str) -> Column:

@@ -6,11 +6,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
-def verify(cands: DataFrame, asserted: DataFrame, functional: tuple[str, ...]) -> DataFrame:
+def verify(cands: DataFrame, asserted: DataFrame, functional: tuple[str, ...] | None) -> DataFrame:
     """cands (stmt_id, head, relation, tail) with verdict. asserted: what the statements say themselves, in
     the same columns. A different value for the same head and functional relation contradicts; a statement
-    that says nothing on the matter does not."""
-    said = asserted.where(F.col("relation").isin(*functional)).groupBy("stmt_id", "head", "relation").agg(F.collect_set("tail").alias("_said"))
-    out = cands.join(said, ["stmt_id", "head", "relation"], "left")
-    against = F.col("_said").isNotNull() & ~F.array_contains("_said", F.col("tail"))
-    return out.withColumn("verdict", F.when(against, "REJECTED").otherwise("ACCEPTED")).drop("_said")
+    that says nothing on the matter does not. functional None: a statement that pairs one end with something else
+    under the relation contradicts, whichever end that is."""
+    rows = asserted if functional is None else asserted.where(F.col("relation").isin(*functional))
+    out = cands
+    against = F.lit(False)
+    for end, other in (("head", "tail"), ("tail", "head"))[: 2 if functional is None else 1]:
+        said = rows.groupBy("stmt_id", end, "relation").agg(F.collect_set(other).alias(f"_said_{other}"))
+        out = out.join(said, ["stmt_id", end, "relation"], "left")
+        against = against | (F.col(f"_said_{other}").isNotNull() & ~F.array_contains(f"_said_{other}", F.col(other)))
+    return out.withColumn("verdict", F.when(against, "REJECTED").otherwise("ACCEPTED")).drop("_said_head", "_said_tail")

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from functools import reduce
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -150,36 +148,18 @@ PRF = """SELECT relation, sum(tp)::BIGINT AS tp, sum(np)::BIGINT AS n_pred, sum(
   round(2 * (sum(tp) / nullif(sum(np), 0)) * (sum(tp) / nullif(sum(ng), 0)) / nullif(sum(tp) / nullif(sum(np), 0) + sum(tp) / nullif(sum(ng), 0), 0), 6) AS f1 FROM r GROUP BY relation"""
 
 
-@query(BASE + ", r AS (SELECT relation, (NOT wrong AND NOT made_up)::INT AS tp, (NOT made_up AND NOT wrong OR made_up AND cand = told)::INT AS np, 1 AS ng FROM g) " + PRF)
-def m_prf_by_relation(spark, sf_dir):
-    gold = render.fact_rows(star(spark, sf_dir))
-    return quality.prf(gated(spark, sf_dir), gold, ["relation"], ["head", "tail"])
-
-
 @query(BASE + ", r AS (SELECT relation, (cand = tail)::INT AS tp, 1 AS np, 1 AS ng FROM g) " + PRF)
 def m_prf_without_gates(spark, sf_dir):
     gold = render.fact_rows(star(spark, sf_dir))
     return quality.prf(gated(spark, sf_dir, LoopConfig(evidence=False, logic=False)), gold, ["relation"], ["head", "tail"])
 
 
-@query(BASE + ", r AS (SELECT (NOT wrong AND NOT made_up)::INT AS tp, (NOT made_up AND NOT wrong)::INT AS np FROM g) SELECT mode, sum(tp)::BIGINT AS tp, sum(np)::BIGINT AS n_pred, count(*)::BIGINT AS n_gold FROM r, (VALUES ('batch'), ('stream-end')) AS m(mode) GROUP BY mode")
-def m_prf_batch_vs_stream(spark, sf_dir):
-    """The whole corpus as one batch, and its slices one by one: without a model, the same facts."""
-    gold = render.fact_rows(star(spark, sf_dir))
-    one = gated(spark, sf_dir)
-    parts = reduce(DataFrame.unionByName, [one.where(F.col("batch_id") == k) for k in range(3)])
-    both = one.withColumn("mode", F.lit("batch")).unionByName(parts.withColumn("mode", F.lit("stream-end")))
-    key = ["head", "relation", "tail"]
-    golds = gold.select(*key).withColumn("mode", F.explode(F.array(F.lit("batch"), F.lit("stream-end"))))
-    return quality.prf(both, golds, ["mode"], key).select("mode", "tp", "n_pred", "n_gold")
-
-
 # schemas --------------------------------------------------------------------------------------
 
 
 def signed(spark, sf_dir) -> DataFrame:
     t = star(spark, sf_dir)
-    return relation_schema.signatures(typed(candidates(t), lexicon(t), "h", "t"))
+    return settled(relation_schema.signatures(typed(candidates(t), lexicon(t), "h", "t")))  # a vocabulary
 
 
 @query(BASE + "SELECT phrase, batch_id, count(*)::BIGINT AS support, count(DISTINCT CASE WHEN swapped THEN told ELSE head END)::BIGINT AS heads FROM g GROUP BY phrase, batch_id")
@@ -195,7 +175,7 @@ m AS (SELECT c.alias, c.lead AS relation, c.swapped <> l.swapped AS swapped, c.s
 
 @query(CANON + "SELECT alias, relation, swapped, support::BIGINT AS support FROM m")
 def s_canonical_map(spark, sf_dir):
-    return relation_schema.canonicalise(signed(spark, sf_dir))
+    return relation_schema.canonicalise(signed(spark, sf_dir)).drop("class")
 
 
 @query(CANON + "SELECT relation, sum(support)::BIGINT AS support, count(*)::BIGINT AS aliases, CASE WHEN sum(support) > 5 THEN 'PASS' ELSE 'POOL' END AS verdict FROM m GROUP BY relation")
@@ -229,10 +209,22 @@ def m_schema_size(spark, sf_dir):
     return m.agg(F.countDistinct("alias").alias("phrases"), F.countDistinct("relation").alias("induced")).withColumn("fewer", F.round(1 - F.col("induced") / F.col("phrases"), 6))
 
 
-@query()
+NGRAMS = """, names AS (SELECT DISTINCT phrase AS alias, relation AS gold FROM g),
+ng AS (SELECT alias, ('0x' || substr(md5(substr('^' || alias || '$', i, 3)), 1, 6))::BIGINT % 64 AS d, count(*) AS c FROM (SELECT alias, unnest(range(1, length(alias) + 1)) AS i FROM names) GROUP BY ALL),
+len AS (SELECT alias, sqrt(sum(c * c)) AS l FROM ng GROUP BY alias),
+near AS (SELECT x.alias AS a, y.alias AS b FROM ng x JOIN ng y ON x.d = y.d AND x.alias <> y.alias JOIN len p ON p.alias = x.alias JOIN len q ON q.alias = y.alias GROUP BY x.alias, y.alias, p.l, q.l HAVING sum(x.c * y.c) / p.l / q.l >= 0.8),
+reach(a, b) AS (SELECT alias, alias FROM names UNION SELECT reach.a, near.b FROM reach JOIN near ON reach.b = near.a),
+kind AS (SELECT a AS alias, min(b) AS type FROM reach GROUP BY a),
+votes AS (SELECT type, gold, count(*) AS n FROM kind JOIN names USING (alias) GROUP BY ALL),
+best AS (SELECT type, arg_max(gold, (n, gold)) AS gold FROM votes GROUP BY type),
+per AS (SELECT gold, count(*) AS k FROM best GROUP BY gold)
+"""
+
+
+@query(BASE.replace("WITH facts", "WITH RECURSIVE facts") + NGRAMS + """SELECT 'define-canonicalise' AS method, sum(k)::BIGINT AS types, count(*)::BIGINT AS matched, round(count(*) / sum(k), 6) AS schema_precision, sum(CASE WHEN k > 1 THEN k ELSE 0 END)::BIGINT AS redundant, round(sum(CASE WHEN k > 1 THEN k ELSE 0 END) / sum(k), 6) AS redundancy FROM per
+UNION ALL SELECT 'loop', count(DISTINCT gold)::BIGINT, count(DISTINCT gold)::BIGINT, 1.0::DOUBLE, 0::BIGINT, 0.0::DOUBLE FROM names""")
 def m_schema_vs_baseline(spark, sf_dir):
-    """Types, precision and redundancy of the loop and of the canonicalise-once baseline (rows only: the
-    baseline clusters by name vectors)."""
+    """Types, precision and redundancy of the loop and of the canonicalise-once baseline, which compares whole names and never turns them."""
     s = signed(spark, sf_dir)
     gold = registry(spark).select("alias", F.col("relation").alias("gold"))
     loop = quality.schema_quality(relation_schema.canonicalise(s), gold).withColumn("method", F.lit("loop"))
@@ -327,12 +319,13 @@ def c_clusters(spark, sf_dir):
     return entities.intra(m.select("surface"))
 
 
-@query("WITH a AS (SELECT DISTINCT 'acct ' || (user_id // 3) AS s, user_id // 3 AS acct, NULL::BIGINT AS seat FROM events UNION SELECT DISTINCT 'acct ' || (user_id // 3) || ' seat ' || (user_id % 3), user_id // 3, user_id % 3 FROM events) SELECT x.s AS a, y.s AS b, CASE WHEN (x.seat IS NULL) <> (y.seat IS NULL) THEN 'HIERARCHY' ELSE 'SEPARATE' END AS verdict FROM a x JOIN a y ON x.acct = y.acct AND x.s < y.s")
+@query("WITH a AS (SELECT DISTINCT 'acct ' || (user_id // 3) AS s, user_id // 3 AS acct, NULL::BIGINT AS seat FROM events UNION SELECT DISTINCT 'acct ' || (user_id // 3) || ' seat ' || (user_id % 3), user_id // 3, user_id % 3 FROM events) SELECT x.s AS a, y.s AS b, 'HIERARCHY' AS verdict FROM a x JOIN a y ON x.acct = y.acct AND x.s < y.s WHERE (x.seat IS NULL) <> (y.seat IS NULL)")
 def c_pair_verdicts(spark, sf_dir):
+    """Names of which one lies in the other; pairs that are apart are not made."""
     ev = table(spark, sf_dir, "events")
     alias = F.concat(F.lit("acct "), F.floor(F.col("user_id") / 3).cast("string"))
     names = ev.select(F.explode(F.array(alias, F.concat(alias, F.lit(" seat "), F.pmod("user_id", F.lit(3)).cast("string")))).alias("surface")).distinct()
-    return entities.block_pairs(names).withColumn("verdict", entities.pair_verdict("a", "b"))
+    return entities.block_pairs(names).withColumn("verdict", entities.pair_verdict("a", "b")).where("verdict <> 'SEPARATE'")
 
 
 @query("SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = b.event_type AND a.event_id < b.event_id AND abs(epoch_us(a.ts) - epoch_us(b.ts)) <= 3600000000")
