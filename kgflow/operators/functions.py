@@ -8,18 +8,19 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from kgflow.functions.ids import h32
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(T.StringType())
 def folded(text: pd.Series) -> pd.Series:
     """Lower case without accents; null stays null. Unicode decomposition has no built-in function."""
     plain = lambda t: "".join(c for c in unicodedata.normalize("NFD", t.lower()) if unicodedata.category(c) != "Mn")
     return text.map(lambda t: None if t is None else plain(t))
 
 
-@F.udtf(returnType="no int, statement string")
+@F.udtf(returnType=T.StructType([T.StructField("no", T.IntegerType()), T.StructField("statement", T.StringType())]))
 class ExtractStatements:
     """The non-blank lines of a text, numbered from 0 as they stand; a null text has none."""
 
