@@ -307,7 +307,7 @@ def vector_classes(rows: DataFrame, k: int) -> DataFrame:
     whole = part.groupBy("vec").agg(cut(F.array_distinct(F.flatten(F.collect_list("ids")))).alias("members"))
     top = F.array_max(F.transform("vec", lambda x: F.abs(x)))
     square = F.aggregate(F.transform("vec", lambda x: (x / top) * (x / top)), F.lit(0.0), lambda s, x: s + x)
-    mag = F.floor(F.log2(top) + F.log2(square) / 2).cast("int")
+    mag = F.floor(F.log2(top) + F.log2(square) / 2 + 0.5).cast("int")  # unit vectors lie in the middle of a magnitude
     return whole.select("vec", F.size("vec").alias("dim"), mag.alias("mag"), F.col("members")[0].alias("id"), "members")
 
 
