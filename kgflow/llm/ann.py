@@ -13,9 +13,11 @@ neighbourhood, and nothing overflows. The upper levels hold a sixteenth of the l
 level is built by inserting batches that double, each found by searching the graph so far, with diverse
 neighbours kept. Batches of queries walk the graph together.
 
-Recall is measured as the search runs: some queries of every block are also answered by all inner products of
-the shard, and while the graph finds less than ``RECALL`` of these, the width of the walk doubles; a shard where
-that would visit most nodes is searched by all inner products.
+Recall is measured as the graphs are built: a fixed number of queries is answered in every shard by all inner
+products and by walks that double in width, and a magnitude takes the least width at which its graphs find
+``RECALL`` of what is among these queries' k nearest over all shards. Where that is too little to judge by, or no
+width reaches it, each shard and block of queries measures its own k nearest in the same way, and a shard where
+the walk would visit most nodes is searched by all inner products.
 
 Edge cases: vectors that are null, zero, or hold null or non-finite components take no part, nor
 do rows with a null id; vectors of different length are never compared; with fewer candidates
@@ -39,6 +41,8 @@ from kgflow.session import settled, width
 LINKS, EF_BUILD, EF_SEARCH = 16, 64, 96
 #: Vectors of a shard at most; shards of a magnitude at least, so that small tables use several cores, if they have as many vectors.
 SHARD, LEAST_SHARDS, LEAST = 65536, 12, 256
+#: Partitions at most in which shards are built.
+MOST_PARTS = 1 << 15
 #: Bytes of the queries that meet a shard together.
 QUERY_BYTES = 32 << 20
 #: Share of the true nearest that the measured queries of a shard must find, and how many queries are measured.
@@ -117,45 +121,54 @@ class Graph:
         start = self.descend(q, n)
         near = self.near[0]
         rows = np.arange(len(q))
-        seen = np.zeros((len(q), n), bool)
+        seen = np.zeros(len(q) * n, bool)
+        last = np.empty(len(q) * n, np.int32)  # which of one round's arrivals at a place came last
         ids = np.full((len(q), ef), -1, np.int32)
         sims = np.full((len(q), ef), -np.inf, np.float32)
         spent = np.ones((len(q), ef), bool)
         ids[:, 0], spent[:, 0] = start, False
         sims[:, 0] = np.einsum("ij,ij->i", q, self.x[start])
-        seen[rows, start] = True
+        worst = np.full(len(q), -np.inf, np.float32)
+        seen[rows * n + start] = True
         live = rows
         while len(live):
             open_ = np.where(spent[live], -np.inf, sims[live])
             pick = np.argpartition(-open_, min(wide, ef) - 1, axis=1)[:, :wide]
             good = np.isfinite(np.take_along_axis(open_, pick, 1))
-            live, pick, good = live[good.any(1)], pick[good.any(1)], good[good.any(1)]
+            some = good.any(1)
+            live, pick, good = live[some], pick[some], good[some]
             if not len(live):
                 break
-            spent[live[:, None], pick] = True
             r, c = np.nonzero(good)
-            hop = near[ids[live[r], pick[r, c]]]
-            who, what = np.repeat(live[r], hop.shape[1]), hop.reshape(-1)
-            ok = (what >= 0) & (what < n)
-            who, what = who[ok], what[ok]
-            fresh = ~seen[who, what]
-            flat = np.unique(who[fresh] * np.int64(n) + what[fresh])
-            who, what = flat // n, (flat % n).astype(np.int32)
-            seen[who, what] = True
+            from_, at = live[r], pick[r, c]
+            spent[from_, at] = True
+            hop = near[ids[from_, at]]
+            what, flat = hop.reshape(-1), (from_[:, None] * n + hop).reshape(-1)
+            ok = np.flatnonzero((what >= 0) & (what < n))
+            ok = ok[~seen[flat[ok]]]
+            flat = flat[ok]
+            turn = np.arange(len(flat), dtype=np.int32)
+            last[flat] = turn
+            once = last[flat] == turn
+            flat, what = flat[once], what[ok[once]]
+            seen[flat] = True
+            who = flat // n
             s = np.einsum("ij,ij->i", q[who], self.x[what])
-            better = s > sims[who, -1]  # the last is the worst kept
+            better = s > worst[who]
             who, what, s = who[better], what[better], s[better]
             if not len(who):
                 continue
             rank = np.arange(len(who)) - np.searchsorted(who, who)
-            hit, row = np.unique(who, return_inverse=True)
+            hit, row = live, np.searchsorted(live, who)
             more = int(rank.max()) + 1
             s2, i2, p2 = np.full((len(hit), ef + more), -np.inf, np.float32), np.full((len(hit), ef + more), -1, np.int32), np.ones((len(hit), ef + more), bool)
             s2[:, :ef], i2[:, :ef], p2[:, :ef] = sims[hit], ids[hit], spent[hit]
             s2[row, ef + rank], i2[row, ef + rank], p2[row, ef + rank] = s, what, False
-            order = np.argsort(-s2, axis=1, kind="stable")[:, :ef]
-            sims[hit], ids[hit], spent[hit] = np.take_along_axis(s2, order, 1), np.take_along_axis(i2, order, 1), np.take_along_axis(p2, order, 1)
-        return sims, ids
+            keep = np.argpartition(-s2, ef - 1, axis=1)[:, :ef]
+            sims[hit], ids[hit], spent[hit] = np.take_along_axis(s2, keep, 1), np.take_along_axis(i2, keep, 1), np.take_along_axis(p2, keep, 1)
+            worst[hit] = sims[hit].min(1)
+        order = np.argsort(-sims, axis=1, kind="stable")
+        return np.take_along_axis(sims, order, 1), np.take_along_axis(ids, order, 1)
 
     def descend(self, q: np.ndarray, n: int) -> np.ndarray:
         """Greedy walk through the upper levels: an entry node of the lowest for each query."""
@@ -226,16 +239,61 @@ def lengthened(x: np.ndarray) -> np.ndarray:
     return np.concatenate([y / math.sqrt(most), np.sqrt(np.maximum(1 - square / most, 0))[:, None]], 1).astype(np.float32)
 
 
-INDEX = "dim int, mag int, shard int, ids array<bigint>, vectors binary, nodes array<binary>, near array<binary>"
+TRIAL = pa.list_(pa.struct([("q", pa.int64()), ("id", pa.int64()), ("score", pa.float64()), ("width", pa.int32())]))
+SHARD_ROW = pa.schema([("dim", pa.int32()), ("mag", pa.int32()), ("shard", pa.int32()), ("ids", pa.list_(pa.int64())), ("vectors", pa.binary()), ("nodes", pa.list_(pa.binary())), ("near", pa.list_(pa.binary())), ("trial", TRIAL)])
+INDEX = "dim int, mag int, shard int, ids array<bigint>, vectors binary, nodes array<binary>, near array<binary>, trial array<struct<q: bigint, id: bigint, score: double, width: int>>"
+
+
+def unfolded(vectors: pa.ChunkedArray, dim: int) -> np.ndarray:
+    return np.asarray(vectors.combine_chunks().flatten()).astype(np.float64).reshape(-1, dim)
+
 
+def directions(q: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Queries over their largest component, and the same with the graph's further coordinate."""
+    unit = q / np.maximum(np.abs(q).max(1, keepdims=True), 5e-324)
+    return unit, np.concatenate([unit, np.zeros((len(q), 1))], 1).astype(np.float32)
 
-def build_shard(t: pa.Table) -> pa.Table:
+
+def build_shard(t: pa.Table, sample: pa.Table | None = None, k: int = 0, ef: int = EF_SEARCH) -> pa.Table:
+    """The shard's row; with sampled queries also what trials of its graph found."""
     t = t.sort_by("id").combine_chunks()
     d = t.column("dim")[0].as_py()
-    x = np.asarray(t.column("vec").combine_chunks().flatten()).astype(np.float64).reshape(-1, d)
+    x, ids = unfolded(t.column("vec"), d), np.asarray(t.column("id"))
     g = build(lengthened(x))
-    row = {"dim": [d], "mag": [t.column("mag")[0].as_py()], "shard": [t.column("shard")[0].as_py()], "ids": [t.column("id").to_pylist()], "vectors": [x.tobytes()], "nodes": [[v.astype(np.int32).tobytes() for v in g.nodes]], "near": [[v.tobytes() for v in g.near]]}
-    return pa.table(row, pa.schema([("dim", pa.int32()), ("mag", pa.int32()), ("shard", pa.int32()), ("ids", pa.list_(pa.int64())), ("vectors", pa.binary()), ("nodes", pa.list_(pa.binary())), ("near", pa.list_(pa.binary()))]))
+    trial = tried(g, x, ids, unfolded(sample.column("vec"), d), np.asarray(sample.column("id")), k, ef) if sample is not None and sample.num_rows else []
+    row = {"dim": [d], "mag": [t.column("mag")[0].as_py()], "shard": [t.column("shard")[0].as_py()], "ids": [t.column("id").to_pylist()], "vectors": [x.tobytes()], "nodes": [[v.astype(np.int32).tobytes() for v in g.nodes]], "near": [[v.tobytes() for v in g.near]], "trial": [trial]}
+    return pa.table(row, SHARD_ROW)
+
+
+def tried(g: Graph, x: np.ndarray, ids: np.ndarray, q: np.ndarray, name: np.ndarray, k: int, ef: int) -> list[dict]:
+    """The k largest inner products of each query, each with the least width of walk that finds it (None: none tried does).
+    Nodes equal to the query are left out, since the walk to them is easy."""
+    unit, flat = directions(q)
+    scaled = x / max(np.abs(x).max(initial=0), 5e-324)
+    best = by_products(unit, scaled, k)
+    least = np.full(best.shape, -1, np.int32)
+    while ef < len(x) or ef <= 2 * k:
+        _, found = g.walk(flat, ef)
+        for i in range(len(q)):
+            least[i, (least[i] < 0) & np.isin(best[i], found[i])] = ef
+        if share_found(unit, scaled, found[:, :k], k) >= RECALL:
+            break
+        ef *= 2
+    with np.errstate(over="ignore", invalid="ignore"):
+        score = np.einsum("ij,ikj->ik", q, x[best])
+    i, j = np.nonzero((x[best] != q[:, None, :]).any(2))
+    return [{"q": int(name[a]), "id": int(ids[best[a, b]]), "score": float(score[a, b]), "width": int(least[a, b]) if least[a, b] > 0 else None} for a, b in zip(i, j, strict=True)]
+
+
+def walk_widths(built: DataFrame, k: int) -> DataFrame:
+    """(dim, mag, width): the least width at which the graphs of a magnitude find enough of the sampled queries' k nearest over all shards."""
+    trials = built.select("dim", "mag", F.explode("trial").alias("t")).select("dim", "mag", "t.*")
+    rank = F.row_number().over(Window.partitionBy("dim", "q").orderBy(F.desc("score"), "id"))
+    counts = trials.withColumn("r", rank).where(F.col("r") <= k).groupBy("dim", "mag", "width").agg(F.count("*").alias("n"))
+    group = Window.partitionBy("dim", "mag")
+    shares = counts.withColumn("upto", F.sum("n").over(group.orderBy(F.asc_nulls_last("width")))).withColumn("whole", F.sum("n").over(group))
+    enough = F.col("width").isNotNull() & (F.col("whole") >= MEASURED) & (F.col("upto") >= RECALL * F.col("whole"))
+    return shares.where(enough).groupBy("dim", "mag").agg(F.min("width").alias("width"))
 
 
 def by_products(q: np.ndarray, x: np.ndarray, k: int) -> np.ndarray:
@@ -276,12 +334,11 @@ def search_shard(k: int, ef: int):
             near = [np.frombuffer(v, np.int32).reshape(len(m), -1) for v, m in zip(row["near"], nodes, strict=True)]
             g = Graph(lengthened(x), nodes, near)
             queries = queries.combine_chunks()
-            q = np.asarray(queries.column("vec").combine_chunks().flatten()).astype(np.float64).reshape(-1, x.shape[1])
+            q = unfolded(queries.column("vec"), x.shape[1])
             name = np.asarray(queries.column("id"))
-            unit = q / np.maximum(np.abs(q).max(1, keepdims=True), 5e-324)
-            flat = np.concatenate([unit, np.zeros((len(q), 1))], 1).astype(np.float32)
+            unit, flat = directions(q)
             scaled = x / max(np.abs(x).max(initial=0), 5e-324)
-            width = measured_width(g, flat, unit, scaled, k, max(ef, k))
+            width = row.get("width") or measured_width(g, flat, unit, scaled, k, max(ef, k))
             for lo in range(0, len(q), 256):
                 found = by_products(unit[lo : lo + 256], scaled, k) if width is None else g.walk(flat[lo : lo + 256], width)[1]
                 r, c = np.nonzero(found >= 0)
@@ -306,8 +363,9 @@ def vector_classes(rows: DataFrame, k: int) -> DataFrame:
     part = rows.groupBy("vec", salt.alias("salt")).agg(cut(F.collect_set("id")).alias("ids"))
     whole = part.groupBy("vec").agg(cut(F.array_distinct(F.flatten(F.collect_list("ids")))).alias("members"))
     top = F.array_max(F.transform("vec", lambda x: F.abs(x)))
-    square = F.aggregate(F.transform("vec", lambda x: (x / top) * (x / top)), F.lit(0.0), lambda s, x: s + x)
-    mag = F.floor(F.log2(top) + F.log2(square) / 2 + 0.5).cast("int")  # unit vectors lie in the middle of a magnitude
+    # the largest component is bound once, not worked out again for each of the others
+    log = F.transform(F.array(top), lambda t: F.log2(t) + F.log2(F.aggregate("vec", F.lit(0.0), lambda s, x: s + (x / t) * (x / t))) / 2)[0]
+    mag = F.floor(log + 0.5).cast("int")  # unit vectors lie in the middle of a magnitude
     return whole.select("vec", F.size("vec").alias("dim"), mag.alias("mag"), F.col("members")[0].alias("id"), "members")
 
 
@@ -323,10 +381,25 @@ def dealt_shards(classes: DataFrame) -> DataFrame:
     return settled(classes.groupBy("dim", "mag").agg(F.count("*").alias("n")).select("dim", "mag", shards.cast("int").alias("shards")))
 
 
-def index(classes: DataFrame, sizes: DataFrame) -> DataFrame:
-    """One row of flat arrays per shard."""
+def index(classes: DataFrame, sizes: DataFrame, sample: DataFrame, k: int, ef: int) -> DataFrame:
+    """One row of flat arrays per shard, with the trials of the sampled queries (id, dim, vec). Shards get partitions of
+    their own number, since building one takes much longer than its bytes suggest."""
+    keys, theirs = ["dim", "mag", "shard"], ["of_dim", "of_mag", "of_shard"]
+    parts = min(2 * (sizes.agg(F.sum("shards")).first()[0] or 1), MOST_PARTS)
     dealt = classes.join(sizes, ["dim", "mag"]).select("dim", "mag", F.pmod(F.xxhash64("vec"), "shards").cast("int").alias("shard"), "id", "vec")
-    return dealt.groupBy("dim", "mag", "shard").applyInArrow(build_shard, INDEX)
+    each = F.explode(F.sequence(F.lit(0), F.col("shards") - 1))
+    asked = sample.join(sizes.withColumnsRenamed({"dim": "of_dim", "mag": "of_mag"}), F.col("dim") == F.col("of_dim")).select("of_dim", "of_mag", each.alias("of_shard"), "id", "vec")
+
+    def run(t: pa.Table, sample: pa.Table) -> pa.Table:
+        return build_shard(t, sample, k, ef) if t.num_rows else SHARD_ROW.empty_table()
+
+    return dealt.repartition(parts, *keys).groupBy(*keys).cogroup(asked.repartition(parts, *theirs).groupBy(*theirs)).applyInArrow(run, INDEX)
+
+
+def sampled(forms: DataFrame) -> DataFrame:
+    """(id, dim, vec) of a fixed number of queries of each length, by a hash."""
+    rank = F.row_number().over(Window.partitionBy("dim").orderBy(F.xxhash64("q"), "q"))
+    return forms.withColumn("r", rank).where(F.col("r") <= MEASURED).select(F.col("q").alias("id"), "dim", "vec")
 
 
 def nearest(table: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_id", vec_col: str = "embedding", ef: int = EF_SEARCH) -> DataFrame:
@@ -334,13 +407,13 @@ def nearest(table: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "ve
     rows = usable(table, id_col, vec_col)
     classes = settled(vector_classes(rows, k))
     sizes = dealt_shards(classes)
-    built = settled(index(classes, sizes))
     asked = usable(queries, id_col, vec_col).select(F.col("id").alias("query_id"), "vec").distinct()
     # each distinct vector asks once
     forms = settled(asked.groupBy("vec").agg(F.min("query_id").alias("q")).withColumn("dim", F.size("vec")))
     total = forms.agg(F.sum(8 * F.col("dim"))).first()[0] or 0
     blocks = max(1, math.ceil(total / QUERY_BYTES))
-    per_shard = built.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    built = settled(index(classes, sizes, sampled(forms), k, max(ef, k + 1)))
+    per_shard = built.join(walk_widths(built, k), ["dim", "mag"], "left").drop("trial").withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
     spread = forms.join(sizes, "dim").select("dim", "mag", F.pmod(F.xxhash64("q"), F.lit(blocks)).cast("int").alias("block"), F.col("q").alias("id"), "vec", F.explode(F.sequence(F.lit(0), F.col("shards") - 1)).alias("shard"))
     keys = ["dim", "mag", "shard", "block"]
     found = per_shard.groupBy(*keys).cogroup(spread.groupBy(*keys)).applyInArrow(search_shard(k + 1, ef), "q long, id long, score double")

@@ -425,6 +425,22 @@ def test_recall_of_shards(kind):
     assert hit >= 0.93 * 20 * len(q)
 
 
+def test_neighbours_recall_end_to_end(spark):
+    """Shards wider than the walk; the width comes from trials over all shards."""
+    x = np.random.default_rng(9).standard_normal((9000, 48))
+    table = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got = {}
+    for r in ann.nearest(table, table.where("vec_id % 20 = 0"), 20).collect():
+        got.setdefault(r.query_id, set()).add(r.vec_id)
+    assert len(got) == 450 and all(len(v) == 20 for v in got.values())
+    hit = 0
+    for q, found in got.items():
+        s = x @ x[q]
+        s[q] = -np.inf
+        hit += len(found & set(np.argpartition(-s, 20)[:20].tolist()))
+    assert hit >= 0.93 * 20 * len(got), hit / 20 / len(got)
+
+
 def test_neighbours_edges(spark):
     none = spark.createDataFrame([], "vec_id long, embedding array<float>")
     assert ann.nearest(none, none).count() == 0
