@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from kgflow.workloads import assembled, common, lifecycle, operators, star, surface
+from kgflow.workloads import assembled, common, judged, lifecycle, operators, star, surface
 
-__all__ = ["assembled", "flagship", "oracle_sql", "operators", "queries", "star", "surface"]
+__all__ = ["assembled", "flagship", "judged", "oracle_sql", "operators", "queries", "star", "surface"]
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

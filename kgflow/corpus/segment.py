@@ -61,9 +61,11 @@ def containing(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
     parts = F.split("text", BETWEEN)
     inner = F.filter(F.slice(parts, 2, F.greatest(F.size(parts) - 2, F.lit(0))), lambda w: w != "")
     longest = F.array_max(F.transform(inner, lambda w: F.struct(F.length(w).alias("n"), w.alias("w"))))["w"]
+    # the text itself goes only where a passage's word stands, once per passage
     items = benchmark.where("text is not null").select(F.col("text").alias("passage"), longest.alias("w")).distinct()
-    probe = documents.select("doc_id", "text", F.explode(F.array_distinct(F.split("text", BETWEEN))).alias("w"))
+    probe = documents.select("doc_id", F.explode(F.array_distinct(F.split("text", BETWEEN))).alias("w"))
     held = F.expr("instr(text, passage) > 0")
-    anchored = probe.join(items.where("w is not null"), "w").where(held).select("doc_id")
+    met = probe.join(items.where("w is not null"), "w").select("doc_id", "passage").distinct()
+    anchored = documents.join(met, "doc_id").where(held).select("doc_id")
     rest = documents.join(items.where("w is null"), held).select("doc_id")
     return anchored.unionByName(rest).distinct()

@@ -84,17 +84,18 @@ def once(events: DataFrame, key: str, ts: str = "ts", delay: str = "2 days") ->
 
 def split_late(stream: DataFrame, ts: str, delay: str) -> tuple[DataFrame, DataFrame]:
     """(late, timely) rows of a stream in two sinks. A batch is judged by the newest time of the batches before it
-    less the delay; that time is read back from the sinks, so a restart judges alike, and a batch that is
-    run again replaces its own files."""
+    less the delay; the batch before keeps that time beside the sinks, so a restart judges alike, and a batch that
+    is run again replaces its own files."""
     spark, base = stream.sparkSession, folder(stream.sparkSession, "split")
     shape = f"{base}/late", f"{base}/timely", f"{base}/newest"
 
     def put(df: DataFrame, k: int) -> None:
-        before = spark.read.schema(newest_schema).parquet(*[f"{shape[2]}/{j:09d}" for j in range(k)]).agg(F.max("newest")).first()[0] if k else None
+        before = spark.read.schema(newest_schema).parquet(f"{shape[2]}/{k - 1:09d}").first()[0] if k else None
         late = F.coalesce(F.col(ts) < F.lit(before).cast(stream.schema[ts].dataType) - F.expr(f"interval {delay}"), F.lit(False))
         df.where(late).write.parquet(f"{shape[0]}/{k:09d}", mode="overwrite")
         df.where(~late).write.parquet(f"{shape[1]}/{k:09d}", mode="overwrite")
-        df.agg(F.max(ts).alias("newest")).write.parquet(f"{shape[2]}/{k:09d}", mode="overwrite")
+        newest = F.greatest(F.max(ts), F.lit(before).cast(stream.schema[ts].dataType))
+        df.agg(newest.alias("newest")).write.parquet(f"{shape[2]}/{k:09d}", mode="overwrite")
 
     newest_schema = stream.agg(F.max(ts).alias("newest")).schema
     drained(stream, run=put)

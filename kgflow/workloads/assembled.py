@@ -57,17 +57,17 @@ def stream_state(spark: SparkSession, sf_dir: str) -> loop.State:
     return _RUNS[place]
 
 
-def aligned(facts: DataFrame, gold: DataFrame) -> DataFrame:
-    """(relation, head, tail) of facts (head, relation, tail) under the gold relation of their type, turned where the type runs the
+def aligned(facts: DataFrame, gold: DataFrame, beside: tuple[str, ...] = ()) -> DataFrame:
+    """(relation, head, tail, and the columns beside) of facts (head, relation, tail) under the gold relation of their type, turned where the type runs the
     other way. A gold relation is matched by the one type and direction that most of its facts are found under; facts of other types
     keep their own name and match nothing."""
-    f = facts.select("head", F.col("relation").alias("type"), "tail")
-    both = f.withColumn("turned", F.lit(False)).unionByName(f.select(F.col("tail").alias("head"), "type", F.col("head").alias("tail"), F.lit(True).alias("turned")))
+    f = facts.select("head", F.col("relation").alias("type"), "tail", *beside)
+    both = f.withColumn("turned", F.lit(False)).unionByName(f.select(F.col("tail").alias("head"), "type", F.col("head").alias("tail"), *beside, F.lit(True).alias("turned")))
     votes = both.join(gold.select("head", "tail", "relation").distinct(), ["head", "tail"]).groupBy("relation", "type", "turned").agg(F.count("*").alias("n"))
     best = settled(votes.withColumn("r", F.row_number().over(Window.partitionBy("relation").orderBy(F.desc("n"), "type"))).where("r = 1").select("relation", "type", "turned"))  # a vocabulary
     j = f.join(F.broadcast(best), "type", "left")
     turn = F.coalesce("turned", F.lit(False))
-    return j.select(F.coalesce("relation", "type").alias("relation"), F.when(turn, F.col("tail")).otherwise(F.col("head")).alias("head"), F.when(turn, F.col("head")).otherwise(F.col("tail")).alias("tail"))
+    return j.select(F.coalesce("relation", "type").alias("relation"), F.when(turn, F.col("tail")).otherwise(F.col("head")).alias("head"), F.when(turn, F.col("head")).otherwise(F.col("tail")).alias("tail"), *beside)
 
 
 #: Facts of a slice whose relation has no more than 5 accepted facts so far keep the name that their text has; under another name than the leading one they match no gold relation.
