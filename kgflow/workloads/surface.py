@@ -111,7 +111,7 @@ def w_analytic(spark, sf_dir):
 @query("""SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY s RANGE BETWEEN 604800 PRECEDING AND CURRENT ROW)::BIGINT AS week, round(avg(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 1 PRECEDING AND 1 FOLLOWING), 6) AS around
 FROM (SELECT *, epoch(ts)::BIGINT AS s FROM events)""")
 def w_range_frame(spark, sf_dir):
-    e = table(spark, sf_dir, "events").withColumn("s", F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / 1_000_000))
+    e = table(spark, sf_dir, "events").withColumn("s", F.rint(F.unix_micros(F.col("ts").cast("timestamp")) / 1_000_000).cast("long"))  # seconds to the nearest, as the SQL cast has them
     week = Window.partitionBy("user_id").orderBy("s").rangeBetween(-604800, 0)
     return e.select("event_id", F.count("*").over(week).alias("week"), F.round(F.avg("value").over(Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(-1, 1)), 6).alias("around"))
 
