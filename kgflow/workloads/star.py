@@ -14,7 +14,7 @@ from kgflow.extract import guidance, static_track
 from kgflow.functions.ids import h32
 from kgflow.govern import evidence, logic
 from kgflow.measures import quality
-from kgflow.session import settled
+from kgflow.session import settled, stored
 from kgflow.sources.tables import table
 from kgflow.workloads.common import query, tables
 
@@ -50,17 +50,19 @@ g AS (
 """
 
 
-_RENDERED: dict[tuple[str, str], DataFrame] = {}
+class Star(dict):
+    """The star tables; the statements are rendered from them and written at their first use, as a corpus that extraction then scans."""
+
+    def __missing__(self, name: str) -> DataFrame:
+        if name != "statements":
+            raise KeyError(name)
+        self[name] = stored(render.star_statements(self))
+        return self[name]
 
 
 def star(spark: SparkSession, sf_dir: str) -> dict[str, DataFrame]:
-    """The star tables, and the statements rendered from them, which are written once per application:
-    a corpus that extraction then scans."""
-    t = tables(spark, sf_dir, *NAMES)
-    place = (spark.sparkContext.applicationId, sf_dir)
-    if place not in _RENDERED:
-        _RENDERED[place] = settled(render.star_statements(t))
-    return t | {"statements": _RENDERED[place]}
+    """Nothing is kept from one query for the next, so every query reads its tables."""
+    return Star(tables(spark, sf_dir, *NAMES))
 
 
 def lexicon(t: dict[str, DataFrame]) -> DataFrame:
