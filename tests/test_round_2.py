@@ -5,6 +5,7 @@ import datetime
 import pytest
 
 from kgflow import catalogue
+from kgflow.workloads import lifecycle
 
 FIRST = datetime.datetime(2024, 1, 1)
 
@@ -36,3 +37,41 @@ def test_range_frame_counts_nearest_seconds(spark, tmp_path):
     rows = [(i, FIRST + datetime.timedelta(seconds=s), 1, "view", float(i), '{"k": 1}') for i, s in enumerate(at)]
     want = agree("w_range_frame", spark, *written(spark, tmp_path, events=(rows, EVENTS)))
     assert {r[1] for r in want if r[0] == 1} == {2}
+
+
+#: Six statements in our own words: an item active first, then retired, with a denial and a guess beside it.
+CASE = [
+    (0, 0, 900 * 3, "signup"), (1, 1, 900 * 3, "click"), (2, 2, 901 * 3, "signup"),
+    (3, 11, 900 * 3, "error"), (4, 12, 901 * 3, "click"), (5, 13, 901 * 3, "view"),
+]
+
+
+def test_case_study_reads_the_events(spark, tmp_path):
+    """The case comes from the event table: one retirement, one successor, and neither the guess nor the denial counts."""
+    rows = [(i, FIRST + datetime.timedelta(days=d), u, kind, 1.0, '{"k": 4}') for i, d, u, kind in CASE]
+    sf_dir, con = written(spark, tmp_path, events=(rows, EVENTS))
+    want = agree("w8_case_study", spark, sf_dir, con)
+    assert sorted(want) == [("acct 900 seat 0", "status", "active", "DEPRECATED"), ("acct 900 seat 0", "status", "deprecated", "ACTIVE"), ("acct 901 seat 0", "status", "active", "ACTIVE")]
+    texts = [r.text for r in lifecycle.with_decoys(lifecycle.statements(spark, sf_dir)).orderBy("seq").collect()]
+    assert [t.split(", ")[-1] for t in texts if ", " in t] == ["access may be removed later."] * 2 + ["access was not deprecated."]
+
+
+def star_tables(orders):
+    return {
+        "region": ([(0, "EUROPE")], "r_regionkey int, r_name string"),
+        "nation": ([(0, "FRANCE", 0)], "n_nationkey int, n_name string, n_regionkey int"),
+        "customer": ([(k, f"c{k}", 0, 1.0, "TOOLS") for k in range(40)], "c_custkey long, c_name string, c_nationkey int, c_acctbal double, c_mktsegment string"),
+        "supplier": ([(0, "s", 0, 1.0)], "s_suppkey long, s_name string, s_nationkey int, s_acctbal double"),
+        "part": ([(0, "p", "Brand#1", "t", 1, 1.0)], "p_partkey long, p_name string, p_brand string, p_type string, p_size int, p_retailprice double"),
+        "orders": ([(k, k % 40, "O", 1.0, FIRST, "LOW") for k in range(orders)], "o_orderkey long, o_custkey long, o_orderstatus string, o_totalprice double, o_orderdate timestamp_ntz, o_orderpriority string"),
+    }
+
+
+@pytest.mark.parametrize("name", ["m_schema_size", "s_traits", "v_signature_rejects"])
+def test_static_queries_read_their_tables(spark, tmp_path, name):
+    """Each query reads the tables as they are now, not statements kept from an earlier query of the application."""
+    sf_dir, con = written(spark, tmp_path, **star_tables(1))
+    agree(name, spark, sf_dir, con)
+    rows, schema = star_tables(300)["orders"]
+    spark.createDataFrame(rows, schema).coalesce(1).write.mode("overwrite").parquet(f"{sf_dir}/orders.parquet")
+    agree(name, spark, sf_dir, con)
