@@ -15,8 +15,10 @@ from kgflow.functions.text import dot, hashed_ngrams
 from kgflow.session import settled, ship
 
 
-#: Rows of either side that meet in one task: a matrix product of this size.
-BLOCK = 4096
+#: Rows of either side that meet in one task: a matrix product of this size, in pieces of PIECE scores. Every block of one side is sent once for each of the other's.
+BLOCK, PIECE = 32768, 1 << 22
+#: A pair that is met in a bucket, made distinct and joined with its vectors costs as much as so many that are multiplied in blocks, or more.
+PAIR = 256
 
 
 def best_of_blocks(k: int):
@@ -26,17 +28,21 @@ def best_of_blocks(k: int):
         rows: list[tuple] = []
         if left.num_rows and right.num_rows:
             a, b = np.asarray(left.column("a")), np.asarray(right.column("b"))
-            x, y = (np.asarray(t.column("vec").combine_chunks().flatten()).reshape(t.num_rows, -1) for t in (left, right))
+            x, y = (np.asarray(t.column("vec").combine_chunks().flatten()).reshape(t.num_rows, -1).astype(np.float64) for t in (left, right))
             order = np.argsort(b, kind="stable")
             b, y = b[order], y[order]
-            for lo in range(0, len(a), 512):
-                raw = x[lo : lo + 512] @ y.T
+            size = max(1, min(512, PIECE // len(b)))
+            for lo in range(0, len(a), size):
+                raw = x[lo : lo + size] @ y.T
                 score = np.sign(raw) * np.floor(np.abs(raw) * 1e6 + 0.5) / 1e6
-                score[a[lo : lo + 512, None] == b[None]] = -np.inf
-                top = np.argsort(-score, axis=1, kind="stable")[:, :k]  # ties to the smaller id, as b is sorted
-                got = np.take_along_axis(score, top, 1)
-                r, c = np.nonzero(np.isfinite(got))
-                rows.append((a[lo + r], b[top[r, c]], got[r, c]))
+                score[(a[lo : lo + size, None] == b[None]) | ~np.isfinite(score)] = -np.inf
+                least = np.partition(score, -k, axis=1)[:, -k, None] if k < len(b) else -np.inf
+                r, c = np.nonzero((score >= least) & (score > -np.inf))
+                order = np.lexsort((c, -score[r, c], r))  # ties to the smaller id, as b is sorted
+                r, c = r[order], c[order]
+                kept = np.arange(len(r)) - np.searchsorted(r, r) < k
+                r, c = r[kept], c[kept]
+                rows.append((a[lo + r], b[c], score[r, c]))
         cols = [np.concatenate(c) for c in zip(*rows, strict=True)] if rows else [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]
         return pa.table([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.float64())], ["a", "b", "score"])
 
@@ -50,8 +56,8 @@ def topk_exact(left: DataFrame, right: DataFrame, k: int = 30, left_id="id", rig
     Both sides are cut into blocks of about the same number of rows, whatever the size of the table; every pair of blocks
     is one matrix product that keeps k per left row, so what is merged is left x right blocks x k."""
     ship(left.sparkSession)
-    a = left.select(F.col(left_id).cast("long").alias("a"), F.col(vec).cast("array<double>").alias("vec")).where("vec is not null")
-    b = right.select(F.col(right_id).cast("long").alias("b"), F.col(vec).cast("array<double>").alias("vec")).where("vec is not null")
+    a = left.select(F.col(left_id).cast("long").alias("a"), F.col(vec).alias("vec")).where("vec is not null")
+    b = right.select(F.col(right_id).cast("long").alias("b"), F.col(vec).alias("vec")).where("vec is not null")
     n, m = (max(1, -(-x.count() // block)) for x in (a, b))
     cut = lambda c, parts: F.pmod(F.xxhash64(c), F.lit(parts)).cast("int")
     a = a.withColumn("i", cut("a", n)).withColumn("j", F.explode(F.sequence(F.lit(0), F.lit(m - 1))))
@@ -90,12 +96,21 @@ def topk_lsh(left: DataFrame, right: DataFrame, k: int = 30, dim: int = 64, tabl
     """As topk_exact(), over pairs that share the signs of some table's hyperplanes.
 
     Buckets are as small as the table asks for, as long as a sample of the left rows, also searched exactly, finds this
-    share of its true nearest; below that a bit is taken away, and where no bits are left, the search is exact. Left rows that get fewer than k
-    are searched exactly. Pairs are made distinct as ids, before their vectors are joined."""
+    share of its true nearest; below that a bit is taken away. Where the buckets hold so many pairs that to multiply everything is cheaper, or no
+    bits are left, the search is exact. Left rows that get fewer than k are searched exactly. Pairs are made distinct as ids, before their vectors are joined."""
     ship(left.sparkSession)
-    a = left.select(F.col(left_id).cast("long").alias("a"), F.col(vec).cast("array<double>").alias("vec")).where("vec is not null")
-    b = right.select(F.col(right_id).cast("long").alias("b"), F.col(vec).cast("array<double>").alias("vec")).where("vec is not null")
-    bits = max(4, int(math.log2(max(b.count(), 2))) - 7)
+    a = left.select(F.col(left_id).cast("long").alias("a"), F.col(vec).alias("vec")).where("vec is not null")
+    b = right.select(F.col(right_id).cast("long").alias("b"), F.col(vec).alias("vec")).where("vec is not null")
+    m = b.count()
+    every, bits = a.count() * m, max(4, int(math.log2(max(m, 2))) - 7)
+
+    def met() -> int:
+        """Pairs that the buckets hold, from their sizes."""
+        sizes = lambda d, c: signs(d, c, dim, tables, bits).groupBy("key").agg(F.count("*").alias(f"n{c}"))
+        return sizes(a, "a").join(sizes(b, "b"), "key").agg(F.coalesce(F.sum(F.col("na") * F.col("nb")), F.lit(0))).first()[0]
+
+    if met() * PAIR >= every:  # and fewer bits hold more
+        return topk_exact(a, b, k, "a", "b")
     some = settled(a.orderBy(F.xxhash64("a"), "a").limit(SAMPLED))
     sure = settled(topk_exact(some, b, k, "a", "b").select("a", "b"))
     due = sure.count()
@@ -107,6 +122,8 @@ def topk_lsh(left: DataFrame, right: DataFrame, k: int = 30, dim: int = 64, tabl
 
     while bits and near(some).join(sure, ["a", "b"], "left_semi").count() < recall * due:
         bits -= 1
+        if bits and met() * PAIR >= every:
+            bits = 0
     if not bits:
         return topk_exact(a, b, k, "a", "b")
     found = settled(near(a))

@@ -425,7 +425,7 @@ def g_topk30_exact(spark, sf_dir):
 def g_topk30_lsh(spark, sf_dir):
     """The bucket search beside the exact one: every row gets its 30, and at least nine in ten of the true ones."""
     e = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("vec"))
-    near, sure = settled(guidance.topk_lsh(e, e, LoopConfig().retrieve_k)), settled(guidance.topk_exact(e, e, LoopConfig().retrieve_k))
+    near, sure = stored(guidance.topk_lsh(e, e, LoopConfig().retrieve_k)), stored(guidance.topk_exact(e, e, LoopConfig().retrieve_k))
     per = near.groupBy("a").agg(F.count("*").alias("n")).join(sure.groupBy("a").agg(F.count("*").alias("m")), "a", "full_outer")
     hit = near.join(sure, ["a", "b"], "left_semi").agg(F.count("*").alias("hit"))
     sums = per.agg(F.count("*").alias("queries"), F.bool_and(F.col("n") == F.col("m")).alias("all_full"), F.sum("m").alias("due"))

@@ -5,6 +5,8 @@ import datetime
 import pytest
 
 from kgflow import catalogue
+from kgflow.extract import guidance
+from kgflow.functions import text
 from kgflow.workloads import lifecycle
 
 FIRST = datetime.datetime(2024, 1, 1)
@@ -75,3 +77,20 @@ def test_static_queries_read_their_tables(spark, tmp_path, name):
     rows, schema = star_tables(300)["orders"]
     spark.createDataFrame(rows, schema).coalesce(1).write.mode("overwrite").parquet(f"{sf_dir}/orders.parquet")
     agree(name, spark, sf_dir, con)
+
+
+def test_bucket_search_that_meets_most_pairs_is_exact(spark, monkeypatch):
+    """Where buckets hold more pairs than are worth joining, no pair is written and the exact search answers; ties go to smaller ids."""
+    import numpy as np
+
+    x = np.random.default_rng(5).integers(-2, 3, (300, 64)).astype(np.float32)
+    x[7] = x[11] = x[200]
+    e = spark.createDataFrame([(i, [float(v) for v in r]) for i, r in enumerate(x)], "id long, vec array<float>")
+    shapes = []
+    monkeypatch.setattr(guidance, "dot", lambda *c: shapes.append(c) or text.dot(*c))
+    got = {(r.a, r.rank): (r.b, r.score) for r in guidance.topk_lsh(e, e, 30).collect()}
+    assert not shapes
+    score = x.astype(float) @ x.T.astype(float)
+    np.fill_diagonal(score, -np.inf)
+    want = {(a, i + 1): (int(b), float(score[a, b])) for a in range(300) for i, b in enumerate(np.argsort(-score[a], kind="stable")[:30])}
+    assert got == want
