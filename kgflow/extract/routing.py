@@ -12,7 +12,7 @@ CHANGE = r"(?i)\b(activated|deprecated|removed|replaced|retired|announced|supers
 
 def track(text: Column | str) -> Column:
     text = F.col(text) if isinstance(text, str) else text
-    commas = F.size(F.regexp_extract_all(text, F.lit(r"[,;]"), F.lit(0)))
+    commas = F.length(text) - F.length(F.replace(F.replace(text, F.lit(","), F.lit("")), F.lit(";"), F.lit("")))
     return F.when(text.rlike(TIME) | text.rlike(CHANGE) | (commas >= 2), "event").otherwise("static")
 
 

@@ -26,7 +26,7 @@ NEGATED = r"(?i)\b(is|was|has|does|did|are|were) +(not|never|no longer)\b"
 
 def triples(stmts: DataFrame) -> DataFrame:
     """Rows of stmts with h_name, phrase and t_name as the text has them; negated statements give none."""
-    known = F.array(*(F.struct(F.lit(p).alias("between"), F.lit(n).alias("name")) for p, n in PHRASES))
-    first = F.get(F.filter(known, lambda p: F.contains(F.col("text"), p["between"])), 0)
-    found = stmts.where(~F.col("text").rlike(NEGATED)).withColumn("_f", first).where("_f is not null").withColumn("phrase", F.col("_f.name")).withColumn("_b", F.col("_f.between")).drop("_f")
+    at = F.coalesce(*(F.when(F.contains(F.col("text"), F.lit(p)), F.lit(i)) for i, (p, _) in enumerate(PHRASES)))
+    of = lambda j: F.get(F.array(*(F.lit(x[j]) for x in PHRASES)), F.col("_at"))
+    found = stmts.where(~F.col("text").rlike(NEGATED)).withColumn("_at", at).where("_at is not null").withColumn("phrase", of(1)).withColumn("_b", of(0)).drop("_at")
     return found.withColumn("h_name", F.expr("substring_index(text, _b, 1)")).withColumn("t_name", F.regexp_replace(F.expr("substr(text, instr(text, _b) + length(_b))"), r"\.$", "")).drop("_b")

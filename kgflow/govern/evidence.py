@@ -12,10 +12,10 @@ def verify(cands: DataFrame, asserted: DataFrame, functional: tuple[str, ...] |
     that says nothing on the matter does not. functional None: a statement that pairs one end with something else
     under the relation contradicts, whichever end that is."""
     rows = asserted if functional is None else asserted.where(F.col("relation").isin(*functional))
-    out = cands
+    said = rows.groupBy("stmt_id").agg(F.collect_set(F.struct("head", "relation", "tail")).alias("_said"))  # one look at each statement, whatever is asked of it
     against = F.lit(False)
     for end, other in (("head", "tail"), ("tail", "head"))[: 2 if functional is None else 1]:
-        said = rows.groupBy("stmt_id", end, "relation").agg(F.collect_set(other).alias(f"_said_{other}"))
-        out = out.join(said, ["stmt_id", end, "relation"], "left")
-        against = against | (F.col(f"_said_{other}").isNotNull() & ~F.array_contains(f"_said_{other}", F.col(other)))
-    return out.withColumn("verdict", F.when(against, "REJECTED").otherwise("ACCEPTED")).drop("_said_head", "_said_tail")
+        told = F.filter("_said", lambda s: F.coalesce((s[end] == F.col(end)) & (s["relation"] == F.col("relation")), F.lit(False)))  # noqa: B023
+        agreed = F.exists(told, lambda s: F.coalesce(s[other] == F.col(other), F.lit(False)))  # noqa: B023
+        against = against | F.coalesce((F.size(told) > 0) & F.col(other).isNotNull() & ~agreed, F.lit(False))
+    return cands.join(said, "stmt_id", "left").withColumn("verdict", F.when(against, "REJECTED").otherwise("ACCEPTED")).drop("_said")

@@ -23,7 +23,7 @@ from kgflow.coref import entities, events as event_coref
 from kgflow.evolve import event_schema, relation_schema, relationalize
 from kgflow.extract import event_track, guidance, routing, static_track
 from kgflow.govern import evidence, intent, logic
-from kgflow.session import settled
+from kgflow.session import settled, stored
 from kgflow.store import graph
 from kgflow.store.commit import Store
 
@@ -105,12 +105,12 @@ def resolve(names: DataFrame, state: State, lexicon: DataFrame | None, cfg: Loop
 
 def static_candidates(stmts: DataFrame, state: State, lexicon: DataFrame | None, cfg: LoopConfig, guided: bool) -> tuple[DataFrame, DataFrame]:
     """(candidates, resolved names): (stmt_id, phrase, h, t, head_type, tail_type), in the order of the text."""
-    found = static_track.triples(stmts).select("stmt_id", "phrase", "h_name", "t_name")
-    names = settled(resolve(found.select(F.explode(F.array("h_name", "t_name")).alias("surface")), state, lexicon, cfg, guided))
+    found = stored(static_track.triples(stmts).select("stmt_id", "phrase", "h_name", "t_name"))
+    counts = stored(found.select(F.explode(F.array("h_name", "t_name")).alias("surface")).groupBy("surface").agg(F.count("*").alias("n")))
+    names = stored(resolve(counts, state, lexicon, cfg, guided).join(counts, "surface"))
     side = lambda p, e, t: names.select(F.col("surface").alias(p), F.col("entity").alias(e), F.col("type").alias(t))
     out = found.join(side("h_name", "h", "head_type"), "h_name").join(side("t_name", "t", "tail_type"), "t_name")
-    counts = found.select(F.explode(F.array("h_name", "t_name")).alias("surface")).groupBy("surface").agg(F.count("*").alias("n"))
-    return out.drop("h_name", "t_name"), names.join(counts, "surface")
+    return out.drop("h_name", "t_name"), names
 
 
 def known_names(cands: DataFrame, state: State, cfg: LoopConfig) -> DataFrame:
@@ -128,13 +128,13 @@ def step(state: State, stmts: DataFrame, k: int, cfg: LoopConfig, lexicon: DataF
     """The state after batch k. stmts: (stmt_id, text, seq); lexicon (name, type): types that are known beforehand; extractor: what an
     imperfect extractor makes of the named candidates (stmt_id, head, relation, tail, ...) before the gates."""
     guided = cfg.guided(k) and state.k >= 0
-    active = settled(state.active())
+    active = stored(state.active())
     routed = routing.route(stmts.select("stmt_id", "text", "seq"), "routed" if cfg.events else "static")
     parsed = settled(event_track.events(routed.where("track = 'event'")).withColumn("batch_id", F.lit(k)))
     # a statement without an event's structure is a plain one, whatever the route
-    plain = routed.where("track = 'static'").unionByName(routed.where("track = 'event'").join(parsed.select("stmt_id"), "stmt_id", "left_anti"))
+    plain = routed.where((F.col("track") != "event") | ~event_track.shaped())
     cands, names = static_candidates(plain, state, lexicon, cfg, guided)
-    cands = settled(cands)
+    cands = stored(cands)
     made = [decisions("entity_reuse", names.where("reused"), "surface", F.lit("REUSE"))] if guided else []
 
     # names as the registry has them, and the gates
@@ -143,18 +143,19 @@ def step(state: State, stmts: DataFrame, k: int, cfg: LoopConfig, lexicon: DataF
     said = typed_under(guidance.constrain(cands, none if known is None else known))
     offered = as_told(extractor(said)) if extractor else said
     if cfg.evidence:
-        offered = evidence.verify(offered, said.select("stmt_id", "head", "relation", "tail"), None)
+        offered = stored(evidence.verify(offered, said.select("stmt_id", "head", "relation", "tail"), None))
         made.append(decisions("evidence_gate", offered.where("verdict = 'REJECTED'"), "stmt_id", "verdict"))
         offered = offered.where("verdict = 'ACCEPTED'").drop("verdict")
-    offered = settled(offered)
+    else:
+        offered = stored(offered)
     if cfg.logic:
         bad = logic.self_loops(offered).select("stmt_id", "head", "relation", "tail", "reason").unionByName(logic.mutual_pairs(offered, active.select(*graph.KEY)).select("stmt_id", "head", "relation", "tail", "reason"))
         if guided:
             vetted = logic.signatures(offered, state.newest("relations", "relation").where("verdict = 'PASS'"))
             bad = bad.unionByName(vetted.where("not fits").select("stmt_id", "head", "relation", "tail", F.lit("signature").alias("reason")))
-        bad = settled(bad.distinct())
+        bad = stored(bad.distinct())
         made.append(decisions("logic", bad, "stmt_id", "reason"))
-        offered = settled(offered.join(bad.select("stmt_id", *graph.KEY), ["stmt_id", *graph.KEY], "left_anti"))
+        offered = stored(offered.join(bad.select("stmt_id", *graph.KEY), ["stmt_id", *graph.KEY], "left_anti"))
 
     # events: one of each, new to the index, with the roles of their schema
     fresh, event_notes = new_events(parsed, state, cfg, guided) if not parsed.isEmpty() else (parsed.withColumn("subject", F.lit("")), [])
@@ -176,7 +177,7 @@ def step(state: State, stmts: DataFrame, k: int, cfg: LoopConfig, lexicon: DataF
     final = typed_under(guidance.constrain(offered.drop("head", "relation", "tail", "head_type", "tail_type", "swapped", "unseen").withColumnsRenamed({"h_type": "head_type", "t_type": "tail_type"}), aliases.join(passed, "relation", "left_semi")))
     if recheck and cfg.logic:
         vetted = logic.signatures(final, schema.where("verdict = 'PASS'"))
-        late = settled(vetted.where("not fits"))
+        late = vetted.where("not fits")
         made.append(decisions("logic", late, "stmt_id", F.lit("signature")))
         final = vetted.where("fits")
     facts = final.dropDuplicates(graph.KEY).select(*graph.KEY, F.lit(None).cast("timestamp_ntz").alias("valid_time"), F.lit(None).cast("array<bigint>").alias("ord"), "stmt_id")

@@ -62,8 +62,11 @@ def aligned(facts: DataFrame, gold: DataFrame, beside: tuple[str, ...] = ()) ->
     other way. A gold relation is matched by the one type and direction that most of its facts are found under; facts of other types
     keep their own name and match nothing."""
     f = facts.select("head", F.col("relation").alias("type"), "tail", *beside)
-    both = f.withColumn("turned", F.lit(False)).unionByName(f.select(F.col("tail").alias("head"), "type", F.col("head").alias("tail"), *beside, F.lit(True).alias("turned")))
-    votes = both.join(gold.select("head", "tail", "relation").distinct(), ["head", "tail"]).groupBy("relation", "type", "turned").agg(F.count("*").alias("n"))
+    pair = lambda d, *more: d.select(F.least("head", "tail").alias("lo"), F.greatest("head", "tail").alias("hi"), (F.col("head") <= F.col("tail")).alias("up"), *more)
+    met = pair(f, "type").join(pair(gold.select("head", "tail", "relation").distinct(), "relation").withColumnRenamed("up", "gold_up"), ["lo", "hi"])  # an end that meets itself counts both ways
+    per = met.groupBy("relation", "type").agg(F.count_if(F.col("up") == F.col("gold_up")).alias("n"), F.count_if((F.col("up") != F.col("gold_up")) | (F.col("lo") == F.col("hi"))).alias("m"))
+    ways = F.explode(F.array(F.struct(F.lit(False).alias("turned"), F.col("n").alias("n")), F.struct(F.lit(True).alias("turned"), F.col("m").alias("n")))).alias("x")
+    votes = per.select("relation", "type", ways).select("relation", "type", "x.*").where("n > 0")
     best = settled(votes.withColumn("r", F.row_number().over(Window.partitionBy("relation").orderBy(F.desc("n"), "type"))).where("r = 1").select("relation", "type", "turned"))  # a vocabulary
     j = f.join(F.broadcast(best), "type", "left")
     turn = F.coalesce("turned", F.lit(False))

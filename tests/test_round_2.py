@@ -7,6 +7,7 @@ import pytest
 from kgflow import catalogue
 from kgflow.extract import guidance
 from kgflow.functions import text
+from kgflow.govern import evidence
 from kgflow.workloads import lifecycle
 
 FIRST = datetime.datetime(2024, 1, 1)
@@ -94,3 +95,13 @@ def test_bucket_search_that_meets_most_pairs_is_exact(spark, monkeypatch):
     np.fill_diagonal(score, -np.inf)
     want = {(a, i + 1): (int(b), float(score[a, b])) for a in range(300) for i, b in enumerate(np.argsort(-score[a], kind="stable")[:30])}
     assert got == want
+
+
+def test_evidence_looks_at_a_statement_once(spark):
+    """The gate of the loop groups and joins by statement alone: one exchange of either side, for both ends."""
+    s = "stmt_id string, head string, relation string, tail string"
+    said = spark.createDataFrame([("1", "o", "by", "x"), ("2", "o", "by", "x"), ("3", "o", "by", "x")], s)
+    c = spark.createDataFrame([("1", "o", "by", "y"), ("2", "p", "by", "x"), ("3", "o", "by", "x"), ("3", "p", "by", None), ("4", "o", "by", "y")], s)
+    got = evidence.verify(c, said, None)
+    assert [(r.stmt_id, r.verdict) for r in got.orderBy("stmt_id", "head").collect()] == [("1", "REJECTED"), ("2", "REJECTED"), ("3", "ACCEPTED"), ("3", "ACCEPTED"), ("4", "ACCEPTED")]
+    assert got._jdf.queryExecution().sparkPlan().toString().count("Join") == 1
