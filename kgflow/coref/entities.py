@@ -8,15 +8,17 @@ from pyspark.sql import functions as F
 from kgflow.coref.cluster import components
 from kgflow.functions.ids import joined_id
 from kgflow.functions.text import dot, hashed_ngrams, normalised, number_token, tokens
+from kgflow.session import stored
 
 KINDS = "customer|supplier|order|part"
+#: What normalised() makes a known kind and one number of, in lower case: marks around and between them, zeros before the number.
+NUMBERED = rf"^[^\p{{L}}\p{{N}}]*({KINDS})[^\p{{L}}\p{{N}}]*0*([0-9]+)[^\p{{L}}\p{{N}}]*$"
 
 
 def canonical(name: Column | str) -> Column:
     """Numbered names of known kinds in their normal form; other names in lower case."""
     name = F.col(name) if isinstance(name, str) else name
-    norm = normalised(name)
-    return F.when(norm.rlike(rf"^({KINDS}) [0-9]+$"), norm).otherwise(F.lower(F.trim(name)))
+    return F.trim(F.regexp_replace(F.lower(name), NUMBERED, "$1 $2"))
 
 
 def kind_of(name: Column | str) -> Column:
@@ -76,14 +78,15 @@ def align(typed: DataFrame, profiles: DataFrame, cfg) -> DataFrame:
     """typed (surface, norm, type) with entity and reused, against profiles (entity, type, norm). The profile of the same form and
     type is taken; for other names the profile_top most similar ones of the same type, number and first two letters are
     candidates, and the best is taken if it is similar enough; else the name is a new entity."""
-    exact = profiles.groupBy("norm", "type").agg(F.min("entity").alias("_same"))
-    first = typed.join(exact, ["norm", "type"], "left")
+    # dealt by name once, so that rows are sorted once for the minimum and the join
+    exact = profiles.select("norm", "type", "entity").repartition("norm", "type").groupBy("norm", "type").agg(F.min("entity").alias("_same"))
+    first = stored(typed.join(exact, ["norm", "type"], "left"))
     key = [F.col("type").alias("type"), F.coalesce(number_token("norm"), F.lit("")).alias("number"), F.substring("norm", 1, 2).alias("start")]
-    open_ = first.where("_same is null").select(*key, "norm").distinct()
-    near = open_.join(profiles.select(*key, "entity", F.col("norm").alias("old")).distinct(), ["type", "number", "start"])
-    scored = near.select("type", "norm", "entity", F.round(dot(hashed_ngrams("norm"), hashed_ngrams("old")), 6).alias("score"))
+    open_ = first.where("_same is null").select(*key, "norm")
+    near = open_.join(profiles.select(*key, "entity", F.col("norm").alias("old")), ["type", "number", "start"])
+    scored = near.select("type", "norm", "entity", "old").distinct().select("type", "norm", "entity", F.round(dot(hashed_ngrams("norm"), hashed_ngrams("old")), 6).alias("score"))
     rank = F.row_number().over(Window.partitionBy("type", "norm").orderBy(F.desc("score"), "entity"))
     top = scored.withColumn("r", rank).where(F.col("r") <= cfg.profile_top)
     best = top.where((F.col("r") == 1) & (F.col("score") >= cfg.reuse_min)).select("type", "norm", F.col("entity").alias("_near"))
-    out = first.join(best, ["type", "norm"], "left")
+    out = first.join(stored(best), ["type", "norm"], "left")
     return out.withColumn("entity", F.coalesce("_same", "_near", "norm")).withColumn("reused", F.coalesce("_same", "_near").isNotNull()).drop("_same", "_near")

@@ -33,8 +33,7 @@ def support(facts: DataFrame) -> DataFrame:
 
 def counted(facts: DataFrame) -> DataFrame:
     """(phrase, head_type, tail_type, n, heads, tails) of facts (phrase, h, t, head_type, tail_type), one row per name and pair of types."""
-    d = facts.groupBy("phrase", "head_type", "tail_type", "h", "t").agg(F.count("*").alias("c"))
-    return d.groupBy("phrase", "head_type", "tail_type").agg(F.sum("c").alias("n"), F.countDistinct("h").alias("heads"), F.countDistinct("t").alias("tails"))
+    return facts.groupBy("phrase", "head_type", "tail_type").agg(F.count("*").alias("n"), F.countDistinct("h").alias("heads"), F.countDistinct("t").alias("tails"))
 
 
 def signatures(facts: DataFrame) -> DataFrame:

@@ -28,5 +28,8 @@ def triples(stmts: DataFrame) -> DataFrame:
     """Rows of stmts with h_name, phrase and t_name as the text has them; negated statements give none."""
     at = F.coalesce(*(F.when(F.contains(F.col("text"), F.lit(p)), F.lit(i)) for i, (p, _) in enumerate(PHRASES)))
     of = lambda j: F.get(F.array(*(F.lit(x[j]) for x in PHRASES)), F.col("_at"))
-    found = stmts.where(~F.col("text").rlike(NEGATED)).withColumn("_at", at).where("_at is not null").withColumn("phrase", of(1)).withColumn("_b", of(0)).drop("_at")
-    return found.withColumn("h_name", F.expr("substring_index(text, _b, 1)")).withColumn("t_name", F.regexp_replace(F.expr("substr(text, instr(text, _b) + length(_b))"), r"\.$", "")).drop("_b")
+    no = F.lower("text")
+    negated = (F.contains(no, F.lit(" no")) | F.contains(no, F.lit(" never"))) & F.col("text").rlike(NEGATED)  # the pattern only where one of its words may stand
+    found = stmts.where(~negated).withColumn("_at", at).where("_at is not null").withColumn("phrase", of(1)).withColumn("_b", of(0)).drop("_at")
+    after = found.withColumn("h_name", F.expr("substring_index(text, _b, 1)")).withColumn("_t", F.expr("substr(text, instr(text, _b) + length(_b))"))
+    return after.withColumn("t_name", F.when(F.endswith("_t", F.lit(".")), F.expr("left(_t, length(_t) - 1)")).otherwise(F.regexp_replace("_t", r"\.$", ""))).drop("_b", "_t")

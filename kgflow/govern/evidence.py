@@ -2,10 +2,19 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
+#: What a candidate's own statement says, beside the candidate while an extractor works on it.
+TOLD = ("stmt_id", "head", "relation", "tail")
+
+
+def as_said() -> Column:
+    """Whether a candidate still is what its statement says; nothing that the statement says can contradict it then."""
+    return F.struct(*TOLD).eqNullSafe(F.col("told"))
+
+
 def verify(cands: DataFrame, asserted: DataFrame, functional: tuple[str, ...] | None) -> DataFrame:
     """cands (stmt_id, head, relation, tail) with verdict. asserted: what the statements say themselves, in
     the same columns. A different value for the same head and functional relation contradicts; a statement

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from kgflow.session import stored
+
 IRREFLEXIVE = ("precedes", "placed_by", "based_in", "in_region")
 ANTISYMMETRIC = ("precedes", "placed_by", "in_region")
 
@@ -14,17 +16,20 @@ def self_loops(cands: DataFrame, irreflexive=IRREFLEXIVE) -> DataFrame:
 
 
 def mutual_pairs(cands: DataFrame, active: DataFrame | None = None, antisymmetric=ANTISYMMETRIC) -> DataFrame:
-    """In-batch pairs in both directions are both rejected: found by one aggregation per unordered pair.
-    Against the graph only the candidate is."""
-    own = cands.where(F.col("relation").isin(*antisymmetric) & (F.col("head") != F.col("tail")))
-    keyed = own.withColumn("lo", F.least("head", "tail")).withColumn("hi", F.greatest("head", "tail"))
-    both = keyed.groupBy("relation", "lo", "hi").agg(F.min("head").alias("h1"), F.max("head").alias("h2")).where("h1 <> h2").select("relation", "lo", "hi")
-    out = keyed.join(both, ["relation", "lo", "hi"], "left_semi").drop("lo", "hi").withColumn("reason", F.lit("mutual_pair"))
-    if active is None:
-        return out
-    turned = active.select("relation", F.col("tail").alias("head"), F.col("head").alias("tail")).distinct()
-    against = own.join(turned, ["relation", "head", "tail"], "left_semi").withColumn("reason", F.lit("mutual_with_graph"))
-    return out.unionByName(against)
+    """In-batch pairs in both directions are both rejected; against the graph only the candidate is. One aggregation per unordered pair finds
+    both: it keeps which ways the batch and the graph tell the pair."""
+    pairs = lambda d: d.where(F.col("relation").isin(*antisymmetric) & (F.col("head") != F.col("tail"))).withColumn("lo", F.least("head", "tail")).withColumn("hi", F.greatest("head", "tail")).withColumn("up", F.col("head") < F.col("tail"))
+    key = ["relation", "lo", "hi"]
+    own = pairs(cands)
+    told = own.select(*key, "up", F.lit(True).alias("mine"))
+    if active is not None:
+        told = told.unionByName(pairs(active.select("head", "relation", "tail")).select(*key, "up", F.lit(False).alias("mine")))
+    up, mine = F.col("up"), F.col("mine")
+    ways = told.groupBy(*key).agg(F.bool_or(mine & up).alias("_up"), F.bool_or(mine & ~up).alias("_down"), F.bool_or(~mine & up).alias("_graph_up"), F.bool_or(~mine & ~up).alias("_graph_down"))
+    hit = own.join(stored(ways.where("_up and _down or _up and _graph_down or _down and _graph_up")), key)
+    why = lambda rows, reason: rows.select(*cands.columns).withColumn("reason", F.lit(reason))
+    out = why(hit.where("_up and _down"), "mutual_pair")
+    return out if active is None else out.unionByName(why(hit.where("up and _graph_down or not up and _graph_up"), "mutual_with_graph"))
 
 
 def cycles(cands: DataFrame, relation: str, max_hops: int = 4) -> DataFrame:

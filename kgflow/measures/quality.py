@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from functools import reduce
+from operator import and_
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -10,11 +13,15 @@ def ratio(a: Column, b: Column) -> Column:
     return F.round(F.try_divide(a.cast("double"), b.cast("double")), 6)
 
 
-def prf(pred: DataFrame, gold: DataFrame, by: list[str], key: list[str]) -> DataFrame:
-    """Counts and precision, recall and harmonic mean of distinct rows per group; null where undefined."""
-    p, g = pred.select(*by, *key).distinct().withColumn("_p", F.lit(1)), gold.select(*by, *key).distinct().withColumn("_g", F.lit(1))
-    both = p.join(g, [*by, *key], "full_outer")
-    agg = both.groupBy(*by).agg(F.count(F.when(F.col("_p").isNotNull() & F.col("_g").isNotNull(), 1)).alias("tp"), F.count("_p").alias("n_pred"), F.count("_g").alias("n_gold"))
+def prf(pred: DataFrame, gold: DataFrame, by: list[str], key: list[str], weight: str | None = None) -> DataFrame:
+    """Counts and precision, recall and harmonic mean of distinct rows per group; null where undefined. Rows with a null are never the same. weight:
+    a column of both sides, how many rows a row stands for. One aggregation of both sides, without a join."""
+    n = F.col(weight) if weight else F.lit(1)
+    side = lambda d, p: d.select(*by, *key, n.cast("long").alias("_n"), F.lit(p).alias("_p"), F.lit(not p).alias("_g"))
+    one = side(pred, True).unionByName(side(gold, False)).groupBy(*by, *key).agg(F.max("_n").alias("_n"), F.bool_or("_p").alias("_p"), F.bool_or("_g").alias("_g"))
+    whole = reduce(and_, (F.col(c).isNotNull() for c in [*by, *key]))
+    total = lambda c: F.sum(F.when(c, F.col("_n")).otherwise(F.lit(0)))
+    agg = one.groupBy(*by).agg(total(F.col("_p") & F.col("_g") & whole).alias("tp"), total(F.col("_p")).alias("n_pred"), total(F.col("_g")).alias("n_gold"))
     return with_prf(agg)
 
 

@@ -7,6 +7,7 @@ gold relations by what most of a type's facts say.
 from __future__ import annotations
 
 import uuid
+from concurrent.futures import ThreadPoolExecutor
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -36,12 +37,12 @@ def beside_the_evidence(rows: DataFrame) -> DataFrame:
     return rows.withColumn("tail", F.when(hit & told, other("tail")).otherwise(F.col("tail"))).withColumn("head", F.when(hit & ~told, other("head")).otherwise(F.col("head")))
 
 
-def static_state(spark: SparkSession, sf_dir: str, mode: str = "stream-end") -> loop.State:
+def static_state(spark: SparkSession, sf_dir: str, mode: str = "stream-end", corpus: dict[str, DataFrame] | None = None) -> loop.State:
     """The state after the statements of the star tables: all as one batch, or the slices in order, without (kept) or with the
-    batch's own schemas applied to its facts. Each is run once per application."""
+    batch's own schemas applied to its facts. Each is run once per application. corpus: the tables where runs of one query share their statements."""
     place = (spark.sparkContext.applicationId, sf_dir, mode)
     if place not in _RUNS:
-        t = star.star(spark, sf_dir)
+        t = corpus if corpus is not None else star.star(spark, sf_dir)
         stmts = t["statements"].withColumn("seq", F.lit(None).cast("bigint"))
         if mode == "batch":
             stmts = stmts.withColumn("batch_id", F.lit(0))
@@ -57,14 +58,52 @@ def stream_state(spark: SparkSession, sf_dir: str) -> loop.State:
     return _RUNS[place]
 
 
-def aligned(facts: DataFrame, gold: DataFrame, beside: tuple[str, ...] = ()) -> DataFrame:
+def alike(runs: dict[str, DataFrame], gold: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(facts of the runs with mode, gold), one row for all pairs of ends that runs and gold tell alike, and their number n: made-up ends stand for such a
+    class of pairs, so that what is counted over pairs of ends can be counted over classes.
+
+    One aggregation of all rows by their ends: who tells which relation of them in which direction is a bit each, as relation names are a vocabulary."""
+    spark, sources = gold.sparkSession, [(None, gold), *runs.items()]
+    lists = [(source, d, sorted(r[0] for r in d.select("relation").distinct().collect())) for source, d in sources]
+    codes = [(source, name) for source, _, names in lists for name in names]
+    place = {c: 2 * i for i, c in enumerate(codes)}
+    words = [f"w{i}" for i in range(max(1, -(-2 * len(codes) // BITS)))]
+    lone = F.col("head").isNull() | F.col("tail").isNull()
+    up = F.when(lone, F.col("head").isNotNull()).otherwise(F.col("head") <= F.col("tail"))
+
+    def marked(source: str | None, d: DataFrame, names: list[str]) -> DataFrame:
+        own = [(n, bool(u), *(1 << (place[source, n] + u) % BITS if (place[source, n] + u) // BITS == i else 0 for i in range(len(words)))) for n in names for u in (0, 1)]
+        bits = spark.createDataFrame(own, f"relation string, up boolean, {', '.join(f'{w} long' for w in words)}")
+        return d.withColumn("up", up).join(F.broadcast(bits), ["relation", "up"]).select(lone.alias("lone"), F.least("head", "tail").alias("lo"), F.greatest("head", "tail").alias("hi"), *words)
+
+    parts = [marked(*x) for x in lists]
+    rows = parts[0]
+    for x in parts[1:]:
+        rows = rows.unionByName(x)
+    pairs = rows.groupBy("lone", "lo", "hi").agg(*(F.bit_or(w).alias(w) for w in words))
+    key = ["lone", "loop", *words]
+    classes = settled(pairs.withColumn("loop", F.coalesce(~F.col("lone") & (F.col("lo") == F.col("hi")), F.lit(False))).groupBy(*key).agg(F.count("*").alias("n")).withColumn("id", F.concat_ws("-", *(F.col(c).cast("string") for c in key))))
+    bit = [(source, name, bool(u), (p + u) // BITS, (p + u) % BITS) for (source, name), p in place.items() for u in (0, 1)]
+    vocabulary = spark.createDataFrame(bit, "mode string, relation string, up boolean, word int, bit int")
+    held = F.expr(f"getbit(array({', '.join(words)})[word], bit)") == 1
+    lo, hi = F.concat("id", F.lit(" a")), F.when(F.col("lone"), F.lit(None)).when(F.col("loop"), F.concat("id", F.lit(" a"))).otherwise(F.concat("id", F.lit(" b")))
+    told = settled(classes.join(F.broadcast(vocabulary)).where(held).select("mode", "relation", F.when(F.col("up"), lo).otherwise(hi).alias("head"), F.when(F.col("up"), hi).otherwise(lo).alias("tail"), "n"))
+    return told.where("mode is not null"), told.where("mode is null").drop("mode")
+
+
+#: Bits of a word that alike() uses.
+BITS = 62
+
+
+def aligned(facts: DataFrame, gold: DataFrame, beside: tuple[str, ...] = (), weight: str | None = None) -> DataFrame:
     """(relation, head, tail, and the columns beside) of facts (head, relation, tail) under the gold relation of their type, turned where the type runs the
     other way. A gold relation is matched by the one type and direction that most of its facts are found under; facts of other types
-    keep their own name and match nothing."""
+    keep their own name and match nothing. weight: a column of facts, how many facts a row stands for."""
     f = facts.select("head", F.col("relation").alias("type"), "tail", *beside)
     pair = lambda d, *more: d.select(F.least("head", "tail").alias("lo"), F.greatest("head", "tail").alias("hi"), (F.col("head") <= F.col("tail")).alias("up"), *more)
-    met = pair(f, "type").join(pair(gold.select("head", "tail", "relation").distinct(), "relation").withColumnRenamed("up", "gold_up"), ["lo", "hi"])  # an end that meets itself counts both ways
-    per = met.groupBy("relation", "type").agg(F.count_if(F.col("up") == F.col("gold_up")).alias("n"), F.count_if((F.col("up") != F.col("gold_up")) | (F.col("lo") == F.col("hi"))).alias("m"))
+    met = pair(f, "type", (F.col(weight) if weight else F.lit(1)).cast("long").alias("_w")).join(pair(gold.select("head", "tail", "relation").distinct(), "relation").withColumnRenamed("up", "gold_up"), ["lo", "hi"])  # an end that meets itself counts both ways
+    total = lambda c: F.sum(F.when(c, F.col("_w")).otherwise(F.lit(0)))
+    per = met.groupBy("relation", "type").agg(total(F.col("up") == F.col("gold_up")).alias("n"), total((F.col("up") != F.col("gold_up")) | (F.col("lo") == F.col("hi"))).alias("m"))
     ways = F.explode(F.array(F.struct(F.lit(False).alias("turned"), F.col("n").alias("n")), F.struct(F.lit(True).alias("turned"), F.col("m").alias("n")))).alias("x")
     votes = per.select("relation", "type", ways).select("relation", "type", "x.*").where("n > 0")
     best = settled(votes.withColumn("r", F.row_number().over(Window.partitionBy("relation").orderBy(F.desc("n"), "type"))).where("r = 1").select("relation", "type", "turned"))  # a vocabulary
@@ -94,13 +133,17 @@ SELECT mode, tp, n_pred, n_gold, round(tp / n_pred, 6) AS precision, round(tp /
 def m_prf_batch_vs_stream(spark, sf_dir):
     """The whole corpus as one batch; its slices in order, scored at the end; and these with the first slice's facts left as the
     cold start took them, before any schema could vet them."""
-    gold, modes = render.fact_rows(star.star(spark, sf_dir)), ("batch", "stream-end", "cold start kept")
+    t, modes = star.star(spark, sf_dir), ("batch", "stream-end", "cold start kept")
+    t["statements"]  # written before the runs, which scan them side by side
+    with ThreadPoolExecutor(len(modes)) as pool:
+        states = dict(zip(modes, pool.map(lambda mode: static_state(spark, sf_dir, mode, t), modes), strict=True))
+    facts, gold = alike({mode: s.active().select(*graph.KEY) for mode, s in states.items()}, render.fact_rows(t).select(*graph.KEY))
     rows = None
     for mode in modes:
-        one = aligned(static_state(spark, sf_dir, mode).active(), gold).withColumn("mode", F.lit(mode))
+        one = aligned(facts.where(F.col("mode") == mode), gold, ("n",), "n").withColumn("mode", F.lit(mode))
         rows = one if rows is None else rows.unionByName(one)
-    golds = gold.select("relation", "head", "tail").withColumn("mode", F.explode(F.array(*map(F.lit, modes))))
-    return quality.prf(rows, golds, ["mode"], ["relation", "head", "tail"])
+    golds = gold.withColumn("mode", F.explode(F.array(*map(F.lit, modes))))
+    return quality.prf(rows, golds, ["mode"], ["relation", "head", "tail"], "n")
 
 
 @query(star.BASE + """, n AS (SELECT relation AS gold, phrase AS alias, swapped, count(*) FILTER (WHERE batch_id = 0 AND (NOT made_up OR cand = told)) AS early, min(batch_id) AS first FROM g GROUP BY ALL),
