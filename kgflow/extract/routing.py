@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 TIME = r"\b(19|20)[0-9]{2}(-[0-9]{2}-[0-9]{2})?\b"
 CHANGE = r"(?i)\b(activated|deprecated|removed|replaced|retired|announced|superseded)\b"
-#: Of which every text that CHANGE finds has one, in lower case; cheaper to look for than words.
+#: Of which every text that CHANGE finds has one, in lower case; cheaper to look for than words. All end in "ed".
 PARTS = ("ated", "removed", "replaced", "retired", "announced", "superseded")
 
 
@@ -19,7 +19,7 @@ def track(text: Column | str) -> Column:
     text = F.col(text) if isinstance(text, str) else text
     commas = F.length(text) - F.length(F.replace(F.replace(text, F.lit(","), F.lit("")), F.lit(";"), F.lit("")))
     year = (F.contains(text, F.lit("19")) | F.contains(text, F.lit("20"))) & text.rlike(TIME)
-    change = reduce(or_, (F.contains(F.lower(text), F.lit(x)) for x in PARTS)) & text.rlike(CHANGE)
+    change = F.contains(F.lower(text), F.lit("ed")) & reduce(or_, (F.contains(F.lower(text), F.lit(x)) for x in PARTS)) & text.rlike(CHANGE)
     return F.when(year | change | (commas >= 2), "event").otherwise("static")
 
 

@@ -160,9 +160,9 @@ def step(state: State, stmts: DataFrame, k: int, cfg: LoopConfig, lexicon: DataF
     none = state.spark.createDataFrame([], "alias string, relation string, swapped boolean")
     says = lambda rows: typed_under(guidance.constrain(named(rows), none if known is None else known))
     said = says(found).withColumn("told", F.struct(*evidence.TOLD))
-    offered = as_told(extractor(said)) if extractor else said
+    offered = extractor(said) if extractor else said
     same = evidence.as_said() if "told" in offered.columns else F.lit(False)
-    offered = stored(offered.withColumn("as_said", same).drop("told"))
+    offered = as_told(stored(offered.withColumn("as_said", same).drop("told", "h", "t")))  # h and t are the ends, in the order of the text
     if cfg.evidence:
         # statements that the extractor left as they are need no second look
         changed = offered.where("not as_said")

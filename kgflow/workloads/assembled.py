@@ -34,7 +34,8 @@ def beside_the_evidence(rows: DataFrame) -> DataFrame:
     hit = order & (h32("order", key) % render.UNSUPPORTED == 0)
     other = lambda c: F.concat(F.lit("customer "), (F.regexp_extract(c, r"([0-9]+)", 1).cast("bigint") + 1).cast("string"))
     told = F.col("head").startswith("order ")
-    return rows.withColumn("tail", F.when(hit & told, other("tail")).otherwise(F.col("tail"))).withColumn("head", F.when(hit & ~told, other("head")).otherwise(F.col("head")))
+    hit_ = F.col("_hit")
+    return rows.withColumn("_hit", hit).withColumn("tail", F.when(hit_ & told, other("tail")).otherwise(F.col("tail"))).withColumn("head", F.when(hit_ & ~told, other("head")).otherwise(F.col("head"))).drop("_hit")
 
 
 def static_state(spark: SparkSession, sf_dir: str, mode: str = "stream-end", corpus: dict[str, DataFrame] | None = None) -> loop.State:
